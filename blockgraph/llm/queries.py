@@ -7,7 +7,7 @@ import os
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import bpe, line_dedup, quality, token_rollup
+from . import bpe, line_dedup, quality, simhash, token_rollup
 from .common import documents, materialise, shared_dir
 
 TOKENIZER = "byte_bpe_multi_50k.tiktoken"
@@ -31,6 +31,11 @@ def op5_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return out.select("doc_id", "source", "n_lines", "n_dropped", F.sha2(F.coalesce("text", F.lit("")), 256).alias("kept_sha256"))
 
 
+def op7_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
+    found = simhash.near_duplicates(documents(spark, sf_dir))
+    return found.select("doc_id", simhash.hex_of(F.col("fp")).alias("fingerprint"), "component_id")
+
+
 def op8_byte_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
     return bpe.digests(documents(spark, sf_dir), *rank_file())
 
@@ -79,5 +84,5 @@ def llm_word_rollup(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict:
-    own = (op4_quality_rules, op5_line_dedup, op8_byte_bpe, op10_token_counts, llm_word_rollup)
+    own = (op4_quality_rules, op5_line_dedup, op7_simhash, op8_byte_bpe, op10_token_counts, llm_word_rollup)
     return {f.__name__: f for f in own}
