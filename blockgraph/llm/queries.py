@@ -7,8 +7,8 @@ import os
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import bpe, line_dedup, quality, simhash, token_rollup
-from .common import documents, materialise, shared_dir
+from . import bpe, line_dedup, ppm, quality, simhash, token_rollup
+from .common import crc_fold, documents, materialise, shared_dir
 
 TOKENIZER = "byte_bpe_multi_50k.tiktoken"
 
@@ -20,6 +20,12 @@ def rank_file(name: str = TOKENIZER) -> tuple[str, str]:
     return os.environ.get("BLOCKGRAPH_RANK_FILE") or public_tokenizers.path(name), public_tokenizers.PATTERN
 
 
+def op1_ppm_score(spark: SparkSession, sf_dir: str) -> DataFrame:
+    held = crc_fold(F.col("doc_id")) == 1
+    out = ppm.score(documents(spark, sf_dir).select("doc_id", "text"), ~held)
+    return out.select("doc_id", (~F.col("train")).alias("held_out"), "n_tokens", "n_known", "train_tokens", "base_score", "score")
+
+
 def op4_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     cols = ("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "kept")
     return quality.judge(documents(spark, sf_dir).select("doc_id", "text")).select(*cols)
@@ -84,5 +90,5 @@ def llm_word_rollup(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict:
-    own = (op4_quality_rules, op5_line_dedup, op7_simhash, op8_byte_bpe, op10_token_counts, llm_word_rollup)
+    own = (op1_ppm_score, op4_quality_rules, op5_line_dedup, op7_simhash, op8_byte_bpe, op10_token_counts, llm_word_rollup)
     return {f.__name__: f for f in own}
