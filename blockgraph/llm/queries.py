@@ -7,7 +7,7 @@ import os
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import bpe, html_text, line_dedup, ppm, quality, simhash, token_rollup
+from . import bpe, html_text, line_dedup, ppm, quality, simhash, token_rollup, toxicity
 from .common import crc_fold, documents, materialise, shared_dir
 
 TOKENIZER = "byte_bpe_multi_50k.tiktoken"
@@ -50,6 +50,13 @@ def op8_byte_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
     return bpe.digests(documents(spark, sf_dir), *rank_file())
 
 
+def op9_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = documents(spark, sf_dir).select("doc_id", "text")
+    labels = spark.read.parquet(f"{sf_dir}/labels.parquet").where(crc_fold(F.col("doc_id")) != 0)
+    out = toxicity.score(docs, toxicity.fit(docs, labels))
+    return out.select("doc_id", (crc_fold(F.col("doc_id")) == 0).alias("held_out"), "score", "predicted")
+
+
 def _changes(counts: DataFrame, op: str, old, new) -> DataFrame:
     return counts.select(F.lit(op).alias("op"), "doc_id", "source", "lang", "tokenizer", old.cast("long").alias("old_tokens"), new.cast("long").alias("new_tokens"))
 
@@ -94,5 +101,5 @@ def llm_word_rollup(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict:
-    own = (op1_ppm_score, op2_html_text, op4_quality_rules, op5_line_dedup, op7_simhash, op8_byte_bpe, op10_token_counts, llm_word_rollup)
+    own = (op1_ppm_score, op2_html_text, op4_quality_rules, op5_line_dedup, op7_simhash, op8_byte_bpe, op9_toxicity, op10_token_counts, llm_word_rollup)
     return {f.__name__: f for f in own}
