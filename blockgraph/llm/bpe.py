@@ -127,7 +127,7 @@ def digests(df: DataFrame, rank_file: str, pattern: str, keep: tuple[str, ...] =
 
 def count(df: DataFrame, rank_file: str, pattern: str, keep: tuple[str, ...] = ("doc_id",), text: str = "text", piece_chars: int = 65536) -> DataFrame:
     """The kept columns, n_tokens and n_words (both long) of each text."""
-    small_batches(df.sparkSession)
+    small_batches(df.sparkSession, 500)
     n = len(keep)
 
     def run(batches):

@@ -90,8 +90,9 @@ def op10_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Totals for two tokenizer versions, white-space words and byte BPE."""
     docs = documents(spark, sf_dir)
     tokens = bpe.count(docs, *rank_file(), keep=("doc_id", "source", "lang"))
+    tokens = materialise(tokens, "counts")  # one row a document; the two versions are unfolded on reading
     both = F.explode(F.array(*(F.struct(F.lit(t).alias("tokenizer"), F.col(c).alias("n")) for t, c in (("ws-words@1", "n_words"), ("byte-bpe-multi-50k@1", "n_tokens")))))
-    counts = materialise(tokens.select("doc_id", "source", "lang", both.alias("x")).select("doc_id", "source", "lang", "x.*"), "counts")
+    counts = tokens.select("doc_id", "source", "lang", both.alias("x")).select("doc_id", "source", "lang", "x.*")
     return _rollup(spark, sf_dir, counts, "rollup")
 
 
