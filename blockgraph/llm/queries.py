@@ -7,7 +7,7 @@ import os
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import bpe, html_text, line_dedup, ppm, quality, simhash, token_rollup, toxicity
+from . import bpe, decontaminate, html_text, line_dedup, ppm, quality, simhash, token_rollup, toxicity
 from .common import crc_fold, documents, materialise, shared_dir
 
 TOKENIZER = "byte_bpe_multi_50k.tiktoken"
@@ -30,6 +30,10 @@ def op2_html_text(spark: SparkSession, sf_dir: str) -> DataFrame:
     return html_text.extract(spark.read.parquet(f"{sf_dir}/pages.parquet"))
 
 
+def op3_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return decontaminate.find_leaks(documents(spark, sf_dir), spark.read.parquet(f"{sf_dir}/benchmark.parquet"))
+
+
 def op4_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     cols = ("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "kept")
     return quality.judge(documents(spark, sf_dir).select("doc_id", "text")).select(*cols)
@@ -102,5 +106,5 @@ def llm_word_rollup(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict:
-    own = (op1_ppm_score, op2_html_text, op4_quality_rules, op5_line_dedup, op7_simhash, op8_byte_bpe, op9_toxicity, op10_token_counts, llm_word_rollup)
+    own = (op1_ppm_score, op2_html_text, op3_decontaminate, op4_quality_rules, op5_line_dedup, op7_simhash, op8_byte_bpe, op9_toxicity, op10_token_counts, llm_word_rollup)
     return {f.__name__: f for f in own}
