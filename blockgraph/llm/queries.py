@@ -7,7 +7,7 @@ import os
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import bpe, decontaminate, html_text, line_dedup, ppm, quality, simhash, token_rollup, toxicity
+from . import bpe, decontaminate, html_text, line_dedup, ppm, quality, simhash, suffix_dedup, token_rollup, toxicity
 from .common import crc_fold, documents, materialise, shared_dir
 
 TOKENIZER = "byte_bpe_multi_50k.tiktoken"
@@ -45,6 +45,10 @@ def op5_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return out.select("doc_id", "source", "n_lines", "n_dropped", F.sha2(F.coalesce("text", F.lit("")), 256).alias("kept_sha256"))
 
 
+def op6_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return suffix_dedup.remove_repeats(documents(spark, sf_dir), keep_bytes=False)
+
+
 def op7_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     found = simhash.near_duplicates(documents(spark, sf_dir))
     return found.select("doc_id", simhash.hex_of(F.col("fp")).alias("fingerprint"), "component_id")
@@ -106,5 +110,5 @@ def llm_word_rollup(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict:
-    own = (op1_ppm_score, op2_html_text, op3_decontaminate, op4_quality_rules, op5_line_dedup, op7_simhash, op8_byte_bpe, op9_toxicity, op10_token_counts, llm_word_rollup)
+    own = (op1_ppm_score, op2_html_text, op3_decontaminate, op4_quality_rules, op5_line_dedup, op6_suffix_dedup, op7_simhash, op8_byte_bpe, op9_toxicity, op10_token_counts, llm_word_rollup)
     return {f.__name__: f for f in own}
