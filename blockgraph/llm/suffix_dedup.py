@@ -433,6 +433,35 @@ def _union(docs: np.ndarray, a: np.ndarray, b: np.ndarray):
 OUT = "chunk int, removed binary, w1 binary, w2 binary, key binary, doc binary, first binary"
 
 
+BODY_BYTES = 1 << 20
+
+
+def _windows_of(data, start, size, n, got, chunk, many, length, salted):
+    """Late windows of some contexts as (chunk, doc, start, end); of a salted
+    shard also the earliest ones and their fingerprints."""
+    m = size[many]
+    at = np.cumsum(m) - m
+    body = data[np.repeat(start[many] - at, m) + np.arange(int(m.sum()))]
+    sa = suffix_array(body)  # the whole order: Kasai needs it
+    lcp = common_prefixes(body, sa, at, length)
+    # leave out positions that begin no window; the least prefix in between counts
+    of = np.repeat(np.arange(len(many)), m)
+    inside = np.arange(len(body)) - at[of]
+    ranks = np.flatnonzero((inside < n[many][of])[sa])
+    least = np.minimum.reduceat(lcp[: ranks[-1] + 1], np.r_[0, ranks[:-1] + 1])
+    pos = sa[ranks]
+    group = np.cumsum(np.r_[True, least[1:] < length]) - 1
+    c = many[of[pos]]
+    f = got["first"][c] + inside[pos]
+    order = np.lexsort((f, got["doc"][c], chunk[c], got["key"][c], group))
+    first = np.r_[True, group[order][1:] != group[order][:-1]]
+    x, y = order[~first], order[first] if salted else order[:0]
+    mv = memoryview(body.tobytes())
+    spans = [(int(i), int(i) + length) for i in pos[y]]
+    prints = [np.fromiter((xxhash.xxh64_intdigest(mv[i:j], seed) for i, j in spans), np.uint64, len(y)) for seed in (1, 2)]
+    return (chunk[c[x]], got["doc"][c[x]], f[x], f[x] + length), (chunk[c[y]], got["key"][c[y]], got["doc"][c[y]], f[y]), prints
+
+
 def _resolve(sent: DataFrame, length: int, buckets: int) -> DataFrame:
     """Removed ranges by chunk; of salted shards also their earliest windows."""
 
@@ -443,6 +472,7 @@ def _resolve(sent: DataFrame, length: int, buckets: int) -> DataFrame:
         has, n = got["count"] > 0, np.abs(got["count"])
         size = np.where(has, n + length - 1, 0)
         text = b"".join(zstandard.decompress(r["text"], max_output_size=r["text_size"]) if r["text_size"] else b"" for r in rows)
+        del rows
         start = np.cumsum(size) - size
         order = np.lexsort((got["first"], got["doc"], chunk, got["key"], got["fp"], got["h"]))
         h, fp = got["h"][order], got["fp"][order]
@@ -455,38 +485,24 @@ def _resolve(sent: DataFrame, length: int, buckets: int) -> DataFrame:
         alone = np.r_[True, hh[1:] != hh[:-1]] & np.r_[hh[1:] != hh[:-1], True] if len(hh) else np.empty(0, bool)
         many = once[(has[once]) & (~alone | salted)]
         rest = []
-        if len(many):
-            data = np.frombuffer(text, np.uint8)
-            m = size[many]
-            at = np.cumsum(m) - m
-            body = data[np.repeat(start[many] - at, m) + np.arange(int(m.sum()))]
-            sa = suffix_array(body)  # the whole order: Kasai needs it
-            lcp = common_prefixes(body, sa, at, length)
-            # leave out positions that begin no window; the least prefix in between counts
-            of = np.repeat(np.arange(len(many)), m)
-            inside = np.arange(len(body)) - at[of]
-            window = inside < n[many][of]
-            ok = window[sa]
-            ranks = np.flatnonzero(ok)
-            least = np.minimum.reduceat(lcp[: ranks[-1] + 1], np.r_[0, ranks[:-1] + 1]) if len(ranks) > 1 else np.zeros(len(ranks), np.int64)
-            pos = sa[ranks]
-            group = np.cumsum(np.r_[True, least[1:] < length]) - 1
-            c = many[of[pos]]
-            f = got["first"][c] + inside[pos]
-            order = np.lexsort((f, got["doc"][c], chunk[c], got["key"][c], group))
-            g = group[order]
-            first = np.r_[True, g[1:] != g[:-1]]
-            x = order[~first]
-            cut.append((chunk[c[x]], got["doc"][c[x]], f[x], f[x] + length))
-            if salted:
-                y = order[first]
-                mv = memoryview(body.tobytes())
-                spans = [(int(i), int(i) + length) for i in pos[y]]
-                w1 = np.fromiter((xxhash.xxh64_intdigest(mv[i:j], 1) for i, j in spans), np.uint64, len(y))
-                w2 = np.fromiter((xxhash.xxh64_intdigest(mv[i:j], 2) for i, j in spans), np.uint64, len(y))
-                for q, i in _by_bucket(chunk[c[y]]):
-                    z = y[i]
-                    rest.append({"chunk": q, "removed": b"", "w1": w1[i].tobytes(), "w2": w2[i].tobytes(), "key": got["key"][c[z]].tobytes(), "doc": got["doc"][c[z]].tobytes(), "first": f[z].tobytes()})
+        data = np.frombuffer(text, np.uint8)
+        # equal windows have one anchor, so suffix arrays of a few anchors at a
+        # time lose nothing, and their size is bounded
+        weight = np.cumsum(size[many])
+        fresh = np.flatnonzero(np.r_[True, got["h"][many][1:] != got["h"][many][:-1]]) if len(many) else np.empty(0, np.int64)
+        lo = 0
+        while lo < len(many):
+            full = (weight[lo - 1] if lo else 0) + BODY_BYTES
+            ends = fresh[(fresh > lo) & (weight[np.maximum(fresh - 1, 0)] <= full)]
+            later = fresh[fresh > lo]
+            hi = int(ends[-1]) if len(ends) else int(later[0]) if len(later) else len(many)
+            if weight[-1] <= full:
+                hi = len(many)
+            part, lo = many[lo:hi], hi
+            late, early, prints = _windows_of(data, start, size, n, got, chunk, part, length, salted)
+            cut.append(late)
+            for q, i in _by_bucket(early[0]):
+                rest.append({"chunk": q, "removed": b"", "w1": prints[0][i].tobytes(), "w2": prints[1][i].tobytes(), "key": early[1][i].tobytes(), "doc": early[2][i].tobytes(), "first": early[3][i].tobytes()})
         k, d, a, b = (np.concatenate(x) for x in zip(*cut))
         out = []
         for q, i in _by_bucket(k):
@@ -548,7 +564,7 @@ def removed_ranges(packed: DataFrame, length: int, buckets: int, hot: int) -> Da
     return sent.where("bucket = -1").select("chunk", "removed").unionAll(found.where("w1 is null").select("chunk", "removed")).unionAll(merged)
 
 
-def remove_repeats(df: DataFrame, length: int = 100, chunk_bytes: int = 16 << 20, hot: int = 20_000, id_col: str = "doc_id", text: str = "text", keep_bytes: bool = True, buckets: int | None = None) -> DataFrame:
+def remove_repeats(df: DataFrame, length: int = 100, chunk_bytes: int = 16 << 20, hot: int = 4_000, id_col: str = "doc_id", text: str = "text", keep_bytes: bool = True, buckets: int | None = None) -> DataFrame:
     """doc_id, n_bytes, n_removed, n_spans, kept_sha256, spans (start and end
     of each removed range) and, with keep_bytes, the remaining bytes."""
     if length < GRAM + 2:

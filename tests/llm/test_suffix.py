@@ -55,7 +55,8 @@ def texts(rng, n):
 
 
 @pytest.mark.parametrize("hot", [20_000, 3])
-def test_query(spark, hot):
+def test_query(spark, hot, monkeypatch):
+    monkeypatch.setattr(sd, "BODY_BYTES", 2000)
     rng = np.random.default_rng(hot)
     rows = texts(rng, 120)
     rows += [(200, rows[3][1]), (201, rows[3][1][:150]), (202, None), (203, ""), (204, "short"), (None, rows[5][1]), (205, "z" * 1000), (206, "z" * 99), (207, "z" * 100)]
