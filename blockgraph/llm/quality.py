@@ -83,7 +83,7 @@ def covered_words(words: Column) -> Column:
     marked. The sort is left out where no window repeats."""
     ranked = lambda wins: F.array_sort(F.transform(wins, lambda w, i: F.struct(w.alias("w"), i.alias("i"))))
     count = lambda wins: F.when(F.size(F.array_distinct(wins)) == F.size(wins), F.lit(0)).otherwise(let(ranked(wins), _covered))
-    return let(windows(words), count)
+    return let(words, lambda w: let(windows(w), count))
 
 
 def base_columns(df: DataFrame, text: str = "text") -> DataFrame:
@@ -159,24 +159,36 @@ def cascade(df: DataFrame, rules: list[Rule]) -> DataFrame:
     return df.withColumn("rejected_by", chain)
 
 
-def lazy_rules(text: str = "text") -> list[Rule]:
-    """All rules as expressions on the text alone, for a filter that needs no
-    base columns: an expensive one is only computed for rows that get there."""
+def lazy_rules(text: str = "text") -> dict:
+    """All rules as functions of the words, for a filter that needs no base
+    columns: an expensive one is only computed for rows that get there."""
     t = F.coalesce(F.col(text), F.lit(""))
-    words = F.col("_words")
-    n = F.size(words)
     chars = F.length(F.translate(t, " \t\n\x0b\x0c\r", ""))
     upper = F.length(t) - F.length(F.translate(t, "ABCDEFGHIJKLMNOPQRSTUVWXYZ", ""))
     lower = F.length(t) - F.length(F.translate(t, "abcdefghijklmnopqrstuvwxyz", ""))
     lines = F.length(t) - F.length(F.translate(t, "\n", "")) + 1
-    return [
-        Rule("few_words", n < 50),
-        Rule("symbols", n_symbols(t) > 0.25 * n),
-        Rule("capitals", upper > 0.5 * (upper + lower)),
-        Rule("word_length", (chars < 2.0 * n) | (chars > 20.0 * n)),
-        Rule("repeated_lines", n_dup_lines(t) > 0.5 * lines),
-        Rule("repeated_words", 100 * covered_words(words) > 50 * n),
-    ]
+    return {
+        "few_words": lambda w: F.size(w) < 50,
+        "symbols": lambda w: n_symbols(t) > 0.25 * F.size(w),
+        "capitals": lambda w: upper > 0.5 * (upper + lower),
+        "word_length": lambda w: (chars < 2.0 * F.size(w)) | (chars > 20.0 * F.size(w)),
+        "repeated_lines": lambda w: n_dup_lines(t) > 0.5 * lines,
+        "repeated_words": lambda w: 100 * covered_words(w) > 50 * F.size(w),
+    }
+
+
+def rejected_by(text: str, rules: dict) -> Column:
+    """The first rule that rejects, as one expression; the words are split once
+    and bound to a variable, so that no plan rewrite splits them again."""
+
+    def chain(words):
+        out = None
+        for name, rule in rules.items():
+            fails = F.coalesce(rule(words), F.lit(False))
+            out = F.when(fails, name) if out is None else out.when(fails, name)
+        return out
+
+    return let(word_array(F.col(text)), chain)
 
 
 def judge(df: DataFrame, text: str = "text", sample_rows: int = 2000) -> DataFrame:
@@ -199,6 +211,6 @@ def plan_cascade_on_base(df: DataFrame, rules: list[Rule], text: str, sample_row
 def keep_good(df: DataFrame, text: str = "text", sample_rows: int = 2000) -> DataFrame:
     """The rows that no rule rejects, with the columns of df; the cascade runs
     on lazy rules, so most bad rows never reach the expensive ones."""
-    with_w = with_words(df, text)
-    ordered = plan_cascade(with_w, lazy_rules(text), sample_rows)
-    return cascade(with_w, ordered).where(F.col("rejected_by").isNull()).select(*(F.col(f"`{c}`") for c in df.columns))
+    rules = lazy_rules(text)
+    ordered = plan_cascade(df, [Rule(n, let(word_array(F.col(text)), r)) for n, r in rules.items()], sample_rows)
+    return df.where(rejected_by(text, {r.name: rules[r.name] for r in ordered}).isNull())
