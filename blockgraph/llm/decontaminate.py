@@ -2,11 +2,13 @@
 
 Words are lower-cased and stripped of punctuation. The vocabulary is that of
 the benchmark; words in more than ``max_df`` of all corpus blocks are left out
-as stop words, and counted over all documents they give the idf. Documents are
+as stop words (but for the ``rarest`` of each passage), and counts over all
+documents give the idf. Documents are
 cut into overlapping windows of ``3 * block`` words, one at each block, so that
 every benchmark passage of up to ``2 * block`` words lies whole in some window
 (longer items are cut into passages). A window is a row of the TF-IDF matrix if
-it has ``min_terms`` vocabulary words at least.
+it has ``min_terms`` vocabulary words of one passage at least, which a leak by
+the checks below has.
 
 A randomised SVD of the matrix of corpus windows and benchmark passages gives
 the latent space: each pass over the rows multiplies by the current basis and
@@ -105,29 +107,28 @@ class Passages:
         return sorted({w for p in self.words for w in p})
 
 
-def _ids(words: list[str], vocabulary: dict[str, int]) -> np.ndarray:
-    get = vocabulary.get
-    return np.fromiter((get(w, -1) for w in words), np.int32, len(words))
+class Ids(dict):
+    """Raw word -> term, -1 outside the vocabulary, -2 for mere punctuation."""
 
+    def __init__(self, vocabulary: dict[str, int]):
+        super().__init__()
+        self.vocabulary = vocabulary
 
-def _raw_ids(text: str, cache: dict[str, int], vocabulary: dict[str, int]) -> tuple[list[str], np.ndarray]:
-    """Words (raw, those that are punctuation only dropped) and their ids."""
-    raw = text.lower().split()
-    ids = np.empty(len(raw), np.int32)
-    get = cache.get
-    for i, w in enumerate(raw):
-        x = get(w)
-        if x is None:
-            s = w.strip(STRIP)
-            x = vocabulary.get(s, -1) if s else -2
-            if len(cache) > 400_000:
-                cache.clear()
-            cache[w] = x
-        ids[i] = x
-    if (ids == -2).any():
-        keep = np.flatnonzero(ids != -2)
-        return [raw[i] for i in keep.tolist()], ids[keep]
-    return raw, ids
+    def __missing__(self, raw: str) -> int:
+        word = raw.strip(STRIP)
+        out = self.vocabulary.get(word, -1) if word else -2
+        if len(self) > 400_000:
+            self.clear()
+        self[raw] = out
+        return out
+
+    def of(self, text: str) -> tuple[list[str], np.ndarray]:
+        raw = text.lower().split()
+        ids = np.fromiter(map(self.__getitem__, raw), np.int32, len(raw))
+        if len(ids) and ids.min() == -2:
+            keep = np.flatnonzero(ids != -2)
+            return [raw[i] for i in keep.tolist()], ids[keep]
+        return raw, ids
 
 
 def block_counts(docs: DataFrame, vocabulary: dict[str, int], block: int) -> tuple[np.ndarray, int]:
@@ -137,13 +138,13 @@ def block_counts(docs: DataFrame, vocabulary: dict[str, int], block: int) -> tup
     terms = len(vocabulary)
 
     def run(batches):
-        vocab, cache = sent.value, {}
+        words = Ids(sent.value)
         df, n = np.zeros(terms, np.int64), 0
         for b in batches:
             for t in b.column(0).to_pylist():
                 if not t:
                     continue
-                _, ids = _raw_ids(t, cache, vocab)
+                _, ids = words.of(t)
                 n += -(-len(ids) // block)
                 at = np.flatnonzero(ids >= 0)
                 if len(at):
@@ -162,31 +163,55 @@ def block_counts(docs: DataFrame, vocabulary: dict[str, int], block: int) -> tup
     return df, total
 
 
-def windows(docs: DataFrame, vocabulary: dict[str, int], block: int, min_terms: int) -> DataFrame:
-    """(doc_id, start, terms array<int>, words): windows with enough terms."""
-    sent = docs.sparkSession.sparkContext.broadcast(vocabulary)
+def shared_windows(docs: list[np.ndarray], block: int, lists: tuple[np.ndarray, np.ndarray], need: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """(document, window) of those that share enough distinct terms with some
+    passage. lists: offsets and passages of each term."""
+    off, passages = lists
+    size = np.array([len(x) for x in docs], np.int64)
+    doc = np.repeat(np.arange(len(docs)), size)
+    term = np.concatenate(docs) if docs else np.empty(0, np.int32)
+    pos = np.arange(len(term)) - np.repeat(np.cumsum(size) - size, size)
+    hit = np.flatnonzero(term >= 0)
+    doc, term, pos = doc[hit], term[hit].astype(np.int64), pos[hit]
+    n_windows = np.maximum(1, -(-(size - 2 * block) // block))
+    most = int(n_windows.max()) if len(size) else 1
+    # each word lies in up to three windows, each term in some passages
+    w = (pos // block)[:, None] - np.arange(3)[None, :]
+    i, j = np.nonzero((w >= 0) & (w < n_windows[doc][:, None]))
+    place, term = doc[i] * most + w[i, j], term[i]
+    n = (off[1:] - off[:-1])[term]
+    k = np.repeat(np.arange(len(term)), n)
+    p = passages[np.arange(len(k)) - np.repeat(np.cumsum(n) - n, n) + off[term][k]]
+    pair = place[k] * len(need) + p
+    key = np.unique(pair * np.int64(len(off)) + term[k]) // len(off)
+    at = np.flatnonzero(np.r_[True, key[1:] != key[:-1]]) if len(key) else np.empty(0, np.int64)
+    count, key = np.diff(np.r_[at, len(key)]), key[at]
+    places = np.unique(key[count >= need[key % len(need)]] // len(need))
+    return places // most, places % most
+
+
+def windows(docs: DataFrame, vocabulary: dict[str, int], block: int, lists: tuple[np.ndarray, np.ndarray], need: np.ndarray) -> DataFrame:
+    """(doc_id, start, terms array<int>, words): windows with enough terms of
+    one passage."""
+    sent = docs.sparkSession.sparkContext.broadcast((vocabulary, lists, need))
 
     def run(batches):
-        vocab, cache = sent.value, {}
+        vocab, lists, need = sent.value
+        words = Ids(vocab)
         for b in batches:
+            names, texts = b.column(0).to_pylist(), b.column(1).to_pylist()
+            ids = [words.of(t)[1] if t else np.empty(0, np.int32) for t in texts]
             ids_out, start_out, terms_out, words_out = [], [], [], []
-            for doc, t in zip(b.column(0).to_pylist(), b.column(1).to_pylist()):
-                if not t:
-                    continue
-                raw, ids = _raw_ids(t, cache, vocab)
-                at = np.flatnonzero(ids >= 0)
-                if len(at) < min_terms:
-                    continue
-                starts = np.arange(0, max(1, len(ids) - 2 * block), block)
-                lo, hi = np.searchsorted(at, starts), np.searchsorted(at, starts + 3 * block)
-                for s in np.flatnonzero(hi - lo >= min_terms).tolist():
-                    got = ids[at[lo[s] : hi[s]]]
-                    if len(np.unique(got)) >= min_terms:
-                        a = int(starts[s])
-                        ids_out.append(doc)
-                        start_out.append(a)
-                        terms_out.append(got)
-                        words_out.append(" ".join([w.strip(STRIP) for w in raw[a : a + 3 * block]]))
+            raw_of, raw = -1, []
+            for d, w in zip(*(x.tolist() for x in shared_windows(ids, block, lists, need))):
+                if d != raw_of:
+                    raw_of, raw = d, words.of(texts[d])[0]
+                a = w * block
+                got = ids[d][a : a + 3 * block]
+                ids_out.append(names[d])
+                start_out.append(a)
+                terms_out.append(got[got >= 0])
+                words_out.append(" ".join([x.strip(STRIP) for x in raw[a : a + 3 * block]]))
             yield pa.RecordBatch.from_arrays(
                 [pa.array(ids_out, pa.int64()), pa.array(start_out, pa.int64()), pa.array(terms_out, pa.list_(pa.int32())), pa.array(words_out, pa.string())], names=["doc_id", "start", "terms", "words"]
             )
@@ -266,7 +291,7 @@ def latent_basis(rows: DataFrame, own: list[np.ndarray], idf: np.ndarray, rank:
 
 
 def find_leaks(
-    docs: DataFrame, benchmark: DataFrame, block: int = 32, max_df: float = 0.05, min_terms: int = 3, rank: int = 128, min_cosine: float = 0.4,
+    docs: DataFrame, benchmark: DataFrame, block: int = 32, max_df: float = 0.005, min_terms: int = 3, rarest: int = 8, rank: int = 128, min_cosine: float = 0.4,
     strong: float = 0.7, weak: float = 0.5, answer_words: int = 8, answer_share: float = 0.75, max_items: int = 20_000,
 ) -> DataFrame:
     """(doc_id, item_id, cosine, lcs_ratio, answer_ratio): the best window of
@@ -281,13 +306,19 @@ def find_leaks(
     if not vocabulary:
         return spark.createDataFrame([], schema)
     df, blocks = block_counts(docs, vocabulary, block)
-    kept = [w for w, i in vocabulary.items() if df[i] <= max(max_df * blocks, 5)]
-    if not kept:
-        return spark.createDataFrame([], schema)
+    # a passage that has leaked everywhere makes its own words common: the
+    # rarest of each passage always stay
+    stay = {w for p in passages.words for w in sorted(set(p), key=lambda w: (df[vocabulary[w]], w))[:rarest]}
+    kept = [w for w, i in vocabulary.items() if w in stay or df[i] <= max(max_df * blocks, 5)]
     idf = np.log((1 + blocks) / (1 + df[[vocabulary[w] for w in kept]])) + 1
     terms = {w: i for i, w in enumerate(kept)}
     own = [np.array([terms[w] for w in p if w in terms], np.int32) for p in passages.words]
-    rows = materialise(windows(docs, terms, block, min_terms), "windows")
+    distinct = [np.unique(x) for x in own]
+    need = np.array([min(min_terms, len(x)) for x in distinct])
+    flat = np.concatenate(distinct)
+    by_term = np.argsort(flat, kind="stable")
+    off = np.searchsorted(flat[by_term], np.arange(len(kept) + 1))
+    rows = materialise(windows(docs, terms, block, (off, np.repeat(np.arange(len(own)), [len(x) for x in distinct])[by_term]), need), "windows")
     basis = latent_basis(rows, own, idf, min(rank, len(kept)))
     off, t, w = _rows(pa.array([x.tolist() for x in own], pa.list_(pa.int32())), idf)
     target = _multiply(off, t, w, basis)
