@@ -292,7 +292,7 @@ def latent_basis(rows: DataFrame, own: list[np.ndarray], idf: np.ndarray, rank:
 
 def find_leaks(
     docs: DataFrame, benchmark: DataFrame, block: int = 32, max_df: float = 0.005, min_terms: int = 3, rarest: int = 8, rank: int = 128, min_cosine: float = 0.4,
-    strong: float = 0.7, weak: float = 0.5, answer_words: int = 8, answer_share: float = 0.75, max_items: int = 20_000,
+    strong: float = 0.7, weak: float = 0.6, answer_words: int = 8, answer_share: float = 0.75, max_items: int = 20_000,
 ) -> DataFrame:
     """(doc_id, item_id, cosine, lcs_ratio, answer_ratio): the best window of
     each document and item that passes the checks."""

@@ -61,7 +61,7 @@ def test_planted(spark):
                 for a in range(0, max(1, len(w) - 64), 32):
                     m = dec.lcs_mask(part, w[a : a + 96])
                     tail = min(8, len(part))
-                    if len(m) >= 0.7 * len(part) or len(m) >= 0.5 * len(part) and sum(x >= len(part) - tail for x in m) >= 0.75 * tail:
+                    if len(m) >= 0.7 * len(part) or len(m) >= 0.6 * len(part) and sum(x >= len(part) - tail for x in m) >= 0.75 * tail:
                         want.add((d, i))
     assert leaks <= want
     assert got == want

@@ -48,7 +48,7 @@ def test_run(spark):
                     continue
                 m = dec.lcs_mask(p, w[a : a + 96])
                 tail = min(8, len(p))
-                if len(m) >= 0.7 * len(p) or len(m) >= 0.5 * len(p) and sum(x >= len(p) - tail for x in m) >= 0.75 * tail:
+                if len(m) >= 0.7 * len(p) or len(m) >= 0.6 * len(p) and sum(x >= len(p) - tail for x in m) >= 0.75 * tail:
                     return True
             return False
 
