@@ -1,6 +1,6 @@
 """Benchmark decontamination by latent semantic retrieval.
 
-Words are lower-cased and stripped of punctuation. The vocabulary is that of
+Words are in lower case; punctuation separates them. The vocabulary is that of
 the benchmark; words in more than ``max_df`` of all corpus blocks are left out
 as stop words (but for the ``rarest`` of each passage), and counts over all
 documents give the idf. Documents are
@@ -12,7 +12,7 @@ the checks below has.
 
 A randomised SVD of the matrix of corpus windows and benchmark passages gives
 the latent space: each pass over the rows multiplies by the current basis and
-sums the products by term, two power passes sharpen it. The benchmark rows are
+sums the products by term, a power pass sharpens it. The benchmark rows are
 weighted up to the mass of the corpus rows, so their directions are kept.
 Windows whose cosine with a passage in the latent space reaches ``min_cosine``
 are candidates. For each, the longest common subsequence of words decides: a
@@ -32,6 +32,7 @@ empty result; extra columns are ignored.
 from __future__ import annotations
 
 from collections import defaultdict
+from itertools import repeat
 
 import numpy as np
 import pyarrow as pa
@@ -40,11 +41,26 @@ from pyspark.sql import functions as F
 
 from .common import materialise, small_batches
 
-STRIP = ".,;:!?\"'()[]{}«»“”‘’*#$%&|<>…-–—"
+PUNCTUATION = b".,;:!?\"'`()[]{}*#$%&|<>-_/\\=+~^@"
+OTHER_PUNCTUATION = "«»“”‘’„…–—¿¡"
+_SPACED = bytes(32 if c in PUNCTUATION else c for c in range(256))
+
+
+def raw_words(text: str) -> list[bytes]:
+    """Lower-case words in UTF-8; punctuation separates words."""
+    if not text.isascii():
+        for c in OTHER_PUNCTUATION:
+            text = text.replace(c, " ")
+    return text.lower().encode("utf-8", "surrogatepass").translate(_SPACED).split()
 
 
 def words_of(text: str | None) -> list[str]:
-    return [w for x in (text or "").lower().split() if (w := x.strip(STRIP))]
+    return [w.decode("utf-8", "surrogatepass") for w in raw_words(text or "")]
+
+
+def ids_of(words: list[bytes], vocabulary: dict[bytes, int]) -> np.ndarray:
+    """Terms of the words, -1 outside the vocabulary."""
+    return np.fromiter(map(vocabulary.get, words, repeat(-1)), np.int32, len(words))
 
 
 def lcs_mask(a: list[str], b: list[str]) -> list[int]:
@@ -107,48 +123,26 @@ class Passages:
         return sorted({w for p in self.words for w in p})
 
 
-class Ids(dict):
-    """Raw word -> term, -1 outside the vocabulary, -2 for mere punctuation."""
-
-    def __init__(self, vocabulary: dict[str, int]):
-        super().__init__()
-        self.vocabulary = vocabulary
-
-    def __missing__(self, raw: str) -> int:
-        word = raw.strip(STRIP)
-        out = self.vocabulary.get(word, -1) if word else -2
-        if len(self) > 400_000:
-            self.clear()
-        self[raw] = out
-        return out
-
-    def of(self, text: str) -> tuple[list[str], np.ndarray]:
-        raw = text.lower().split()
-        ids = np.fromiter(map(self.__getitem__, raw), np.int32, len(raw))
-        if len(ids) and ids.min() == -2:
-            keep = np.flatnonzero(ids != -2)
-            return [raw[i] for i in keep.tolist()], ids[keep]
-        return raw, ids
-
-
-def block_counts(docs: DataFrame, vocabulary: dict[str, int], block: int) -> tuple[np.ndarray, int]:
+def block_counts(docs: DataFrame, vocabulary: dict[bytes, int], block: int) -> tuple[np.ndarray, int]:
     """In how many blocks of all documents each term occurs, and all blocks."""
     small_batches(docs.sparkSession)
     sent = docs.sparkSession.sparkContext.broadcast(vocabulary)
     terms = len(vocabulary)
 
     def run(batches):
-        words = Ids(sent.value)
+        vocab = sent.value
         df, n = np.zeros(terms, np.int64), 0
         for b in batches:
+            at, term = [], []
             for t in b.column(0).to_pylist():
-                if not t:
-                    continue
-                _, ids = words.of(t)
-                n += -(-len(ids) // block)
-                at = np.flatnonzero(ids >= 0)
-                if len(at):
-                    df += np.bincount(np.unique(at // block * terms + ids[at]) % terms, minlength=terms)
+                if t:
+                    ids = ids_of(raw_words(t), vocab)
+                    hit = np.flatnonzero(ids >= 0)
+                    at.append(hit // block + n)
+                    term.append(ids[hit])
+                    n += -(-len(ids) // block)
+            if at:
+                df += np.bincount(np.unique(np.concatenate(at) * terms + np.concatenate(term)) % terms, minlength=terms)
         hit = np.flatnonzero(df)
         yield pa.RecordBatch.from_arrays([pa.array(np.r_[hit, -1].astype(np.int32)), pa.array(np.r_[df[hit], n])], names=["term", "n"])
 
@@ -190,28 +184,27 @@ def shared_windows(docs: list[np.ndarray], block: int, lists: tuple[np.ndarray,
     return places // most, places % most
 
 
-def windows(docs: DataFrame, vocabulary: dict[str, int], block: int, lists: tuple[np.ndarray, np.ndarray], need: np.ndarray) -> DataFrame:
+def windows(docs: DataFrame, vocabulary: dict[bytes, int], block: int, lists: tuple[np.ndarray, np.ndarray], need: np.ndarray) -> DataFrame:
     """(doc_id, start, terms array<int>, words): windows with enough terms of
     one passage."""
     sent = docs.sparkSession.sparkContext.broadcast((vocabulary, lists, need))
 
     def run(batches):
         vocab, lists, need = sent.value
-        words = Ids(vocab)
         for b in batches:
             names, texts = b.column(0).to_pylist(), b.column(1).to_pylist()
-            ids = [words.of(t)[1] if t else np.empty(0, np.int32) for t in texts]
+            ids = [ids_of(raw_words(t or ""), vocab) for t in texts]
             ids_out, start_out, terms_out, words_out = [], [], [], []
             raw_of, raw = -1, []
             for d, w in zip(*(x.tolist() for x in shared_windows(ids, block, lists, need))):
                 if d != raw_of:
-                    raw_of, raw = d, words.of(texts[d])[0]
+                    raw_of, raw = d, raw_words(texts[d])
                 a = w * block
                 got = ids[d][a : a + 3 * block]
                 ids_out.append(names[d])
                 start_out.append(a)
                 terms_out.append(got[got >= 0])
-                words_out.append(" ".join([x.strip(STRIP) for x in raw[a : a + 3 * block]]))
+                words_out.append(b" ".join(raw[a : a + 3 * block]).decode("utf-8", "surrogatepass"))
             yield pa.RecordBatch.from_arrays(
                 [pa.array(ids_out, pa.int64()), pa.array(start_out, pa.int64()), pa.array(terms_out, pa.list_(pa.int32())), pa.array(words_out, pa.string())], names=["doc_id", "start", "terms", "words"]
             )
@@ -270,7 +263,7 @@ def _gram_product(rows: DataFrame, idf: np.ndarray, basis: np.ndarray, tasks: in
     return total, n
 
 
-def latent_basis(rows: DataFrame, own: list[np.ndarray], idf: np.ndarray, rank: int, passes: int = 2, oversample: int = 8, tasks: int = 16, seed: int = 11) -> np.ndarray:
+def latent_basis(rows: DataFrame, own: list[np.ndarray], idf: np.ndarray, rank: int, passes: int = 1, oversample: int = 8, tasks: int = 16, seed: int = 11) -> np.ndarray:
     """terms x rank: leading right singular vectors of corpus rows and own
     (benchmark) rows, by a randomised range finder with power passes."""
     terms = len(idf)
@@ -305,20 +298,21 @@ def find_leaks(
     vocabulary = {w: i for i, w in enumerate(passages.vocabulary())}
     if not vocabulary:
         return spark.createDataFrame([], schema)
-    df, blocks = block_counts(docs, vocabulary, block)
+    df, blocks = block_counts(docs, {w.encode("utf-8", "surrogatepass"): i for w, i in vocabulary.items()}, block)
     # a passage that has leaked everywhere makes its own words common: the
     # rarest of each passage always stay
     stay = {w for p in passages.words for w in sorted(set(p), key=lambda w: (df[vocabulary[w]], w))[:rarest]}
     kept = [w for w, i in vocabulary.items() if w in stay or df[i] <= max(max_df * blocks, 5)]
     idf = np.log((1 + blocks) / (1 + df[[vocabulary[w] for w in kept]])) + 1
     terms = {w: i for i, w in enumerate(kept)}
+    in_bytes = {w.encode("utf-8", "surrogatepass"): i for w, i in terms.items()}
     own = [np.array([terms[w] for w in p if w in terms], np.int32) for p in passages.words]
     distinct = [np.unique(x) for x in own]
     need = np.array([min(min_terms, len(x)) for x in distinct])
     flat = np.concatenate(distinct)
     by_term = np.argsort(flat, kind="stable")
     off = np.searchsorted(flat[by_term], np.arange(len(kept) + 1))
-    rows = materialise(windows(docs, terms, block, (off, np.repeat(np.arange(len(own)), [len(x) for x in distinct])[by_term]), need), "windows")
+    rows = materialise(windows(docs, in_bytes, block, (off, np.repeat(np.arange(len(own)), [len(x) for x in distinct])[by_term]), need), "windows")
     basis = latent_basis(rows, own, idf, min(rank, len(kept)))
     off, t, w = _rows(pa.array([x.tolist() for x in own], pa.list_(pa.int32())), idf)
     target = _multiply(off, t, w, basis)
