@@ -39,7 +39,8 @@ def line_u8(spark: SparkSession, sf_dir: str) -> DataFrame:
     clip = lambda x: F.least(F.lit(255), F.greatest(F.lit(0), F.floor(x))).cast("double")
     days = F.pmod(F.datediff("l_shipdate", F.lit("1995-01-01")), F.lit(256))
     parts = (F.col("l_quantity"), F.col("l_extendedprice") / 500, F.round(F.col("l_discount") * 1000), F.round(F.col("l_tax") * 1000), days)
-    return t.select((F.col("l_orderkey") * 8 + F.col("l_linenumber")).alias("vec_id"), F.array(*map(clip, parts)).alias("vec"))
+    v = t.select((F.col("l_orderkey") * 8 + F.col("l_linenumber")).alias("vec_id"), F.array(*map(clip, parts)).alias("vec"))
+    return v.groupBy("vec_id").agg(F.min("vec").alias("vec"))  # line numbers repeat within some orders
 
 
 EVENT_TYPES = ("click", "error", "purchase", "signup", "view")

@@ -88,7 +88,7 @@ def route(queries: DataFrame, centroids: np.ndarray, n_probe: int) -> DataFrame:
 
 
 def everywhere(queries: DataFrame, n_segments: int) -> DataFrame:
-    return queries.select("query_id", "qvec", F.explode(F.sequence(F.lit(0), F.lit(n_segments - 1))).cast("int").alias("segment_id"))
+    return queries.select("query_id", "qvec", F.explode(F.sequence(F.lit(0), F.lit(n_segments - 1))).alias("segment_id"))
 
 
 # --- building ----------------------------------------------------------------
