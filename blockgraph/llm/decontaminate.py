@@ -39,7 +39,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import materialise, small_batches
+from .common import materialise, own, small_batches
 
 PUNCTUATION = b".,;:!?\"'`()[]{}*#$%&|<>-_/\\=+~^@"
 OTHER_PUNCTUATION = "«»“”‘’„…–—¿¡"
@@ -263,19 +263,19 @@ def _gram_product(rows: DataFrame, idf: np.ndarray, basis: np.ndarray, tasks: in
     return total, n
 
 
-def latent_basis(rows: DataFrame, own: list[np.ndarray], idf: np.ndarray, rank: int, passes: int = 1, oversample: int = 8, tasks: int = 16, seed: int = 11) -> np.ndarray:
-    """terms x rank: leading right singular vectors of corpus rows and own
-    (benchmark) rows, by a randomised range finder with power passes."""
+def latent_basis(rows: DataFrame, bench_rows: list[np.ndarray], idf: np.ndarray, rank: int, passes: int = 1, oversample: int = 8, tasks: int = 16, seed: int = 11) -> np.ndarray:
+    """terms x rank: leading right singular vectors of corpus rows and
+    benchmark rows, by a randomised range finder with power passes."""
     terms = len(idf)
     width = min(rank + oversample, terms)
     basis = np.linalg.qr(np.random.default_rng(seed).standard_normal((terms, width)))[0].astype(np.float32)
-    bench = pa.array([x.tolist() for x in own], pa.list_(pa.int32()))
+    bench = pa.array([x.tolist() for x in bench_rows], pa.list_(pa.int32()))
     off, t, w = _rows(bench, idf)
-    dense = np.zeros((len(own), terms), np.float32)
-    np.add.at(dense, (np.repeat(np.arange(len(own)), np.diff(off)), t), w)
+    dense = np.zeros((len(bench_rows), terms), np.float32)
+    np.add.at(dense, (np.repeat(np.arange(len(bench_rows)), np.diff(off)), t), w)
     for last in range(passes + 1):
         product, n = _gram_product(rows, idf, basis, tasks)
-        up = max(1.0, n / max(1, len(own)))
+        up = max(1.0, n / max(1, len(bench_rows)))
         product += up * (dense.T @ (dense @ basis))
         if last < passes:
             basis = np.linalg.qr(product)[0].astype(np.float32)
@@ -306,15 +306,15 @@ def find_leaks(
     idf = np.log((1 + blocks) / (1 + df[[vocabulary[w] for w in kept]])) + 1
     terms = {w: i for i, w in enumerate(kept)}
     in_bytes = {w.encode("utf-8", "surrogatepass"): i for w, i in terms.items()}
-    own = [np.array([terms[w] for w in p if w in terms], np.int32) for p in passages.words]
-    distinct = [np.unique(x) for x in own]
+    mine = [np.array([terms[w] for w in p if w in terms], np.int32) for p in passages.words]
+    distinct = [np.unique(x) for x in mine]
     need = np.array([min(min_terms, len(x)) for x in distinct])
     flat = np.concatenate(distinct)
     by_term = np.argsort(flat, kind="stable")
     off = np.searchsorted(flat[by_term], np.arange(len(kept) + 1))
-    rows = materialise(windows(docs, in_bytes, block, (off, np.repeat(np.arange(len(own)), [len(x) for x in distinct])[by_term]), need), "windows")
-    basis = latent_basis(rows, own, idf, min(rank, len(kept)))
-    off, t, w = _rows(pa.array([x.tolist() for x in own], pa.list_(pa.int32())), idf)
+    rows = materialise(windows(docs, in_bytes, block, (off, np.repeat(np.arange(len(mine)), [len(x) for x in distinct])[by_term]), need), "windows")
+    basis = latent_basis(rows, mine, idf, min(rank, len(kept)))
+    off, t, w = _rows(pa.array([x.tolist() for x in mine], pa.list_(pa.int32())), idf)
     target = _multiply(off, t, w, basis)
     size = np.linalg.norm(target, axis=1)
     target = np.where(size[:, None] > 0, target / np.maximum(size, 1e-12)[:, None], 0).astype(np.float32)
@@ -356,4 +356,4 @@ def find_leaks(
 def remove_leaks(docs: DataFrame, benchmark: DataFrame, broadcast_ids: int = 500_000, **options) -> DataFrame:
     """The documents without a leak; those without an id stay."""
     ids = materialise(find_leaks(docs, benchmark, **options).select("doc_id").distinct(), "leaks")
-    return docs.join(F.broadcast(ids) if ids.count() <= broadcast_ids else ids, "doc_id", "left_anti").select(*docs.columns)
+    return docs.join(F.broadcast(ids) if ids.count() <= broadcast_ids else ids, "doc_id", "left_anti").select(*own(docs))

@@ -46,39 +46,39 @@ def _lines(text: Column) -> Column:
 
 def boilerplate(df: DataFrame, host: Column, text: Column, ratio: float, min_pages: int) -> DataFrame:
     """(host, a, b) of the lines above the ratio, with their page counts."""
-    pages = df.select(F.coalesce(F.concat(F.lit("h"), host.cast("string")), F.lit("n")).alias("_host"), text.alias("_text"))
-    totals = pages.groupBy("_host").agg(F.count(F.lit(1)).alias("_pages"))
-    keys = F.array_distinct(F.transform(F.filter(_lines(F.col("_text")), lambda x: F.btrim(x, F.lit(TRIM)) != ""), line_key))
+    pages = df.select(F.coalesce(F.concat(F.lit("h"), host.cast("string")), F.lit("n")).alias("__bg_host"), text.alias("__bg_text"))
+    totals = pages.groupBy("__bg_host").agg(F.count(F.lit(1)).alias("__bg_pages"))
+    keys = F.array_distinct(F.transform(F.filter(_lines(F.col("__bg_text")), lambda x: F.btrim(x, F.lit(TRIM)) != ""), line_key))
     counts = (
-        pages.select("_host", F.explode(keys).alias("k"))
-        .groupBy("_host", F.col("k.a").alias("a"), F.col("k.b").alias("b"))
-        .agg(F.count(F.lit(1)).alias("_n"))
-        .where(F.col("_n") >= min_pages)
+        pages.select("__bg_host", F.explode(keys).alias("k"))
+        .groupBy("__bg_host", F.col("k.a").alias("a"), F.col("k.b").alias("b"))
+        .agg(F.count(F.lit(1)).alias("__bg_n"))
+        .where(F.col("__bg_n") >= min_pages)
     )
-    return counts.join(totals, "_host").where(F.col("_n") > ratio * F.col("_pages"))
+    return counts.join(totals, "__bg_host").where(F.col("__bg_n") > ratio * F.col("__bg_pages"))
 
 
 def mark(df: DataFrame, host: Column, text: str = "text", ratio: float = 0.05, min_pages: int = 3, broadcast_lines: int = 200_000) -> DataFrame:
-    """Adds _drop: the keys of the boilerplate lines of the row's host."""
-    found = materialise(boilerplate(df, host, F.col(text), ratio, min_pages).select("_host", "a", "b"), "boilerplate")
-    by_host = found.groupBy("_host").agg(F.collect_list(F.struct("a", "b")).alias("_drop"))
-    keyed = df.withColumn("_host", F.coalesce(F.concat(F.lit("h"), host.cast("string")), F.lit("n")))
+    """Adds __bg_drop: the keys of the boilerplate lines of the row's host."""
+    found = materialise(boilerplate(df, host, F.col(text), ratio, min_pages).select("__bg_host", "a", "b"), "boilerplate")
+    by_host = found.groupBy("__bg_host").agg(F.collect_list(F.struct("a", "b")).alias("__bg_drop"))
+    keyed = df.withColumn("__bg_host", F.coalesce(F.concat(F.lit("h"), host.cast("string")), F.lit("n")))
     if found.count() <= broadcast_lines:
-        return keyed.join(F.broadcast(by_host), "_host", "left").drop("_host")
-    salted = keyed.withColumn("_salt", F.pmod(F.xxhash64(F.col(text)), F.lit(SALTS)).cast("int"))
-    spread = by_host.withColumn("_salt", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))))
-    return salted.join(spread, ["_host", "_salt"], "left").drop("_host", "_salt")
+        return keyed.join(F.broadcast(by_host), "__bg_host", "left").drop("__bg_host")
+    salted = keyed.withColumn("__bg_salt", F.pmod(F.xxhash64(F.col(text)), F.lit(SALTS)).cast("int"))
+    spread = by_host.withColumn("__bg_salt", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))))
+    return salted.join(spread, ["__bg_host", "__bg_salt"], "left").drop("__bg_host", "__bg_salt")
 
 
-def clean(df: DataFrame, host: Column, text: str = "text", ratio: float = 0.05, min_pages: int = 3) -> DataFrame:
-    """df with boilerplate lines taken out of ``text``, and n_lines and
-    n_dropped (long)."""
-    out = mark(df, host, text, ratio, min_pages).withColumn("_all", _lines(F.col(text)))
-    drop = F.col("_drop")
+def clean(df: DataFrame, host: Column, text: str = "text", ratio: float = 0.05, min_pages: int = 3, counts: bool = True, broadcast_lines: int = 200_000) -> DataFrame:
+    """df with boilerplate lines taken out of ``text`` and, with counts, n_lines
+    and n_dropped (long), which replace columns of these names."""
+    out = mark(df, host, text, ratio, min_pages, broadcast_lines).withColumn("__bg_all", _lines(F.col(text)))
+    drop = F.col("__bg_drop")
     blank = lambda x: F.btrim(x, F.lit(TRIM)) == ""
-    out = out.withColumn("_kept", F.when(drop.isNull(), F.col("_all")).otherwise(F.filter("_all", lambda x: blank(x) | ~F.array_contains(drop, line_key(x)))))
-    return out.withColumns({
-        text: F.array_join("_kept", "\n"),
-        "n_lines": F.coalesce(F.size("_all"), F.lit(0)).cast("long"),
-        "n_dropped": F.coalesce(F.size("_all") - F.size("_kept"), F.lit(0)).cast("long"),
-    }).drop("_drop", "_all", "_kept")
+    out = out.withColumn("__bg_kept", F.when(drop.isNull(), F.col("__bg_all")).otherwise(F.filter("__bg_all", lambda x: blank(x) | ~F.array_contains(drop, line_key(x)))))
+    new = {text: F.array_join("__bg_kept", "\n")}
+    if counts:
+        new["n_lines"] = F.coalesce(F.size("__bg_all"), F.lit(0)).cast("long")
+        new["n_dropped"] = F.coalesce(F.size("__bg_all") - F.size("__bg_kept"), F.lit(0)).cast("long")
+    return out.withColumns(new).drop("__bg_drop", "__bg_all", "__bg_kept")

@@ -47,7 +47,7 @@ def let(value: Column, body) -> Column:
 
 
 def with_words(df: DataFrame, text: str = "text") -> DataFrame:
-    return df.withColumn("_words", word_array(F.col(text)))
+    return df.withColumn("__bg_words", word_array(F.col(text)))
 
 
 def n_symbols(text: Column) -> Column:
@@ -91,13 +91,13 @@ def base_columns(df: DataFrame, text: str = "text") -> DataFrame:
     long) and base_failed."""
     t = F.col(text)
     out = with_words(df, text).withColumns({
-        "n_words": F.size("_words").cast("long"),
+        "n_words": F.size("__bg_words").cast("long"),
         "word_chars": F.length(F.translate(F.coalesce(t, F.lit("")), " \t\n\x0b\x0c\r", "")).cast("long"),
         "n_symbols": n_symbols(t),
         "n_dup_lines": n_dup_lines(t),
-        "n_repeat_words": covered_words(F.col("_words")).cast("long"),
+        "n_repeat_words": covered_words(F.col("__bg_words")).cast("long"),
     })
-    return out.withColumn("base_failed", (F.col("n_words") < 50) | (100 * F.col("n_repeat_words") > 50 * F.col("n_words"))).drop("_words")
+    return out.withColumn("base_failed", (F.col("n_words") < 50) | (100 * F.col("n_repeat_words") > 50 * F.col("n_words"))).drop("__bg_words")
 
 
 def base_rules() -> list[Rule]:

@@ -32,7 +32,7 @@ import xxhash
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import LOWER_TABLE, as_text, materialise, small_batches
+from .common import LOWER_TABLE, as_text, materialise, own, small_batches
 from .components import components
 
 SEED = 42
@@ -270,4 +270,4 @@ def keep_one(df: DataFrame, radius: int = 4, k: int = 4) -> DataFrame:
     kept = df.join(first.select("doc_id"), "doc_id", "left_semi")
     if not first.where("n > 1").isEmpty():
         kept = kept.dropDuplicates(["doc_id"])
-    return kept.select(*df.columns).unionByName(df.where("doc_id is null"))
+    return kept.select(*own(df)).unionAll(df.where("doc_id is null"))

@@ -11,7 +11,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from blockgraph.llm import bpe, decontaminate, line_dedup, quality, simhash
-from blockgraph.llm.common import documents, materialise
+from blockgraph.llm.common import documents, materialise, own
 from blockgraph.llm.queries import rank_file
 
 
@@ -22,8 +22,8 @@ def quality_rules(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFram
 
 def line_dedup_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Takes the boilerplate lines of each source out of the texts."""
-    out = line_dedup.clean(docs, F.col("source")).withColumn("n_chars", F.length("text").cast("long"))
-    return out.select(*docs.columns)
+    out = line_dedup.clean(docs, F.col("source"), counts=False).withColumn("n_chars", F.length("text").cast("long"))
+    return out.select(*own(docs))
 
 
 def simhash_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
