@@ -38,19 +38,25 @@ def vertices(blocks: DataFrame) -> DataFrame:
     return blocks.select("segment_id", "block_id", F.posexplode("members").alias("slot", "m")).select("segment_id", "block_id", "slot", "m.*")
 
 
+EMPTY = 0xFFFFFFFF
+
+
 def write_file(path: str, vecs: np.ndarray, nbrs: np.ndarray, block: np.ndarray, block_bytes: int = 4096) -> int:
-    """Write a segment's blocks; returns the vertices a block holds."""
+    """Write a segment's blocks; returns the vertices a block holds. Which rows
+    a block holds is the map that stays in memory: it goes to ``path.ids``."""
     n, dim = vecs.shape
     degree = nbrs.shape[1]
-    record = 4 * dim + 8 + 4 * degree
-    cap = block_bytes // record
+    cap = block_bytes // (4 * dim + 4 + 4 * degree)
+    slots = np.full((int(block.max()) + 1 if n else 0, cap), EMPTY, "<u4")
     with open(path, "wb") as f:
-        for b in range(int(block.max()) + 1 if n else 0):
+        for b in range(len(slots)):
             m = np.flatnonzero(block == b)
             if len(m) > cap:
                 raise ValueError("a block holds more vertices than fit")
-            part = b"".join(np.uint32(r).tobytes() + vecs[r].astype("<f4").tobytes() + np.uint32((nbrs[r] >= 0).sum()).tobytes() + np.where(nbrs[r] < 0, 0, nbrs[r]).astype("<u4").tobytes() for r in m)
-            f.write(part.ljust(block_bytes, b"\xff"))
+            slots[b, : len(m)] = m
+            part = b"".join(vecs[r].astype("<f4").tobytes() + np.uint32((nbrs[r] >= 0).sum()).tobytes() + np.where(nbrs[r] < 0, 0, nbrs[r]).astype("<u4").tobytes() for r in m)
+            f.write(part.ljust(block_bytes, b"\0"))
+    slots.tofile(f"{path}.ids")
     return cap
 
 
@@ -59,22 +65,20 @@ class BlockFile:
 
     def __init__(self, path: str, dim: int, degree: int, block_bytes: int = 4096):
         self.fd, self.dim, self.degree, self.block_bytes, self.reads = os.open(path, os.O_RDONLY), dim, degree, block_bytes, 0
-        self.record = 4 * dim + 8 + 4 * degree
+        self.record = 4 * dim + 4 + 4 * degree
+        self.slots = np.fromfile(f"{path}.ids", "<u4").reshape(-1, block_bytes // self.record)
 
     def read(self, block: int) -> tuple[np.ndarray, np.ndarray, list[np.ndarray]]:
         data = os.pread(self.fd, self.block_bytes, block * self.block_bytes)
         self.reads += 1
-        rows, vecs, nbrs = [], [], []
-        for i in range(0, len(data) - self.record + 1, self.record):
-            row = int.from_bytes(data[i : i + 4], "little")
-            if row == 0xFFFFFFFF:
-                break
-            at = i + 4 + 4 * self.dim
+        rows = self.slots[block][self.slots[block] != EMPTY]
+        vecs, nbrs = [], []
+        for i in range(len(rows)):
+            at = i * self.record + 4 * self.dim
             n = int.from_bytes(data[at : at + 4], "little")
-            rows.append(row)
-            vecs.append(np.frombuffer(data, "<f4", self.dim, i + 4))
+            vecs.append(np.frombuffer(data, "<f4", self.dim, i * self.record))
             nbrs.append(np.frombuffer(data, "<u4", n, at + 4))
-        return np.array(rows), np.array(vecs, float), nbrs
+        return rows, np.array(vecs, float), nbrs
 
     def close(self) -> None:
         os.close(self.fd)
