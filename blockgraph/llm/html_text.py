@@ -34,11 +34,15 @@ BLOCK = frozenset(
 FURNITURE = frozenset("nav footer aside form button menu dialog head input label fieldset".split()) | RAW
 HEADING = re.compile(r"h[1-6]$")
 ROLES = frozenset("navigation banner contentinfo complementary search dialog alert alertdialog menu menubar toolbar form".split())
-#: Words in class or id that mark furniture, and those that mark content.
+#: Words in class or id that mark furniture, words that mark it unless the
+#: name also speaks of content, and words that speak of content.
 BAD = frozenset(
-    "ad ads adv advert adverts advertisement advertising banner breadcrumb breadcrumbs byline comment comments commentlist consent cookie cookies copyright disqus footer gdpr header hidden login masthead menu modal nav navbar navigation newsletter notice notices notification overlay pager pagination paywall popup promo promotion promoted recommended related reply replies respond rss search share sharing sidebar signup skip social sponsor sponsored subscribe subscription tags toolbar topbar widget widgets discussion aside alert".split()
+    "ad ads adv advert adverts advertisement advertising banner breadcrumb breadcrumbs comment comments commentlist consent cookie cookies copyright disqus disclaimer footer gdpr hidden login masthead menu modal nav navbar navigation newsletter notice notices notification notifications overlay pager pagination paywall popup promo promotion promoted recommended related reply replies respond share sharing sidebar signup skip sponsor sponsored subscribe subscription toolbar topbar widget widgets discussion aside alert feedback".split()
 )
-GOOD = frozenset("article body content entry main post story text page blog column hentry".split())
+WEAK = frozenset("header byline rss search social tags meta author".split())
+GOOD = frozenset("article body content entry main post story text hentry".split())
+#: "with-sidebar" and the like describe a layout, not the element.
+LAYOUT = frozenset("with has no without".split())
 CLOSES = {
     "li": ({"li"}, {"ul", "ol", "menu", "dir"}), "dt": ({"dt", "dd"}, {"dl"}), "dd": ({"dt", "dd"}, {"dl"}), "tr": ({"tr", "td", "th"}, {"table"}),
     "td": ({"td", "th"}, {"tr", "table"}), "th": ({"td", "th"}, {"tr", "table"}), "tbody": ({"tbody", "thead", "tfoot", "tr", "td", "th"}, {"table"}), "option": ({"option"}, {"select"}),
@@ -158,11 +162,13 @@ def furniture(node: Node) -> bool:
         return True
     if re.search(r"display\s*:\s*none|visibility\s*:\s*hidden", attrs.get("style", "")):
         return True
-    if tag == "main" or not words & BAD:
+    if words & LAYOUT or tag == "main":
         return False
     if tag == "article":
         return bool(words & {"comment", "comments", "reply", "ad", "advert", "promo", "related", "sponsored"})
-    return not (words & GOOD and not words & {"comment", "comments", "ad", "ads", "advert", "sidebar", "related", "footer", "promo", "cookie", "share"})
+    if words & BAD:
+        return True
+    return bool(words & WEAK) and not words & GOOD and not _inside_article(node.parent)
 
 
 def prune(node: Node) -> None:

@@ -19,6 +19,10 @@ WANT = "First, a sentence that runs on.\nSecond & last, with bold text."
     (f"<body><article>{BODY}<p>cut o", WANT + "\ncut o"),
     (f"<body><article>{BODY}<p class='a", WANT),
     (f"<body><div class=cookie-notice><p>We use cookies, yes, many, of them.</p></div><div>{BODY}</div>", WANT),
+    (f"<body><div class='main-menu'><ul><li>Home, sweet home</li></ul></div><div class='content has-sidebar'>{BODY}</div><div class='main-footer'>Foot, note.</div></body>", WANT),
+    (f"<body><div id='page'><div class='page-header'>Site</div><div class='entry'><div class='entry-header'><h1>T</h1></div>{BODY}<div class='post-comments'><p>Well, I never, said, a reader.</p></div></div></div>", "T\n" + WANT),
+    (f"<body><article>{BODY}<div class='ad-slot'>Buy, now</div><div class='related-posts'><a href=x>More</a></div><aside>Note</aside><p>End.</p></article>", WANT + "\nEnd."),
+    ("<body><div><p>One, two, three.</p></div><div><p>Four, five, six.</p></div><div><a href=a>x</a> <a href=b>y</a> <a href=c>z</a></div>", "One, two, three.\nFour, five, six."),
     ("<body><article><ul><li>a<li>b</ul>3 < 4</article>", "a\nb\n3 < 4"),
 ])
 def test_pages(page, want):
