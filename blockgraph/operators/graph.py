@@ -114,7 +114,8 @@ def _padded(lists: list, degree: int) -> np.ndarray:
 
 
 def vamana(space: Space, degree: int, build_list: int = 64, alpha: float = 1.2, seed: int = 7) -> np.ndarray:
-    """Two passes of search and robust prune from a random regular graph."""
+    """Two passes of search and robust prune from a random regular graph; rows
+    that end up without a way from the medoid are connected."""
     n = space.n
     if n < 2:
         return np.full((n, degree), -1, np.int32)
@@ -131,7 +132,7 @@ def vamana(space: Space, degree: int, build_list: int = 64, alpha: float = 1.2,
                     lists[v].append(i)
                     if len(lists[v]) > degree:
                         lists[v] = robust_prune(space, v, lists[v], degree, a)
-    return _padded(lists, degree)
+    return _padded(connect(space, lists, start, degree), degree)
 
 
 def connect(space: Space, lists: list, root: int, degree: int) -> list:

@@ -907,3 +907,71 @@ def at_accuracy_interp(spark, sf_dir):
 def io_model(spark, sf_dir):
     rows = [(o, l, round(budget.io_model(o, l, x, e), 6) + 0.0) for o, l, x, e in ((31, 182, 0.3438, 16), (48, 240, 0.4429, 7))]
     return spark.createDataFrame(rows, "o int, l int, ios double")
+
+
+@query()
+def ios_table(spark, sf_dir):
+    """Reads for 1, 10, 50 and a quarter of the vectors, all three methods."""
+    v = features.emb_f32(spark, sf_dir)
+    base, q = _split(v)
+    quarter = v.count() // 4
+    out = None
+    for k in (1, 10, 50, quarter):
+        g = max(40, 2 * k)
+        part = curve(spark, sf_dir, [({"method": "block", "k": k}, DEFAULT, _ask(k, cand_size=g)), ({"method": "vertex", "k": k}, VERTEX, _ask(k, method="vertex", cand_size=g, cache=True))]).select("method", "k", "accuracy", "mean_ios")
+        out = part if out is None else out.unionAll(part)
+    c = kmeans.fit(base, 24, 4)
+    p = stored(postings.assign(base, c, 3, 0.15, 1.6), "postings")
+    probes = postings.probe(q, c, 12, 0.3)
+    r = measures.recall(postings.search(p, probes, 10), exact.knn(base, q, 10), 10, q).agg(F.avg("recall").alias("accuracy"))
+    io = postings.block_reads(p, probes, 256).agg(F.avg("ios").alias("mean_ios"))
+    return out.unionAll(r.join(F.broadcast(io)).select(F.lit("postings").alias("method"), F.lit(10).alias("k"), "accuracy", "mean_ios"))  # one row each
+
+
+def _sized(spark, sf_dir, rows: list[tuple[dict, float, index.Build]]) -> DataFrame:
+    """Searches over a share of the base, by hash of the id."""
+    v = features.emb_f32(spark, sf_dir)
+    base, q = _split(v)
+    out = None
+    for names, share, b in rows:
+        part = base.where(hashing.in_sample(F.col("vec_id"), share))
+        i = once(spark, ("share", sf_dir, share, b), lambda part=part, b=b: stored(index.build(index.assign(part, 1), b), "index"))
+        found = stored(index.run_queries(i, index.everywhere(q, 1), _ask()), "found")
+        acc = measures.recall(index.merge(found, 10), exact.knn(part, q, 10), 10, q)
+        row = index.stats(found).join(acc, "query_id").agg(F.avg("recall").alias("accuracy"), F.avg("ios").alias("mean_ios"), F.avg("hops").alias("ell"))
+        row = row.select(*(F.lit(x).alias(n) for n, x in names.items()), *row.columns)
+        out = row if out is None else out.unionAll(row)
+    return out
+
+
+@query()
+def segment_size_table(spark, sf_dir):
+    """A quarter, a half and all of the vectors in one segment."""
+    return _sized(spark, sf_dir, [({"share": s}, s, DEFAULT) for s in (0.25, 0.5, 1.0)])
+
+
+@query()
+def fixed_space_table(spark, sf_dir):
+    """More vectors in the same space: degree, navigator and codes shrink."""
+    settings = ((0.25, 24, 0.2, 32), (0.5, 16, 0.1, 16), (1.0, 10, 0.05, 8))
+    return _sized(spark, sf_dir, [({"share": s, "max_degree": d, "mu": m, "code_bytes": c}, s, index.Build(max_degree=d, sample_ratio=m, n_sub=c)) for s, d, m, c in settings])
+
+
+@query("select n as slices, true as same from (values (1), (2), (4)) t(n)")
+def slices_equal(spark, sf_dir):
+    """Answers and reads don't depend on how many tasks serve a segment."""
+    runs = [stored(_search(spark, sf_dir, _ask(), slices=n).select("query_id", "kind", "vec_id", "dist", "ios", "hops"), "found") for n in (1, 2, 4)]
+    out = [(n, runs[0].exceptAll(r).isEmpty() and r.exceptAll(runs[0]).isEmpty()) for n, r in zip((1, 2, 4), runs)]
+    return spark.createDataFrame(out, "slices int, same boolean")
+
+
+@query()
+def memory_table(spark, sf_dir):
+    """Bytes of a navigator and of a cache of hot vertices by their ratio."""
+    n = features.emb_f32(spark, sf_dir).count()
+    rows = []
+    for mu in (0.01, 0.05, 0.1, 0.2):
+        m = max(1, round(mu * n))
+        rows.append(("navigator", mu, sum(budget.memory_bytes(n, 64, 4, m, 8, 16).values())))
+        rows.append(("cache", mu, m * (64 * 4 + 4 + 4 * 16) + 16 * n))
+    return spark.createDataFrame(rows, "kind string, mu double, bytes long")
