@@ -134,6 +134,7 @@ class _Run:
         self.hits: dict[int, float] = {}
         self.out = Found([], [])
         self.buffer: set[int] = set()
+        self.waiting: list[int] = []
         self.table = pq.lookup(self.q, seg.book, seg.metric) if o.routing == "pq" and seg.book else None
 
     def route(self, rows: list[int], charge: bool) -> np.ndarray:
@@ -216,54 +217,66 @@ class _Run:
             if r not in self.done:
                 self.expand(r)
 
-    def rounds(self) -> None:
-        waiting: list[int] = []
+    def choose(self) -> list[int]:
+        """The next targets; survivors that wait are explored first if the
+        list has none, and a radius search widens its list if it pays."""
         while True:
             now = self.targets()
-            if not now:
-                if not waiting:
-                    return
-                self.explore(waiting)  # the last block's survivors
-                waiting = []
-                continue
-            self.out.rounds += 1
-            loaded = [(u, self.load(u)) for u in now]
-            if self.o.pipelined:
-                # while the blocks were read, the survivors of the last ones
-                self.explore(waiting)
-                waiting = []
-            for u, kept in loaded:
-                self.result([u])
-                self.expand(u)
-                waiting += kept
-            if not self.o.pipelined:
-                self.explore(waiting)
-                waiting = []
-
-    def go(self) -> Found:
-        began = time.perf_counter()
+            if now:
+                return now
+            if self.waiting:
+                self.explore(self.waiting)  # the last block's survivors
+                self.waiting = []
+            elif not self.grow():
+                return []
+
+    def grow(self) -> bool:
+        """Double the list if most of it are hits and rows were kicked out."""
+        if self.radius is None or not self.pool or not self.kicked:
+            return False
+        if len(self.hits) / len(self.pool) < self.o.grow_ratio:
+            return False
+        self.cap *= 2
+        self.out.restarts += 1
+        while self.kicked and len(self.pool) < self.cap:
+            insort(self.pool, heapq.heappop(self.kicked))
+        return True
+
+    def apply(self, now: list[int]) -> None:
+        """Read the targets' blocks and take in what they bring."""
+        self.out.rounds += 1
+        loaded = [(u, self.load(u)) for u in now]
+        if self.o.pipelined:
+            # while the blocks were read, the survivors of the last ones
+            self.explore(self.waiting)
+            self.waiting = []
+        for u, kept in loaded:
+            self.result([u])
+            self.expand(u)
+            self.waiting += kept
+        if not self.o.pipelined:
+            self.explore(self.waiting)
+            self.waiting = []
+
+    def begin(self) -> None:
         start, self.out.nav_hops = entry_rows(self.seg, self.q, self.o)
         if start:
             self.result(start)
             self.add(start, charge=False)
-            self.rounds()
-            while self.radius is not None:
-                if not self.pool or len(self.hits) / len(self.pool) < self.o.grow_ratio:
-                    break
-                if len(self.pool) < self.cap and not self.kicked:
-                    break
-                if not self.kicked:
-                    break
-                self.cap *= 2
-                self.out.restarts += 1
-                while self.kicked and len(self.pool) < self.cap:
-                    insort(self.pool, heapq.heappop(self.kicked))
-                self.rounds()
-        self.out.total_s = time.perf_counter() - began
+
+    def finish(self) -> Found:
         order = sorted((round(d, 6) + 0.0, r) for r, d in self.hits.items())
         self.out.rows, self.out.dists = [r for _, r in order], [d for d, _ in order]
         return self.out
 
+    def go(self) -> Found:
+        began = time.perf_counter()
+        self.begin()
+        while now := self.choose():
+            self.apply(now)
+        self.out.total_s = time.perf_counter() - began
+        return self.finish()
+
 
 def anns(seg: Segment, q: np.ndarray, k: int, o: Options) -> Found:
     out = _Run(seg, q, o, None).go()

@@ -165,3 +165,17 @@ def test_layout_moves_no_bytes(segments):
 
 def test_options_are_values():
     assert replace(O(), cand_size=5).cand_size == 5
+
+
+@pytest.mark.parametrize("ask", [
+    index.Ask(5, options=O(cand_size=8)), index.Ask(5, options=O(cand_size=6, beam_width=3, pipelined=False)), index.Ask(r=1.3, options=O(cand_size=4, n_entry=2)), index.Ask(5, method="vertex", options=O(cand_size=8, cache=True)),
+])
+def test_supersteps_equal_segment_tasks(spark, ask):
+    from blockgraph.operators import frontier
+
+    v = features.emb_f32(spark, "/root/testdata/sf0.001").where("vec_id < 120")
+    i = index.build(index.assign(v, 2), index.Build(max_degree=8, layout="freq", hot_ratio=0.05)).cache()
+    q = index.everywhere(exact.sample_queries(v, 30, 3), 2)
+    keys = ["query_id", "segment_id", "kind", "vec_id", "dist", "ios", "hops", "nav_hops", "restarts", "rounds", "used", "loaded", "blocks"]
+    rows = lambda f: sorted((tuple(r) for r in f.select(*keys).collect()), key=str)
+    assert rows(frontier.run_queries(i, q, ask)) == rows(index.run_queries(i, q, ask))
