@@ -262,12 +262,13 @@ def hex_of(fp: Column) -> Column:
     return F.lower(F.lpad(F.hex(fp), 16, "0"))
 
 
-def keep_one(df: DataFrame, radius: int = 4, k: int = 4) -> DataFrame:
+def keep_one(df: DataFrame, radius: int = 4, k: int = 4, broadcast_ids: int = 500_000) -> DataFrame:
     """The row of each component with the smallest id; rows without an id, which
-    can't be told apart, stay."""
-    found = near_duplicates(df.select("doc_id", "text"), radius, k)
-    first = materialise(found.where("doc_id = component_id").groupBy("doc_id").agg(F.count(F.lit(1)).alias("n")), "kept")
-    kept = df.join(first.select("doc_id"), "doc_id", "left_semi")
-    if not first.where("n > 1").isEmpty():
-        kept = kept.dropDuplicates(["doc_id"])
-    return kept.select(*own(df)).unionAll(df.where("doc_id is null"))
+    can't be told apart, stay. The ids to drop are broadcast up to
+    ``broadcast_ids`` of them; beyond, both sides are shuffled by id."""
+    found = materialise(near_duplicates(df.select("doc_id", "text"), radius, k).select("doc_id", "component_id"), "classes")
+    late = materialise(found.where("doc_id <> component_id").select("doc_id").distinct(), "late")
+    kept = df.join(F.broadcast(late) if late.count() <= broadcast_ids else late.hint("merge"), "doc_id", "left_anti")
+    if not found.where("doc_id = component_id").groupBy("doc_id").count().where("count > 1").isEmpty():
+        kept = kept.where("doc_id is not null").dropDuplicates(["doc_id"]).unionByName(df.where("doc_id is null"))
+    return kept.select(*own(df))

@@ -72,8 +72,11 @@ def test_query(spark):
         assert got == sorted({(min(i for i, g in zip(ids, fps) if g == f), low[r]) for f, r in zip(fps, root)})
     got = sorted((r.doc_id, r.fp % 2**64, r.component_id) for r in simhash.near_duplicates(df).collect())
     assert got == want
-    kept = simhash.keep_one(df)
-    assert sorted(r.doc_id for r in kept.collect()) == sorted(set(low.values()))
+    for limit in (500_000, 0):
+        kept = simhash.keep_one(df, broadcast_ids=limit)
+        assert kept.columns == df.columns and sorted(r.doc_id for r in kept.collect()) == sorted(set(low.values()))
+    extra = spark.createDataFrame([(1, "x", "o"), (1, "x", "o"), (2, "x", "p"), (None, "x", "q")], "doc_id long, text string, `a.b` string")
+    assert sorted(map(tuple, simhash.keep_one(extra).collect()), key=str) == [(1, "x", "o"), (None, "x", "q")]
 
 
 def test_empty(spark):
