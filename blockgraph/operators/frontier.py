@@ -71,14 +71,14 @@ def _segment(keep: dict, pages: pd.DataFrame) -> search.Segment:
 def _freeze(run: search._Run, now: list[int]) -> bytes:
     seg = run.seg
     run.seg = None
-    held = {r: (dict.__getitem__(seg.vecs, r), dict.__getitem__(seg.nbrs, r)) for r in run.waiting}
+    held = {r: dict.__getitem__(seg.nbrs, r) for r in run.waiting}
     return pickle.dumps((run, now, held))
 
 
 def _thaw(state: bytes, seg: search.Segment) -> tuple[search._Run, list[int]]:
     run, now, held = pickle.loads(state)
-    for r, (v, n) in held.items():
-        seg.vecs[r], seg.nbrs[r] = v, n
+    for r, n in held.items():
+        seg.nbrs[r] = n
     run.seg = seg
     return run, now
 

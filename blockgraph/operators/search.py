@@ -9,11 +9,11 @@ import io
 import math
 import time
 from bisect import insort
+from itertools import islice
 from dataclasses import dataclass, field
 
 import numpy as np
 
-from ..functions.distance import pairwise
 from . import pq
 
 
@@ -89,7 +89,15 @@ class Found:
 
 
 def exact(seg: Segment, q: np.ndarray, rows) -> np.ndarray:
-    return pairwise(q, seg.vecs[rows], seg.metric)[0]
+    """Distances of a query to some rows."""
+    v = seg.vecs[rows]
+    if seg.metric == "ip":
+        return -(v @ q)
+    if seg.metric == "cosine":
+        return 1 - (v @ q) / np.sqrt(np.einsum("ij,ij->i", v, v) * (q @ q))
+    d = v - q
+    d = np.einsum("ij,ij->i", d, d)
+    return np.sqrt(d) if seg.metric == "l2" else d
 
 
 def vertex_in_memory(nbrs: np.ndarray, dist, entry: int, width: int) -> tuple[list[tuple[float, int]], int]:
@@ -156,13 +164,14 @@ class _Run:
             self.buffer = {block}
         self.out.io_s += time.perf_counter() - began
 
-    def add(self, rows: list[int], charge: bool = True) -> None:
+    def add(self, rows, charge: bool = True) -> None:
         new = [r for r in dict.fromkeys(rows) if r not in self.known]
         if not new:
             return
-        for r, d in zip(new, self.route(new, charge).tolist()):
-            self.known[r] = d
-            insort(self.pool, (d, r))
+        got = self.route(new, charge).tolist()
+        self.known.update(zip(new, got))
+        self.pool += zip(got, new)
+        self.pool.sort()
         self.shrink()
 
     def shrink(self) -> None:
@@ -173,37 +182,44 @@ class _Run:
             elif r not in self.done:
                 heapq.heappush(self.kicked, (d, r))
 
-    def result(self, rows) -> None:
-        rows = [int(r) for r in rows if r not in self.hits]
-        if rows:
-            for r, d in zip(rows, exact(self.seg, self.q, rows).tolist()):
-                if self.radius is None or round(d, 6) <= self.radius:
-                    self.hits[r] = d
+    def hit(self, row: int, d: float) -> None:
+        if self.radius is None or round(d, 6) <= self.radius:
+            self.hits[row] = d
 
-    def expand(self, row: int) -> None:
-        self.done.add(row)
-        self.add([int(v) for v in self.seg.nbrs[row] if v >= 0])
+    def expand(self, rows: list[int]) -> None:
+        """Put the neighbours of some rows on the list, all at once."""
+        rows = [r for r in rows if r not in self.done]
+        if rows:
+            self.done.update(rows)
+            near = self.seg.nbrs[rows].ravel()
+            self.add(near[near >= 0].tolist())
 
     def targets(self) -> list[int]:
-        return [r for _, r in self.pool if r not in self.done][: self.o.beam_width]
+        return list(islice((r for _, r in self.pool if r not in self.done), self.o.beam_width))
 
     def load(self, target: int) -> list[int]:
-        """Read the target's block; its survivors, nearest first."""
+        """Read the target's block; the target and the survivors become
+        results. Returns the survivors, nearest first."""
         self.out.hops += 1
         if self.o.cache and target in self.seg.hot:
+            if target not in self.hits:
+                self.hit(target, float(exact(self.seg, self.q, [target])[0]))
             return []
         b = int(self.seg.block[target])
         if b not in self.buffer or self.o.keep_blocks == "none":
             self.read(b, target)
         members = self.seg.members[b]
-        others = members[members != target]
-        kept: list[int] = []
         n = survivors_kept(len(members), self.o.prune_ratio)
-        if len(others) and (n or self.o.result_scope == "block"):
-            d = exact(self.seg, self.q, others)
-            kept = others[np.lexsort((others, d))][:n].tolist()
-            if self.o.result_scope == "block":
-                self.result(others)
+        kept: list[int] = []
+        if n or self.o.result_scope == "block":
+            d = exact(self.seg, self.q, members).tolist()
+            near = sorted((x, r) for x, r in zip(d, members.tolist()) if r != target)
+            kept = [r for _, r in near[:n]]
+            self.hit(target, d[members.tolist().index(target)])
+            for x, r in near if self.o.result_scope == "block" else near[:n]:
+                self.hit(r, x)
+        else:
+            self.hit(target, float(exact(self.seg, self.q, [target])[0]))
         self.out.blocks += 1
         self.out.used += 1 + len(kept)
         self.out.loaded += len(members)
@@ -211,12 +227,6 @@ class _Run:
             self.out.trace.append((self.out.hops, b, 1 + len(kept), len(members)))
         return kept
 
-    def explore(self, rows: list[int]) -> None:
-        for r in rows:
-            self.result([r])
-            if r not in self.done:
-                self.expand(r)
-
     def choose(self) -> list[int]:
         """The next targets; survivors that wait are explored first if the
         list has none, and a radius search widens its list if it pays."""
@@ -225,7 +235,7 @@ class _Run:
             if now:
                 return now
             if self.waiting:
-                self.explore(self.waiting)  # the last block's survivors
+                self.expand(self.waiting)  # the last block's survivors
                 self.waiting = []
             elif not self.grow():
                 return []
@@ -248,20 +258,20 @@ class _Run:
         loaded = [(u, self.load(u)) for u in now]
         if self.o.pipelined:
             # while the blocks were read, the survivors of the last ones
-            self.explore(self.waiting)
+            self.expand(self.waiting)
             self.waiting = []
-        for u, kept in loaded:
-            self.result([u])
-            self.expand(u)
+        self.expand(now)
+        for _, kept in loaded:
             self.waiting += kept
         if not self.o.pipelined:
-            self.explore(self.waiting)
+            self.expand(self.waiting)
             self.waiting = []
 
     def begin(self) -> None:
         start, self.out.nav_hops = entry_rows(self.seg, self.q, self.o)
         if start:
-            self.result(start)
+            for r, d in zip(start, exact(self.seg, self.q, start).tolist()):
+                self.hit(r, d)
             self.add(start, charge=False)
 
     def finish(self) -> Found:

@@ -539,10 +539,15 @@ FULL = search.Options(cand_size=BIG, nav_cand_size=20)
 DEFAULT = index.Build()
 
 
-def _search(spark, sf_dir, ask: index.Ask, b: index.Build = DEFAULT, held_out: bool = True, n_segments: int = 1, slices: int = 1) -> DataFrame:
+def _slices(spark, n_segments: int) -> int:
+    """Tasks for each segment, so that a batch on few segments uses all cores."""
+    return max(1, min(8, spark.sparkContext.defaultParallelism // n_segments))
+
+
+def _search(spark, sf_dir, ask: index.Ask, b: index.Build = DEFAULT, held_out: bool = True, n_segments: int = 1, slices: int | None = None) -> DataFrame:
     i = one_segment(spark, sf_dir, b, held_out=held_out, n_segments=n_segments)
     q = exact.sample_queries(features.emb_f32(spark, sf_dir))
-    return index.run_queries(i, index.everywhere(q, n_segments), ask, slices)
+    return index.run_queries(i, index.everywhere(q, n_segments), ask, slices or _slices(spark, n_segments))
 
 
 def _with(o: search.Options, **changes) -> search.Options:
@@ -700,7 +705,7 @@ def curve(spark, sf_dir, settings: list[tuple[dict, index.Build, index.Ask]], so
     truths: dict = {}
     for names, b, ask in settings:
         i = one_segment(spark, sf_dir, b, source, held_out, n_segments)
-        found = stored(index.run_queries(i, index.everywhere(q, n_segments), ask), "found")
+        found = stored(index.run_queries(i, index.everywhere(q, n_segments), ask, _slices(spark, n_segments)), "found")
         got = index.merge(found, None if ask.r is not None else ask.k)
         key = (ask.k, ask.r, b.metric)
         if key not in truths:
