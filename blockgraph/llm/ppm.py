@@ -19,7 +19,7 @@ what makes the pretrained model a table: each distinct string is coded once.
 
 Pretrained scoring on Spark. Texts are dealt into chunks of bounded size by a
 hash. Each chunk sends its distinct strings and tokens with their training
-counts, never positions or texts. Strings are dealt by the last two bytes of
+counts, packed, never positions or texts. Strings are dealt by the last two bytes of
 their context, so each task holds whole subtrees of the trie; the contexts of
 length 0 and 1 have at most 65,792 counts and are broadcast. Each chunk gets
 back the code lengths of its own strings and scores its texts. All counts cover
@@ -42,6 +42,7 @@ from collections import Counter, defaultdict
 import numpy as np
 import pyarrow as pa
 import xxhash
+import zstandard
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -142,7 +143,7 @@ class Tally:
         k, n = distinct(keys)
         self.parts.append((k, n if train else np.zeros(len(k), np.int64)))
         self.waiting += len(k)
-        if self.waiting > 2_000_000 + len(self.keys):
+        if self.waiting > 1_000_000 + len(self.keys) // 2:
             self.fold()
 
     def fold(self) -> None:
@@ -155,7 +156,7 @@ def token_key(token: bytes) -> int:
     return xxhash.xxh64_intdigest(token) >> 1
 
 
-def _text_slices(texts: list[bytes], flags: list[bool], step: int = 4 << 20):
+def _text_slices(texts: list[bytes], flags: list[bool], step: int = 2 << 20):
     """Runs of texts with the same flag, of about step bytes."""
     for flag in (True, False):
         part, size = [], 0
@@ -170,17 +171,40 @@ def _text_slices(texts: list[bytes], flags: list[bool], step: int = 4 << 20):
             yield flag, part
 
 
-def chunk_tables(docs: DataFrame, order: int) -> DataFrame:
-    """(chunk, kind, key, n): the distinct strings (kind 0) and tokens (kind 1)
-    of every chunk and their counts in its training texts."""
+def squeeze(x: np.ndarray) -> bytes:
+    """Eight-byte values as compressed byte planes; sorted integers as steps."""
+    if x.dtype == np.int64:
+        x = np.diff(x, prepend=np.int64(0))
+    return zstandard.compress(np.ascontiguousarray(x.view(np.uint8).reshape(-1, 8).T).tobytes(), 1)
+
+
+def unsqueeze(data: bytes, kind=np.int64) -> np.ndarray:
+    x = np.frombuffer(zstandard.decompress(data), np.uint8).reshape(8, -1).T
+    x = np.ascontiguousarray(x).view(kind).ravel()
+    return np.cumsum(x) if kind == np.int64 else x
+
+
+STRINGS = "chunk int, bucket int, keys binary, counts binary"
+WORDS = "chunk int, key long, n long"
+
+
+def _bucket(keys: np.ndarray, buckets: int) -> np.ndarray:
+    """By the last two bytes of the context."""
+    tail = (keys >> 8 & 0xFFFF).astype(np.uint64)
+    return ((tail * np.uint64(0x9E3779B1) >> np.uint64(7)) % np.uint64(buckets)).astype(np.int64)
+
+
+def _texts(table: pa.Table) -> tuple[list[bytes], list[bool]]:
+    return [as_text(t) for t in table.column("text").to_pylist()], table.column("train").to_pylist()
+
+
+def _chunk_rows(docs: DataFrame, order: int, buckets: int) -> DataFrame:
+    """The distinct strings of every chunk, packed by bucket, with their counts
+    in its training texts; in bucket -1 the same for its tokens."""
 
     def run(key, table):
-        texts = [as_text(t) for t in table.column("text").to_pylist()]
-        flags = table.column("train").to_pylist()
-        grams = Tally()
-        for train, part in _text_slices(texts, flags):
-            grams.add(strings_of(part, order)[0], train)
-        grams.fold()
+        texts, flags = _texts(table)
+        chunk, rows = key[0].as_py(), []
         words: dict[bool, Counter] = {True: Counter(), False: Counter()}
         for t, f in zip(texts, flags):
             words[f].update(t.translate(LOWER_TABLE).split())
@@ -188,28 +212,63 @@ def chunk_tables(docs: DataFrame, order: int) -> DataFrame:
         tokens = list(train.keys() | words[False].keys())
         keys = np.fromiter(map(token_key, tokens), np.int64, len(tokens))
         counts = np.fromiter((train.get(t, 0) for t in tokens), np.int64, len(tokens))
-        keys, counts = np.r_[keys, END_KEY], np.r_[counts, sum(flags)]
-        kind = np.repeat(np.array([0, 1], np.int8), [len(grams.keys), len(keys)])
-        return pa.table({
-            "chunk": pa.array(np.full(len(kind), key[0].as_py(), np.int32)),
-            "kind": pa.array(kind),
-            "key": pa.array(np.r_[grams.keys, keys]),
-            "n": pa.array(np.r_[grams.counts, counts]),
-        })
+        del words, train, tokens
+        by_key = np.argsort(keys)
+        keys, counts = np.r_[END_KEY, keys[by_key]], np.r_[sum(flags), counts[by_key]]
+        rows.append({"chunk": chunk, "bucket": -1, "keys": squeeze(keys), "counts": squeeze(np.cumsum(counts))})
+        grams = Tally()
+        for f, part in _text_slices(texts, flags):
+            grams.add(strings_of(part, order)[0], f)
+        grams.fold()
+        place = _bucket(grams.keys, buckets)
+        by_place = np.argsort(place, kind="stable")
+        edge = np.searchsorted(place[by_place], np.arange(buckets + 1))
+        for q in range(buckets):
+            i = by_place[edge[q] : edge[q + 1]]
+            if len(i):
+                rows.append({"chunk": chunk, "bucket": q, "keys": squeeze(grams.keys[i]), "counts": squeeze(np.cumsum(grams.counts[i]))})
+        return pa.Table.from_pylist(rows, pa.schema([("chunk", pa.int32()), ("bucket", pa.int32()), ("keys", pa.binary()), ("counts", pa.binary())]))
+
+    return docs.groupBy("chunk").applyInArrow(run, STRINGS)
 
-    return docs.groupBy("chunk").applyInArrow(run, "chunk int, kind byte, key long, n long")
 
+def _counts(data: bytes) -> np.ndarray:
+    return np.diff(unsqueeze(data), prepend=np.int64(0))
 
-def _near_root(tables: DataFrame) -> tuple[np.ndarray, np.ndarray]:
+
+def _near_root(strings: DataFrame) -> tuple[np.ndarray, np.ndarray]:
     """Training counts of single symbols (256) and of pairs (65,536): sizes
-    that no corpus can pass."""
-    pairs = tables.where("kind = 0 and n > 0").groupBy(F.col("key").bitwiseAND(F.lit(0xFFFF)).alias("pair")).agg(F.sum("n").alias("n")).collect()
+    that no corpus can pass. Every task sends one row of pairs at most."""
+
+    def run(batches):
+        two = np.zeros(65536, np.int64)
+        for b in batches:
+            for k, n in zip(b.column(0).to_pylist(), b.column(1).to_pylist()):
+                two += np.bincount(unsqueeze(k) & 0xFFFF, _counts(n), 65536).astype(np.int64)
+        hit = np.flatnonzero(two)
+        yield pa.RecordBatch.from_arrays([pa.array(hit), pa.array(two[hit])], names=["pair", "n"])
+
+    pairs = strings.where("bucket >= 0").select("keys", "counts").mapInArrow(run, "pair long, n long").groupBy("pair").agg(F.sum("n").alias("n")).collect()
     two = np.zeros(65536, np.int64)
     for r in pairs:
         two[r.pair] = r.n
     return two.reshape(256, 256).sum(0), two
 
 
+def _words(strings: DataFrame) -> DataFrame:
+    """(chunk, key, n) of the tokens."""
+
+    def run(batches):
+        for b in batches:
+            for c, k, n in zip(*(b.column(i).to_pylist() for i in range(3))):
+                keys, counts = unsqueeze(k), _counts(n)
+                for i in range(0, len(keys), 100_000):
+                    part = keys[i : i + 100_000]
+                    yield pa.RecordBatch.from_arrays([pa.array(np.full(len(part), c, np.int32)), pa.array(part), pa.array(counts[i : i + 100_000])], names=["chunk", "key", "n"])
+
+    return strings.where("bucket = -1").select("chunk", "keys", "counts").mapInArrow(run, WORDS)
+
+
 def code_strings(keys: np.ndarray, counts: np.ndarray, order: int, one: np.ndarray, two: np.ndarray, escape: str = "C") -> np.ndarray:
     """log10 code probability of each distinct string (sorted keys of order + 1
     bytes). counts are training counts; a caller passes all strings that share
@@ -265,27 +324,45 @@ def code_strings(keys: np.ndarray, counts: np.ndarray, order: int, one: np.ndarr
     return out
 
 
-def _coded(tables: DataFrame, order: int, escape: str, one: np.ndarray, two: np.ndarray) -> DataFrame:
-    """(chunk, kind, key, v double): the code length of each string a chunk has."""
-    tasks = int(tables.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-    tail = F.shiftrightunsigned("key", 8).bitwiseAND(F.lit(0xFFFF))
-    sent = tables.sparkSession.sparkContext.broadcast((one, two))
+def _coded(strings: DataFrame, order: int, escape: str, one: np.ndarray, two: np.ndarray) -> DataFrame:
+    """(chunk, kind 0, keys, values): code lengths of the strings a chunk has."""
+    sent = strings.sparkSession.sparkContext.broadcast((one, two))
 
-    def run(batches):
-        got = [(b.column(0).to_numpy(), b.column(1).to_numpy(), b.column(2).to_numpy()) for b in batches if b.num_rows]
-        if not got:
-            return
-        chunk, key, n = (np.concatenate(x) for x in zip(*got))
-        keys, counts = distinct(key, n)
+    def run(key, table):
+        parts = [(unsqueeze(k), _counts(n)) for k, n in zip(table.column("keys").to_pylist(), table.column("counts").to_pylist())]
+        keys, counts = distinct(np.concatenate([p[0] for p in parts]), np.concatenate([p[1] for p in parts]))
         value = code_strings(keys, counts, order, *sent.value, escape)
-        at = np.searchsorted(keys, key)
-        for i in range(0, len(key), 100_000):
-            s = slice(i, i + 100_000)
+        values = [squeeze(value[np.searchsorted(keys, p[0])]) for p in parts]
+        n = len(values)
+        return pa.table({"chunk": table.column("chunk"), "kind": pa.array([0] * n, pa.int32()), "keys": table.column("keys"), "values": pa.array(values, pa.binary())})
+
+    return strings.where("bucket >= 0").groupBy("bucket").applyInArrow(run, "chunk int, kind int, keys binary, values binary")
+
+
+def _counted(words: DataFrame) -> DataFrame:
+    """(chunk, kind 1, keys, values): training counts, over all chunks, of the
+    tokens a chunk has. A token comes once from each chunk, so no group is
+    larger than the number of chunks."""
+    total = words.groupBy("key").agg(F.sum("n").alias("c"), F.collect_list("chunk").alias("chunks"))
+    flat = total.select(F.explode("chunks").alias("chunk"), "key", "c")
+
+    def run(batches):
+        got: dict[int, list] = {}
+        for b in batches:
+            chunk, key, c = (b.column(i).to_numpy() for i in range(3))
+            order = np.argsort(chunk, kind="stable")
+            edge = np.flatnonzero(np.r_[True, np.diff(chunk[order]) != 0]) if len(order) else []
+            for x, y in zip(edge, np.r_[edge[1:], len(order)].astype(int)):
+                i = order[x:y]
+                got.setdefault(int(chunk[i[0]]), []).append((key[i], c[i]))
+        for k, parts in got.items():
+            keys, c = (np.concatenate(p) for p in zip(*parts))
+            by_key = np.argsort(keys)
             yield pa.RecordBatch.from_arrays(
-                [pa.array(chunk[s]), pa.array(np.zeros(len(chunk[s]), np.int8)), pa.array(key[s]), pa.array(value[at[s]])], names=["chunk", "kind", "key", "v"]
+                [pa.array([k], pa.int32()), pa.array([1], pa.int32()), pa.array([squeeze(keys[by_key])], pa.binary()), pa.array([squeeze(np.cumsum(c[by_key]))], pa.binary())], names=["chunk", "kind", "keys", "values"]
             )
 
-    return tables.where("kind = 0").select("chunk", "key", "n", tail.alias("t")).repartition(tasks, "t").select("chunk", "key", "n").mapInArrow(run, "chunk int, kind byte, key long, v double")
+    return flat.mapInArrow(run, "chunk int, kind int, keys binary, values binary")
 
 
 class StringTable:
@@ -349,31 +426,38 @@ def _score_chunk(texts: list[bytes], keys: np.ndarray, values: np.ndarray, token
     return n_tokens, n_known, base, score
 
 
-def score(df: DataFrame, train: Column, order: int = 4, escape: str = "C", chunk_bytes: int = 24 << 20, id_col: str = "doc_id", text: str = "text") -> DataFrame:
+def score(df: DataFrame, train: Column, order: int = 6, escape: str = "D", chunk_bytes: int = 16 << 20, id_col: str = "doc_id", text: str = "text") -> DataFrame:
     """Pretrained scores of every row: doc_id, train, n_tokens, n_known,
     train_tokens, base_score, score. ``train`` says which rows to learn from."""
     if not 2 <= order <= 6:
         raise ValueError("order is from 2 to 6")
-    chunks = chunk_count(df.sparkSession, text_bytes(df, text), chunk_bytes)
+    spark = df.sparkSession
+    size = text_bytes(df, text)
+    chunks = chunk_count(spark, size, chunk_bytes)
+    buckets = max(int(spark.conf.get("spark.sql.shuffle.partitions")), size // (16 << 20))
     docs = df.select(
         F.pmod(F.xxhash64(id_col, text), F.lit(chunks)).cast("int").alias("chunk"), F.col(id_col).alias("doc_id"), F.col(text).cast("string").alias("text"), train.alias("train")
     )
-    tables = materialise(chunk_tables(docs, order), "strings")
-    one, two = _near_root(tables)
-    grams = _coded(tables, order, escape, one, two)
-    words = tables.where("kind = 1").withColumn("c", F.expr("sum(n) over (partition by key)"))
-    known = tables.where("kind = 1 and n > 0").groupBy("key").agg(F.sum("n").alias("n")).agg(F.sum("n").alias("n"), F.count(F.lit(1)).alias("v")).first()
+    strings = materialise(_chunk_rows(docs, order, buckets), "strings")
+    one, two = _near_root(strings)
+    words = _words(strings)
+    known = words.where("n > 0").groupBy("key").agg(F.sum("n").alias("n")).agg(F.sum("n").alias("n"), F.count(F.lit(1)).alias("v")).first()
     total, vocabulary = known.n or 0, known.v or 0
-    values = grams.unionAll(words.select("chunk", "kind", "key", F.col("c").cast("double").alias("v")))
+    values = _coded(strings, order, escape, one, two).unionAll(_counted(words))
     doc_type = dict(docs.dtypes)["doc_id"]
 
     def run(key, left, right):
-        kind, keys, v = (right.column(c).to_numpy() for c in ("kind", "key", "v"))
-        w = kind == 1
-        base = np.log10((v[w] + 0.5) / (total + 0.5 * (vocabulary + 1)))
-        tokens = dict(zip(keys[w].tolist(), zip(base.tolist(), (v[w] > 0).tolist())))
-        texts = [as_text(t) for t in left.column("text").to_pylist()]
-        n_tokens, n_known, base, got = _score_chunk(texts, keys[~w], v[~w], tokens, order) if texts else ([], [], [], [])
+        grams, lengths, tokens = [], [], {}
+        for kind, k, v in zip(*(right.column(c).to_pylist() for c in ("kind", "keys", "values"))):
+            if kind:
+                n = _counts(v)
+                base = np.log10((n + 0.5) / (total + 0.5 * (vocabulary + 1)))
+                tokens.update(zip(unsqueeze(k).tolist(), zip(base.tolist(), (n > 0).tolist())))
+            else:
+                grams.append(unsqueeze(k))
+                lengths.append(unsqueeze(v, np.float64))
+        texts, _ = _texts(left)
+        n_tokens, n_known, base, got = _score_chunk(texts, np.concatenate(grams), np.concatenate(lengths), tokens, order) if texts else ([], [], [], [])
         return pa.table({
             "doc_id": left.column("doc_id"), "train": left.column("train"),
             "n_tokens": pa.array(n_tokens, pa.int64()), "n_known": pa.array(n_known, pa.int64()), "train_tokens": pa.array([total] * len(texts), pa.int64()),
