@@ -13,6 +13,28 @@ from pyspark.sql import DataFrame, SparkSession
 _stored: dict[tuple, DataFrame] = {}
 
 
+_made: list = []
+
+
+def _remove_made() -> None:
+    """Delete the tables that this process has written to the shared folder."""
+    for spark, path in _made:
+        try:
+            where = spark._jvm.org.apache.hadoop.fs.Path(path)
+            where.getFileSystem(spark._jsc.hadoopConfiguration()).delete(where, True)
+        except Exception:  # noqa: BLE001  the JVM may be gone already
+            return
+    _made.clear()
+
+
+def at_exit(spark: SparkSession, path: str) -> str:
+    """Have a path of the shared folder deleted when this process ends."""
+    if not _made:
+        atexit.register(_remove_made)
+    _made.append((spark, path))
+    return path
+
+
 def shared_dir(spark: SparkSession) -> str:
     """spark.checkpoint.dir, or in a plain local session a folder of its own."""
     path = spark.sparkContext.getConf().get("spark.checkpoint.dir") or getattr(spark.sparkContext, "_own_shared_dir", None)
@@ -28,7 +50,7 @@ def shared_dir(spark: SparkSession) -> str:
 def stored(df: DataFrame, name: str = "table", partition_by: str | None = None) -> DataFrame:
     """Write to the shared folder and read back; cuts the plan."""
     spark = df.sparkSession
-    path = f"{shared_dir(spark)}/{name}-{uuid.uuid4().hex}"
+    path = at_exit(spark, f"{shared_dir(spark)}/{name}-{uuid.uuid4().hex}")
     w = df.write
     (w.partitionBy(partition_by) if partition_by else w).parquet(path)
     return spark.read.schema(df.schema).parquet(path)

@@ -16,7 +16,7 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from ..operators import exact, index
-from ..session import shared_dir, stored
+from ..session import at_exit, shared_dir, stored
 
 CHANGES = "vec_id long, vec array<double>, op string, ts timestamp, event_id long"
 
@@ -38,7 +38,7 @@ def newest(changes: DataFrame) -> DataFrame:
 class DynamicIndex:
     def __init__(self, spark: SparkSession, base: DataFrame, build: index.Build, n_segments: int = 1, threshold: int = 10_000):
         self.spark, self.build, self.n_segments, self.threshold = spark, build, n_segments, threshold
-        self.root = f"{shared_dir(spark)}/dynamic-{uuid.uuid4().hex}"
+        self.root = at_exit(spark, f"{shared_dir(spark)}/dynamic-{uuid.uuid4().hex}")
         self.version, self.batches = 0, {}
         self._static(base)
 
@@ -90,7 +90,7 @@ def event_stream(spark: SparkSession, sf_dir: str) -> DataFrame:
 def drain(stream: DataFrame, sink, mode: str = "append") -> None:
     """Run a stream over what is there now, each batch into ``sink``."""
     spark = stream.sparkSession
-    q = stream.writeStream.outputMode(mode).option("checkpointLocation", f"{shared_dir(spark)}/stream-{uuid.uuid4().hex}").trigger(availableNow=True).foreachBatch(sink).start()
+    q = stream.writeStream.outputMode(mode).option("checkpointLocation", at_exit(spark, f"{shared_dir(spark)}/stream-{uuid.uuid4().hex}")).trigger(availableNow=True).foreachBatch(sink).start()
     q.awaitTermination()
 
 
@@ -98,7 +98,7 @@ def result(stream: DataFrame, mode: str = "complete") -> DataFrame:
     """What a stream has put out after all of its input, as a table: the last
     batch in complete mode, all batches in append mode."""
     spark = stream.sparkSession
-    root = f"{shared_dir(spark)}/sink-{uuid.uuid4().hex}"
+    root = at_exit(spark, f"{shared_dir(spark)}/sink-{uuid.uuid4().hex}")
     paths: list[str] = []
 
     def sink(df, epoch):

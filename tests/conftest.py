@@ -14,5 +14,4 @@ def spark():
         .getOrCreate()
     )
     s.sparkContext.setLogLevel("ERROR")
-    yield s
-    s.stop()
+    yield s  # the session ends with the process, after its tables are deleted
