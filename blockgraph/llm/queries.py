@@ -8,7 +8,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from . import bpe, decontaminate, html_text, line_dedup, ppm, quality, simhash, suffix_dedup, token_rollup, toxicity
-from .common import crc_fold, documents, materialise, shared_dir
+from .common import at_exit, crc_fold, documents, materialise, shared_dir
 
 TOKENIZER = "byte_bpe_multi_50k.tiktoken"
 
@@ -75,7 +75,7 @@ def _rollup(spark: SparkSession, sf_dir: str, counts: DataFrame, name: str) -> D
     to hold an end token."""
     import uuid
 
-    rollup = token_rollup.TokenRollup(spark, f"{shared_dir(spark)}/{name}-{uuid.uuid4().hex}")
+    rollup = token_rollup.TokenRollup(spark, at_exit(spark, f"{shared_dir(spark)}/{name}-{uuid.uuid4().hex}"))
     labels = spark.read.parquet(f"{sf_dir}/labels.parquet").where("doc_id is not null")
     toxic = labels.where("toxic = 1").select("doc_id").distinct()
     good = labels.groupBy("doc_id").agg(F.max("toxic").alias("t"), F.max("quality").alias("q")).where("t = 0 and q = 1").select("doc_id")

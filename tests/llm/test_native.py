@@ -1,4 +1,5 @@
 import hashlib
+import uuid
 from collections import Counter
 
 from hypothesis import given
@@ -6,7 +7,7 @@ from hypothesis import strategies as st
 from pyspark.sql import functions as F
 
 from blockgraph.llm import bpe, line_dedup, quality, queries, token_rollup
-from blockgraph.llm.common import shared_dir
+from blockgraph.llm.common import at_exit, shared_dir
 
 ODD = [(0, None), (1, ""), (2, "   \n\t"), (3, "one"), (4, "a b"), (5, "a b c a b c a b c"), (6, "é x y z"), (7, "x\n\nx\n x\nx"), (8, "#a $b %c |"), (None, "no id"), (9, "w " * 30000), (9, "w " * 30000)]
 
@@ -86,7 +87,7 @@ SCHEMA = "op string, doc_id long, source string, lang string, tokenizer string,
 
 
 def test_rollup(spark):
-    r = token_rollup.TokenRollup(spark, f"{shared_dir(spark)}/rollup-test")
+    r = token_rollup.TokenRollup(spark, at_exit(spark, f"{shared_dir(spark)}/rollup-{uuid.uuid4().hex}"))
     frame = lambda rows: spark.createDataFrame(rows, SCHEMA)
     assert r.totals().collect() == []
     a = [("insert", i, "s1", "en", "t1", None, 10) for i in range(5)] + [("insert", 9, None, None, "t1", None, None), ("other", 1, "s1", "en", "t1", 5, 5), (None, 1, "s1", "en", "t1", 5, 5)]
