@@ -397,8 +397,9 @@ class StringTable:
         return out
 
 
-def _score_chunk(texts: list[bytes], keys: np.ndarray, values: np.ndarray, tokens: dict[int, tuple[float, bool]], order: int):
-    table = StringTable(keys, values)
+def _score_chunk(texts: list[bytes], table: StringTable, tokens: dict[int, float], unknown: float, order: int):
+    """tokens: log10 probability by key; ``unknown`` is that of a token that
+    training never saw, which no other has."""
     score = np.zeros(len(texts))
     first, size = 0, 0
     for i, t in enumerate(texts):
@@ -408,25 +409,25 @@ def _score_chunk(texts: list[bytes], keys: np.ndarray, values: np.ndarray, token
             at = np.cumsum(sizes) - sizes
             score[first : i + 1] = np.add.reduceat(table.get(grams), at)
             first, size = i + 1, 0
-    known: dict[bytes, tuple[float, bool]] = {}
+    known: dict[bytes, float] = {}
     n_tokens, n_known, base = [], [], []
     end = tokens[END_KEY]
     for t in texts:
         words = t.translate(LOWER_TABLE).split()
-        total, seen = end[0], int(end[1])
+        total, seen = end, int(end != unknown)
         for w in words:
             x = known.get(w)
             if x is None:
                 x = known[w] = tokens[token_key(w)]
-            total += x[0]
-            seen += x[1]
+            total += x
+            seen += x != unknown
         n_tokens.append(len(words) + 1)
         n_known.append(seen)
         base.append(total)
     return n_tokens, n_known, base, score
 
 
-def score(df: DataFrame, train: Column, order: int = 5, escape: str = "D", chunk_bytes: int = 16 << 20, id_col: str = "doc_id", text: str = "text") -> DataFrame:
+def score(df: DataFrame, train: Column, order: int = 5, escape: str = "D", chunk_bytes: int = 8 << 20, id_col: str = "doc_id", text: str = "text") -> DataFrame:
     """Pretrained scores of every row: doc_id, train, n_tokens, n_known,
     train_tokens, base_score, score. ``train`` says which rows to learn from."""
     if not 2 <= order <= 6:
@@ -446,18 +447,22 @@ def score(df: DataFrame, train: Column, order: int = 5, escape: str = "D", chunk
     values = _coded(strings, order, escape, one, two).unionAll(_counted(words))
     doc_type = dict(docs.dtypes)["doc_id"]
 
+    scale = np.float64(total + 0.5 * (vocabulary + 1))
+
     def run(key, left, right):
         grams, lengths, tokens = [], [], {}
         for kind, k, v in zip(*(right.column(c).to_pylist() for c in ("kind", "keys", "values"))):
             if kind:
-                n = _counts(v)
-                base = np.log10((n + 0.5) / (total + 0.5 * (vocabulary + 1)))
-                tokens.update(zip(unsqueeze(k).tolist(), zip(base.tolist(), (n > 0).tolist())))
+                tokens.update(zip(unsqueeze(k).tolist(), np.log10((_counts(v) + 0.5) / scale).tolist()))
             else:
                 grams.append(unsqueeze(k))
                 lengths.append(unsqueeze(v, np.float64))
         texts, _ = _texts(left)
-        n_tokens, n_known, base, got = _score_chunk(texts, np.concatenate(grams), np.concatenate(lengths), tokens, order) if texts else ([], [], [], [])
+        n_tokens, n_known, base, got = [], [], [], []
+        if texts:
+            table = StringTable(np.concatenate(grams), np.concatenate(lengths))
+            del grams, lengths
+            n_tokens, n_known, base, got = _score_chunk(texts, table, tokens, float(np.log10((np.int64(0) + 0.5) / scale)), order)
         return pa.table({
             "doc_id": left.column("doc_id"), "train": left.column("train"),
             "n_tokens": pa.array(n_tokens, pa.int64()), "n_known": pa.array(n_known, pa.int64()), "train_tokens": pa.array([total] * len(texts), pa.int64()),
