@@ -46,7 +46,7 @@ import zstandard
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import LOWER_TABLE, as_text, chunk_count, materialise, text_bytes
+from .common import LOWER_TABLE, as_text, chunk_count, materialise, small_batches, text_bytes
 
 END = 0xFF
 #: Key of the end token in the word table; words hash to 63 bits above it.
@@ -194,8 +194,53 @@ def _bucket(keys: np.ndarray, buckets: int) -> np.ndarray:
     return ((tail * np.uint64(0x9E3779B1) >> np.uint64(7)) % np.uint64(buckets)).astype(np.int64)
 
 
-def _texts(table: pa.Table) -> tuple[list[bytes], list[bool]]:
-    return [as_text(t) for t in table.column("text").to_pylist()], table.column("train").to_pylist()
+def _packed(df: DataFrame, chunks: int, train: Column, id_col: str, text: str, hold_bytes: int = 16 << 20) -> DataFrame:
+    """(chunk, ids, flags, sizes, blob): texts by chunk in compressed rows, about
+    a third of their bytes."""
+    small_batches(df.sparkSession)
+    src = df.select(F.pmod(F.xxhash64(id_col, text), F.lit(chunks)).cast("int").alias("chunk"), F.col(id_col).alias("doc_id"), F.col(text).cast("string").alias("text"), F.coalesce(train, F.lit(False)).alias("train"))
+    doc_type = dict(src.dtypes)["doc_id"]
+
+    def run(batches):
+        held: dict[int, tuple[list, list, list]] = {}
+        weight, kind = 0, None
+
+        def flush():
+            for chunk in sorted(held):
+                ids, flags, texts = held[chunk]
+                yield pa.RecordBatch.from_arrays(
+                    [pa.array([chunk], pa.int32()), pa.array([ids], pa.list_(kind)), pa.array([flags], pa.list_(pa.bool_())), pa.array([list(map(len, texts))], pa.list_(pa.int64())), pa.array([zstandard.compress(b"".join(texts), 1)], pa.binary())],
+                    names=["chunk", "ids", "flags", "sizes", "blob"],
+                )
+            held.clear()
+
+        for b in batches:
+            kind = b.column(1).type
+            for chunk, d, t, f in zip(*(b.column(i).to_pylist() for i in range(4))):
+                ids, flags, texts = held.setdefault(chunk, ([], [], []))
+                ids.append(d)
+                flags.append(f)
+                texts.append(as_text(t))
+                weight += len(texts[-1]) + 16
+                if weight >= hold_bytes:
+                    yield from flush()
+                    weight = 0
+        yield from flush()
+
+    return src.mapInArrow(run, f"chunk int, ids array<{doc_type}>, flags array<boolean>, sizes array<long>, blob binary")
+
+
+def _texts(table: pa.Table) -> tuple[list, list[bytes], list[bool]]:
+    """Ids, texts and training flags of a chunk."""
+    ids, texts, flags = [], [], []
+    for r in table.select(["ids", "flags", "sizes", "blob"]).to_pylist():
+        blob, at = zstandard.decompress(r["blob"]) if sum(r["sizes"]) else b"", 0
+        ids += r["ids"]
+        flags += r["flags"]
+        for n in r["sizes"]:
+            texts.append(blob[at : at + n])
+            at += n
+    return ids, texts, flags
 
 
 def _chunk_rows(docs: DataFrame, order: int, buckets: int) -> DataFrame:
@@ -203,7 +248,7 @@ def _chunk_rows(docs: DataFrame, order: int, buckets: int) -> DataFrame:
     in its training texts; in bucket -1 the same for its tokens."""
 
     def run(key, table):
-        texts, flags = _texts(table)
+        _, texts, flags = _texts(table)
         chunk, rows = key[0].as_py(), []
         words: dict[bool, Counter] = {True: Counter(), False: Counter()}
         for t, f in zip(texts, flags):
@@ -436,16 +481,14 @@ def score(df: DataFrame, train: Column, order: int = 5, escape: str = "D", chunk
     size = text_bytes(df, text)
     chunks = chunk_count(spark, size, chunk_bytes)
     buckets = max(int(spark.conf.get("spark.sql.shuffle.partitions")), size // (16 << 20))
-    docs = df.select(
-        F.pmod(F.xxhash64(id_col, text), F.lit(chunks)).cast("int").alias("chunk"), F.col(id_col).alias("doc_id"), F.col(text).cast("string").alias("text"), train.alias("train")
-    )
+    docs = _packed(df, chunks, train, id_col, text)
     strings = materialise(_chunk_rows(docs, order, buckets), "strings")
     one, two = _near_root(strings)
     words = _words(strings)
     known = words.where("n > 0").groupBy("key").agg(F.sum("n").alias("n")).agg(F.sum("n").alias("n"), F.count(F.lit(1)).alias("v")).first()
     total, vocabulary = known.n or 0, known.v or 0
     values = _coded(strings, order, escape, one, two).unionAll(_counted(words))
-    doc_type = dict(docs.dtypes)["doc_id"]
+    doc_type = dict(df.dtypes)[id_col]
 
     scale = np.float64(total + 0.5 * (vocabulary + 1))
 
@@ -457,14 +500,14 @@ def score(df: DataFrame, train: Column, order: int = 5, escape: str = "D", chunk
             else:
                 grams.append(unsqueeze(k))
                 lengths.append(unsqueeze(v, np.float64))
-        texts, _ = _texts(left)
+        ids, texts, flags = _texts(left)
         n_tokens, n_known, base, got = [], [], [], []
         if texts:
             table = StringTable(np.concatenate(grams), np.concatenate(lengths))
             del grams, lengths
             n_tokens, n_known, base, got = _score_chunk(texts, table, tokens, float(np.log10((np.int64(0) + 0.5) / scale)), order)
         return pa.table({
-            "doc_id": left.column("doc_id"), "train": left.column("train"),
+            "doc_id": pa.array(ids, left.schema.field("ids").type.value_type), "train": pa.array(flags, pa.bool_()),
             "n_tokens": pa.array(n_tokens, pa.int64()), "n_known": pa.array(n_known, pa.int64()), "train_tokens": pa.array([total] * len(texts), pa.int64()),
             "base_score": pa.array(base, pa.float64()), "score": pa.array(got, pa.float64()),
         })
