@@ -185,7 +185,6 @@ def unsqueeze(data: bytes, kind=np.int64) -> np.ndarray:
 
 
 STRINGS = "chunk int, bucket int, keys binary, counts binary"
-WORDS = "chunk int, key long, n long"
 
 
 def _bucket(keys: np.ndarray, buckets: int) -> np.ndarray:
@@ -245,7 +244,7 @@ def _texts(table: pa.Table) -> tuple[list, list[bytes], list[bool]]:
 
 def _chunk_rows(docs: DataFrame, order: int, buckets: int) -> DataFrame:
     """The distinct strings of every chunk, packed by bucket, with their counts
-    in its training texts; in bucket -1 the same for its tokens."""
+    in its training texts; from bucket ``buckets`` on the same for its tokens."""
 
     def run(key, table):
         _, texts, flags = _texts(table)
@@ -260,7 +259,11 @@ def _chunk_rows(docs: DataFrame, order: int, buckets: int) -> DataFrame:
         del words, train, tokens
         by_key = np.argsort(keys)
         keys, counts = np.r_[END_KEY, keys[by_key]], np.r_[sum(flags), counts[by_key]]
-        rows.append({"chunk": chunk, "bucket": -1, "keys": squeeze(keys), "counts": squeeze(np.cumsum(counts))})
+        place = keys % buckets  # the keys are hashes
+        for q in range(buckets):
+            i = np.flatnonzero(place == q)
+            if len(i):
+                rows.append({"chunk": chunk, "bucket": buckets + q, "keys": squeeze(keys[i]), "counts": squeeze(np.cumsum(counts[i]))})
         grams = Tally()
         for f, part in _text_slices(texts, flags):
             grams.add(strings_of(part, order)[0], f)
@@ -281,7 +284,7 @@ def _counts(data: bytes) -> np.ndarray:
     return np.diff(unsqueeze(data), prepend=np.int64(0))
 
 
-def _near_root(strings: DataFrame) -> tuple[np.ndarray, np.ndarray]:
+def _near_root(strings: DataFrame, buckets: int) -> tuple[np.ndarray, np.ndarray]:
     """Training counts of single symbols (256) and of pairs (65,536): sizes
     that no corpus can pass. Every task sends one row of pairs at most."""
 
@@ -293,27 +296,13 @@ def _near_root(strings: DataFrame) -> tuple[np.ndarray, np.ndarray]:
         hit = np.flatnonzero(two)
         yield pa.RecordBatch.from_arrays([pa.array(hit), pa.array(two[hit])], names=["pair", "n"])
 
-    pairs = strings.where("bucket >= 0").select("keys", "counts").mapInArrow(run, "pair long, n long").groupBy("pair").agg(F.sum("n").alias("n")).collect()
+    pairs = strings.where(F.col("bucket") < buckets).select("keys", "counts").mapInArrow(run, "pair long, n long").groupBy("pair").agg(F.sum("n").alias("n")).collect()
     two = np.zeros(65536, np.int64)
     for r in pairs:
         two[r.pair] = r.n
     return two.reshape(256, 256).sum(0), two
 
 
-def _words(strings: DataFrame) -> DataFrame:
-    """(chunk, key, n) of the tokens."""
-
-    def run(batches):
-        for b in batches:
-            for c, k, n in zip(*(b.column(i).to_pylist() for i in range(3))):
-                keys, counts = unsqueeze(k), _counts(n)
-                for i in range(0, len(keys), 100_000):
-                    part = keys[i : i + 100_000]
-                    yield pa.RecordBatch.from_arrays([pa.array(np.full(len(part), c, np.int32)), pa.array(part), pa.array(counts[i : i + 100_000])], names=["chunk", "key", "n"])
-
-    return strings.where("bucket = -1").select("chunk", "keys", "counts").mapInArrow(run, WORDS)
-
-
 def code_strings(keys: np.ndarray, counts: np.ndarray, order: int, one: np.ndarray, two: np.ndarray, escape: str = "C") -> np.ndarray:
     """log10 code probability of each distinct string (sorted keys of order + 1
     bytes). counts are training counts; a caller passes all strings that share
@@ -369,7 +358,7 @@ def code_strings(keys: np.ndarray, counts: np.ndarray, order: int, one: np.ndarr
     return out
 
 
-def _coded(strings: DataFrame, order: int, escape: str, one: np.ndarray, two: np.ndarray) -> DataFrame:
+def _coded(strings: DataFrame, buckets: int, order: int, escape: str, one: np.ndarray, two: np.ndarray) -> DataFrame:
     """(chunk, kind 0, keys, values): code lengths of the strings a chunk has."""
     sent = strings.sparkSession.sparkContext.broadcast((one, two))
 
@@ -381,33 +370,26 @@ def _coded(strings: DataFrame, order: int, escape: str, one: np.ndarray, two: np
         n = len(values)
         return pa.table({"chunk": table.column("chunk"), "kind": pa.array([0] * n, pa.int32()), "keys": table.column("keys"), "values": pa.array(values, pa.binary())})
 
-    return strings.where("bucket >= 0").groupBy("bucket").applyInArrow(run, "chunk int, kind int, keys binary, values binary")
+    return strings.where(F.col("bucket") < buckets).groupBy("bucket").applyInArrow(run, "chunk int, kind int, keys binary, values binary")
 
 
-def _counted(words: DataFrame) -> DataFrame:
+def _counted(strings: DataFrame, buckets: int) -> DataFrame:
     """(chunk, kind 1, keys, values): training counts, over all chunks, of the
-    tokens a chunk has. A token comes once from each chunk, so no group is
-    larger than the number of chunks."""
-    total = words.groupBy("key").agg(F.sum("n").alias("c"), F.collect_list("chunk").alias("chunks"))
-    flat = total.select(F.explode("chunks").alias("chunk"), "key", "c")
+    tokens a chunk has; and a row of kind 2 a bucket with its tokens (n) and
+    distinct tokens (v) in training."""
 
-    def run(batches):
-        got: dict[int, list] = {}
-        for b in batches:
-            chunk, key, c = (b.column(i).to_numpy() for i in range(3))
-            order = np.argsort(chunk, kind="stable")
-            edge = np.flatnonzero(np.r_[True, np.diff(chunk[order]) != 0]) if len(order) else []
-            for x, y in zip(edge, np.r_[edge[1:], len(order)].astype(int)):
-                i = order[x:y]
-                got.setdefault(int(chunk[i[0]]), []).append((key[i], c[i]))
-        for k, parts in got.items():
-            keys, c = (np.concatenate(p) for p in zip(*parts))
-            by_key = np.argsort(keys)
-            yield pa.RecordBatch.from_arrays(
-                [pa.array([k], pa.int32()), pa.array([1], pa.int32()), pa.array([squeeze(keys[by_key])], pa.binary()), pa.array([squeeze(np.cumsum(c[by_key]))], pa.binary())], names=["chunk", "kind", "keys", "values"]
-            )
+    def run(key, table):
+        parts = [(unsqueeze(k), _counts(n)) for k, n in zip(table.column("keys").to_pylist(), table.column("counts").to_pylist())]
+        keys, counts = distinct(np.concatenate([p[0] for p in parts]), np.concatenate([p[1] for p in parts]))
+        values = [squeeze(np.cumsum(counts[np.searchsorted(keys, p[0])])) for p in parts]
+        rest = [0] * len(parts)
+        return pa.table({
+            "chunk": pa.array([*table.column("chunk").to_pylist(), -1], pa.int32()), "kind": pa.array([1] * len(parts) + [2], pa.int32()),
+            "keys": pa.array([*table.column("keys").to_pylist(), None], pa.binary()), "values": pa.array([*values, None], pa.binary()),
+            "n": pa.array([*rest, int(counts.sum())], pa.int64()), "v": pa.array([*rest, int((counts > 0).sum())], pa.int64()),
+        })
 
-    return flat.mapInArrow(run, "chunk int, kind int, keys binary, values binary")
+    return strings.where(F.col("bucket") >= buckets).groupBy("bucket").applyInArrow(run, "chunk int, kind int, keys binary, values binary, n long, v long")
 
 
 class StringTable:
@@ -483,11 +465,11 @@ def score(df: DataFrame, train: Column, order: int = 5, escape: str = "D", chunk
     buckets = max(int(spark.conf.get("spark.sql.shuffle.partitions")), size // (16 << 20))
     docs = _packed(df, chunks, train, id_col, text)
     strings = materialise(_chunk_rows(docs, order, buckets), "strings")
-    one, two = _near_root(strings)
-    words = _words(strings)
-    known = words.where("n > 0").groupBy("key").agg(F.sum("n").alias("n")).agg(F.sum("n").alias("n"), F.count(F.lit(1)).alias("v")).first()
+    one, two = _near_root(strings, buckets)
+    words = materialise(_counted(strings, buckets), "tokens")
+    known = words.where("kind = 2").agg(F.sum("n").alias("n"), F.sum("v").alias("v")).first()
     total, vocabulary = known.n or 0, known.v or 0
-    values = _coded(strings, order, escape, one, two).unionAll(_counted(words))
+    values = _coded(strings, buckets, order, escape, one, two).unionAll(words.where("kind = 1").select("chunk", "kind", "keys", "values"))
     doc_type = dict(df.dtypes)[id_col]
 
     scale = np.float64(total + 0.5 * (vocabulary + 1))
