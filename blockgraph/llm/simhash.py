@@ -266,7 +266,12 @@ def keep_one(df: DataFrame, radius: int = 4, k: int = 4, broadcast_ids: int = 50
     """The row of each component with the smallest id; rows without an id, which
     can't be told apart, stay. The ids to drop are broadcast up to
     ``broadcast_ids`` of them; beyond, both sides are shuffled by id."""
-    found = materialise(near_duplicates(df.select("doc_id", "text"), radius, k).select("doc_id", "component_id"), "classes")
+    return keep_first(df, near_duplicates(df.select("doc_id", "text"), radius, k), broadcast_ids)
+
+
+def keep_first(df: DataFrame, classes: DataFrame, broadcast_ids: int = 500_000) -> DataFrame:
+    """keep_one for any classes (doc_id, component_id) of the rows of df."""
+    found = materialise(classes.select("doc_id", "component_id"), "classes")
     late = materialise(found.where("doc_id <> component_id").select("doc_id").distinct(), "late")
     kept = df.join(F.broadcast(late) if late.count() <= broadcast_ids else late.hint("merge"), "doc_id", "left_anti")
     if not found.where("doc_id = component_id").groupBy("doc_id").count().where("count > 1").isEmpty():

@@ -10,7 +10,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from blockgraph.llm import bpe, decontaminate, line_dedup, quality, simhash
+from blockgraph.llm import bpe, decontaminate, line_dedup, quality, simhash, similar
 from blockgraph.llm.common import documents, materialise, own
 from blockgraph.llm.queries import rank_file
 
@@ -27,8 +27,9 @@ def line_dedup_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataF
 
 
 def simhash_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Keeps one document of each group of near-duplicates."""
-    return simhash.keep_one(docs)
+    """Keeps one document of each group of near-duplicates: texts whose sets of
+    five-word shingles have a Jaccard similarity of 0.8 or more are linked."""
+    return simhash.keep_first(docs, similar.near_duplicates(docs.select("doc_id", "text")))
 
 
 def decontaminate_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
