@@ -809,11 +809,17 @@ def segments_table(spark, sf_dir):
     return out
 
 
+def _lines(spark, sf_dir) -> tuple[DataFrame, DataFrame]:
+    """All order lines, and those with ids divisible by 100 as queries."""
+    base = features.line_u8(spark, sf_dir)
+    return base, exact.sample_queries(base, 100, 0)
+
+
 @query()
 def scale_out_lines(spark, sf_dir):
-    """Order lines as vectors in 31 segments, probed by cluster."""
-    base = features.line_u8(spark, sf_dir).where(hashing.in_sample(F.col("vec_id"), 0.25))
-    q = exact.sample_queries(base, 100, 3)
+    """All order lines as vectors in 31 segments, probed by cluster; ids
+    divisible by 100 are held against every line."""
+    base, q = _lines(spark, sf_dir)
     b = index.Build(builder="vamana", max_degree=12, build_list=24, n_sub=5, sample_ratio=0.05, nav_degree=8)
     c = kmeans.fit(base, 31, 3)
     i = once(spark, ("lines", sf_dir), lambda: stored(index.build(index.assign_to(base, c), b), "index"))
