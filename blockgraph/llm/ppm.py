@@ -454,7 +454,7 @@ def _score_chunk(texts: list[bytes], table: StringTable, tokens: dict[int, float
     return n_tokens, n_known, base, score
 
 
-def score(df: DataFrame, train: Column, order: int = 5, escape: str = "D", chunk_bytes: int = 8 << 20, id_col: str = "doc_id", text: str = "text") -> DataFrame:
+def score(df: DataFrame, train: Column, order: int = 6, escape: str = "D", chunk_bytes: int = 8 << 20, id_col: str = "doc_id", text: str = "text") -> DataFrame:
     """Pretrained scores of every row: doc_id, train, n_tokens, n_known,
     train_tokens, base_score, score. ``train`` says which rows to learn from."""
     if not 2 <= order <= 6:
