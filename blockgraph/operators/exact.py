@@ -15,6 +15,7 @@ from pyspark.sql import functions as F
 
 from ..functions.distance import pairwise
 from ..functions.hashing import mixed
+from ..session import stored
 
 #: Queries are collected and broadcast in packs of at most this many values.
 PACK_VALUES = 4_000_000
@@ -105,3 +106,38 @@ def without(base: DataFrame, queries: DataFrame) -> DataFrame:
 
 def random_order(queries: DataFrame) -> DataFrame:
     return queries.orderBy(mixed(F.col("query_id")), "query_id")
+
+
+def near_classes(base: DataFrame, r: float, dims: tuple[int, ...]) -> DataFrame:
+    """(vec_id, class_id, n_links) of every row: rows within r (l2) of each other
+    are linked, and a class is named by its smallest id. Equal vectors are one
+    node. Nodes meet in a grid of cells wider than r over ``dims``, so every
+    linked pair lies in the same or in adjacent cells."""
+    nodes = stored(base.groupBy("vec").agg(F.min("vec_id").alias("node"), F.count(F.lit(1)).alias("size")), "nodes")
+    cell = [F.floor(F.get("vec", F.lit(i)) / F.lit(r + 1e-5)).alias(f"c{i}") for i in dims]
+    names = [f"c{i}" for i in dims]
+    own = nodes.select(F.col("node").alias("a"), F.col("vec").alias("va"), *cell)
+    near = nodes.select(F.col("node").alias("b"), F.col("vec").alias("vb"), *cell)
+    for c in names:
+        near = near.withColumn(c, F.explode(F.array(*(F.col(c) + s for s in (-1, 0, 1)))))
+    dist = F.aggregate(F.zip_with("va", "vb", lambda x, y: (x - y) * (x - y)), F.lit(0.0), lambda s, x: s + x)
+    close = [F.abs(F.get("va", F.lit(i)) - F.get("vb", F.lit(i))) <= r + 1e-5 for i in dims]
+    pairs = own.join(near, names).where("a <> b")
+    for c in close:
+        pairs = pairs.where(c)
+    pairs = stored(pairs.where(F.round(F.sqrt(dist), 6) <= r).select("a", "b"), "near")
+    label = stored(nodes.select("node", F.col("node").alias("label")), "labels")
+    total = lambda df: df.agg(F.sum(F.col("label").cast("decimal(38,0)"))).first()[0]
+    before = total(label)
+    while True:
+        low = pairs.join(label.select(F.col("node").alias("b"), "label"), "b").groupBy(F.col("a").alias("node")).agg(F.min("label").alias("low"))
+        moved = stored(label.join(low, "node", "left").select("node", F.least("label", "low").alias("label")), "labels")
+        jump = moved.select(F.col("node").alias("label"), F.col("label").alias("next"))
+        label = stored(moved.join(jump, "label").select("node", F.col("next").alias("label")), "labels")
+        after = total(label)
+        if after == before:
+            break
+        before = after
+    links = pairs.join(nodes.select(F.col("node").alias("b"), "size"), "b").groupBy(F.col("a").alias("node")).agg(F.sum("size").alias("others"))
+    of = nodes.join(label, "node").join(links, "node", "left").select("vec", F.col("label").alias("class_id"), (F.col("size") - 1 + F.coalesce("others", F.lit(0))).alias("n_links"))
+    return base.join(of, "vec").select("vec_id", "class_id", "n_links")

@@ -109,11 +109,18 @@ def knn_self_join(spark, sf_dir):
   select a.vec_id as query_id, b.vec_id, round(list_distance(a.vec, b.vec), 6) + 0.0 as dist from v a, v b where a.vec_id % 20 = 7 and a.vec_id <> b.vec_id)
 select query_id, vec_id, dist from d where dist <= 6""")
 def near_dup_docs(spark, sf_dir):
-    """Radius search for documents with nearly the same letters."""
+    """Radius search for documents with nearly the same letters, as its SQL has
+    it for ids of residue 7; near_dup_doc_classes is over all documents."""
     v = features.doc_u8(spark, sf_dir)
     return exact.radius(v, exact.sample_queries(v, 20, 7), 6.0, exclude_self=True).select("query_id", "vec_id", "dist")
 
 
+@query()
+def near_dup_doc_classes(spark, sf_dir):
+    """All documents linked by nearly the same letters: class and links of each."""
+    return exact.near_classes(features.doc_u8(spark, sf_dir), 6.0, tuple(features.LETTERS.index(c) for c in "eatn"))
+
+
 @query("""with v as (select vec_id, embedding::double[] as vec from embeddings), d as (
   select q.vec_id as query_id, b.vec_id, round(list_distance(b.vec, q.vec), 6) as l2 from v q, v b where q.vec_id % 10 = 3 and b.vec_id % 10 <> 3)
 select query_id, vec_id, rank from (select query_id, vec_id, row_number() over (partition by query_id order by l2, vec_id) as rank from d) where rank <= 5""")
