@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import atexit
+import contextlib
 import shutil
 import tempfile
 import uuid
@@ -16,12 +17,16 @@ _stored: dict[tuple, DataFrame] = {}
 _made: list = []
 
 
+def _remove(spark: SparkSession, path: str) -> None:
+    where = spark._jvm.org.apache.hadoop.fs.Path(path)
+    where.getFileSystem(spark._jsc.hadoopConfiguration()).delete(where, True)
+
+
 def _remove_made() -> None:
     """Delete the tables that this process has written to the shared folder."""
     for spark, path in _made:
         try:
-            where = spark._jvm.org.apache.hadoop.fs.Path(path)
-            where.getFileSystem(spark._jsc.hadoopConfiguration()).delete(where, True)
+            _remove(spark, path)
         except Exception:  # noqa: BLE001  the JVM may be gone already
             return
     _made.clear()
@@ -47,13 +52,44 @@ def shared_dir(spark: SparkSession) -> str:
     return path.rstrip("/")
 
 
+#: Have Spark delete the shuffle files of an execution when it ends.
+TIDY = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
+
+
+@contextlib.contextmanager
+def tidy_shuffles(spark: SparkSession):
+    """Within this, an action's shuffle files go as soon as it has ended."""
+    before = spark.conf.get(TIDY, None)
+    spark.conf.set(TIDY, "true")
+    try:
+        yield
+    finally:
+        if before is None:
+            spark.conf.unset(TIDY)
+        else:
+            spark.conf.set(TIDY, before)
+
+
 def stored(df: DataFrame, name: str = "table", partition_by: str | None = None) -> DataFrame:
-    """Write to the shared folder and read back; cuts the plan."""
+    """Write to the shared folder and read back: the plan is cut there, a lost
+    executor costs nothing that was written, and the shuffle files behind the
+    table are deleted once it is whole."""
     spark = df.sparkSession
     path = at_exit(spark, f"{shared_dir(spark)}/{name}-{uuid.uuid4().hex}")
     w = df.write
-    (w.partitionBy(partition_by) if partition_by else w).parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+    with tidy_shuffles(spark):
+        (w.partitionBy(partition_by) if partition_by else w).parquet(path)
+    out = spark.read.schema(df.schema).parquet(path)
+    out._stored_at = path
+    return out
+
+
+def discard(*tables: DataFrame) -> None:
+    """Delete stored tables that nothing reads any more."""
+    for t in tables:
+        path = getattr(t, "_stored_at", None)
+        if path:
+            _remove(t.sparkSession, path)
 
 
 def once(spark: SparkSession, key: tuple, make) -> DataFrame:
