@@ -21,7 +21,7 @@ import pyarrow as pa
 import regex
 from pyspark.sql import DataFrame
 
-from .common import as_text, small_batches
+from .common import as_text, portions
 
 #: Places at which a long text may be cut: before white space after anything
 #: else, or between a letter and a digit (either order).
@@ -69,11 +69,10 @@ def encode_text(enc, text: str, piece_chars: int = 65536) -> list[int]:
 
 def encode(df: DataFrame, rank_file: str, pattern: str, keep: tuple[str, ...] = ("doc_id",), text: str = "text", piece_chars: int = 65536) -> DataFrame:
     """The kept columns and ``ids array<int>``, one row for each row of df."""
-    small_batches(df.sparkSession)
 
     def run(batches):
         enc = tokenizer(rank_file, pattern)
-        for b in batches:
+        for b in portions(batches):
             ids = [encode_text(enc, t, piece_chars) if t else [] for t in b.column(len(keep)).to_pylist()]
             yield pa.RecordBatch.from_arrays([*b.columns[: len(keep)], pa.array(ids, pa.list_(pa.int32()))], names=[*keep, "ids"])
 
@@ -84,11 +83,10 @@ def encode(df: DataFrame, rank_file: str, pattern: str, keep: tuple[str, ...] =
 
 def decode(df: DataFrame, rank_file: str, pattern: str, keep: tuple[str, ...] = ("doc_id",), ids: str = "ids") -> DataFrame:
     """The kept columns and ``bytes binary``: the raw bytes of the ids."""
-    small_batches(df.sparkSession)
 
     def run(batches):
         enc = tokenizer(rank_file, pattern)
-        for b in batches:
+        for b in portions(batches):
             out = [enc.decode_bytes(x) if x else b"" for x in b.column(len(keep)).to_pylist()]
             yield pa.RecordBatch.from_arrays([*b.columns[: len(keep)], pa.array(out, pa.binary())], names=[*keep, "bytes"])
 
@@ -100,12 +98,11 @@ def decode(df: DataFrame, rank_file: str, pattern: str, keep: tuple[str, ...] =
 def digests(df: DataFrame, rank_file: str, pattern: str, keep: tuple[str, ...] = ("doc_id",), text: str = "text", piece_chars: int = 65536) -> DataFrame:
     """Encode and decode each text in one pass and return n_tokens,
     ids_sha256 and decoded_sha256; raises if a round trip loses bytes."""
-    small_batches(df.sparkSession)
     n = len(keep)
 
     def run(batches):
         enc = tokenizer(rank_file, pattern)
-        for b in batches:
+        for b in portions(batches):
             counts, of_ids, of_bytes = [], [], []
             for t in b.column(n).to_pylist():
                 ids = encode_text(enc, t, piece_chars) if t else []
@@ -127,12 +124,11 @@ def digests(df: DataFrame, rank_file: str, pattern: str, keep: tuple[str, ...] =
 
 def count(df: DataFrame, rank_file: str, pattern: str, keep: tuple[str, ...] = ("doc_id",), text: str = "text", piece_chars: int = 65536) -> DataFrame:
     """The kept columns, n_tokens and n_words (both long) of each text."""
-    small_batches(df.sparkSession, 500)
     n = len(keep)
 
     def run(batches):
         enc = tokenizer(rank_file, pattern)
-        for b in batches:
+        for b in portions(batches):
             texts = b.column(n).to_pylist()
             tokens = [len(encode_text(enc, t, piece_chars)) if t else 0 for t in texts]
             words = [len(as_text(t).split()) for t in texts]

@@ -3,12 +3,12 @@
 from __future__ import annotations
 
 import math
-import uuid
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ..session import at_exit, shared_dir  # noqa: F401
+from ..session import at_exit, discard, shared_dir  # noqa: F401
+from ..session import stored as materialise  # noqa: F401
 
 #: White space of the word rules: space and the controls 9 to 13.
 SPACE = "\\x20\\x09-\\x0D"
@@ -20,25 +20,18 @@ def documents(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/documents.parquet")
 
 
-def materialise(df: DataFrame, name: str) -> DataFrame:
-    """Write df to the shared folder and read it back: the plan is cut there,
-    and a lost executor costs nothing that was written."""
-    spark = df.sparkSession
-    path = at_exit(spark, f"{shared_dir(spark)}/{name}-{uuid.uuid4().hex}")
-    df.write.parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
-
-
 def own(df: DataFrame) -> list[Column]:
     """The columns of df, whatever characters their names have."""
     return [F.col("`" + c.replace("`", "``") + "`") for c in df.columns]
 
 
-def small_batches(spark: SparkSession, rows: int = 1000) -> None:
-    """Bound the Arrow batches that hold whole texts."""
-    key = "spark.sql.execution.arrow.maxRecordsPerBatch"
-    if int(spark.conf.get(key)) > rows:
-        spark.conf.set(key, str(rows))
+def portions(batches, size: int = 8 << 20):
+    """Arrow batches cut into slices of about ``size`` bytes (one row at least).
+    Spark bounds a batch by its bytes; this bounds what is unpacked at once."""
+    for b in batches:
+        step = max(1, b.num_rows * size // max(1, b.nbytes))
+        for at in range(0, b.num_rows, step):
+            yield b.slice(at, step)
 
 
 def crc_fold(doc_id: Column, folds: int = 5) -> Column:

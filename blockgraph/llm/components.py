@@ -5,37 +5,47 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import materialise
+from .common import discard, materialise
 
 
-def _large(edges: DataFrame) -> DataFrame:
+def _with_low(edges: DataFrame, heavy: int) -> DataFrame:
+    """(a, b, m): each edge with the smallest b of its a. The minima of nodes
+    with ``heavy`` edges or more are broadcast, so that no hub goes to one task;
+    the caller sets ``heavy`` to a share of all edges, which bounds their number."""
+    low = edges.groupBy("a").agg(F.min("b").alias("m"), F.count(F.lit(1)).alias("n"))
+    hubs = F.broadcast(low.where(F.col("n") >= heavy).select("a", F.col("m").alias("hub")))
+    known = edges.join(hubs, "a", "left")
+    rest = known.where("hub is null").select("a", "b").join(low.where(F.col("n") < heavy).select("a", "m"), "a")
+    return known.where("hub is not null").select("a", "b", F.col("hub").alias("m")).unionAll(rest.select("a", "b", "m"))
+
+
+def _large(edges: DataFrame, heavy: int) -> DataFrame:
     both = edges.select("a", "b").unionAll(edges.select(F.col("b").alias("a"), F.col("a").alias("b")))
-    low = both.groupBy("a").agg(F.min("b").alias("m")).select("a", F.least("a", "m").alias("m"))
-    return both.join(low, "a").where("b > a").select(F.col("b").alias("a"), F.col("m").alias("b")).where("a <> b").distinct()
+    return _with_low(both, heavy).where("b > a").select(F.col("b").alias("a"), F.least("a", "m").alias("b")).where("a <> b").distinct()
 
 
-def _small(edges: DataFrame) -> DataFrame:
+def _small(edges: DataFrame, heavy: int) -> DataFrame:
     down = edges.select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b"))
-    low = down.groupBy("a").agg(F.min("b").alias("m"))
-    moved = down.join(low, "a").select(F.col("b").alias("a"), F.col("m").alias("b"))
-    return moved.unionAll(low.select("a", F.col("m").alias("b"))).where("a <> b").distinct()
+    moved = _with_low(down, heavy)
+    # the smallest neighbour itself stands for the node's own link
+    return moved.select(F.when(F.col("b") == F.col("m"), F.col("a")).otherwise(F.col("b")).alias("a"), F.col("m").alias("b")).where("a <> b").distinct()
 
 
-def components(edges: DataFrame, max_rounds: int = 60) -> DataFrame:
+def components(edges: DataFrame, hub_share: int = 5000, least_hub: int = 50) -> DataFrame:
     """(node, root) for every node with a link; root is the smallest node that
     it reaches. edges: a, b (long). Each round is written to the shared folder
-    and compared with the last by count and checksum."""
+    and compared with the last by count and checksum; rounds end when nothing
+    changes. A node with more than 2 / ``hub_share`` of all edges is a hub, so
+    there are at most ``hub_share`` of them."""
     now = materialise(edges.where("a <> b").select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).distinct(), "links")
     state = lambda df: tuple(df.agg(F.count(F.lit(1)), F.expr("bit_xor(xxhash64(a, b))"), F.expr("bit_xor(xxhash64(b, a, 1L))")).first())
     before = state(now)
-    for _ in range(max_rounds):
-        if not before[0]:
-            break
-        now = materialise(_small(_large(now)), "links")
+    while before[0]:
+        heavy = max(least_hub, 2 * before[0] // hub_share)
+        last, now = now, materialise(_small(_large(now, heavy), heavy), "links")
+        discard(last)
         after = state(now)
         if after == before:
             break
         before = after
-    else:
-        raise RuntimeError("components did not settle")
     return now.select(F.col("a").alias("node"), F.col("b").alias("root")).unionAll(now.select(F.col("b").alias("node"), F.col("b").alias("root")).distinct())

@@ -39,7 +39,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import materialise, own, small_batches
+from .common import materialise, own, portions
 
 PUNCTUATION = b".,;:!?\"'`()[]{}*#$%&|<>-_/\\=+~^@"
 OTHER_PUNCTUATION = "«»“”‘’„…–—¿¡"
@@ -125,14 +125,13 @@ class Passages:
 
 def block_counts(docs: DataFrame, vocabulary: dict[bytes, int], block: int) -> tuple[np.ndarray, int]:
     """In how many blocks of all documents each term occurs, and all blocks."""
-    small_batches(docs.sparkSession)
     sent = docs.sparkSession.sparkContext.broadcast(vocabulary)
     terms = len(vocabulary)
 
     def run(batches):
         vocab = sent.value
         df, n = np.zeros(terms, np.int64), 0
-        for b in batches:
+        for b in portions(batches):
             at, term = [], []
             for t in b.column(0).to_pylist():
                 if t:

@@ -24,7 +24,7 @@ import sys
 import pyarrow as pa
 from pyspark.sql import DataFrame
 
-from .common import small_batches
+from .common import portions
 
 VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
 RAW = frozenset("script style noscript template textarea iframe svg math title xmp noframes select object canvas audio video".split())
@@ -311,11 +311,10 @@ def main_text(page: str | None) -> str:
 
 def extract(df: DataFrame, keep: tuple[str, ...] = ("page_id", "url"), html: str = "html") -> DataFrame:
     """The kept columns, text and n_chars (code points) of every page."""
-    small_batches(df.sparkSession)
     n = len(keep)
 
     def run(batches):
-        for b in batches:
+        for b in portions(batches):
             texts = [main_text(p) for p in b.column(n).to_pylist()]
             yield pa.RecordBatch.from_arrays([*b.columns[:n], pa.array(texts, pa.string()), pa.array(list(map(len, texts)), pa.int64())], names=[*keep, "text", "n_chars"])
 

@@ -46,7 +46,7 @@ import zstandard
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import LOWER_TABLE, as_text, chunk_count, materialise, small_batches, text_bytes
+from .common import LOWER_TABLE, as_text, chunk_count, materialise, portions, text_bytes
 
 END = 0xFF
 #: Key of the end token in the word table; words hash to 63 bits above it.
@@ -196,7 +196,6 @@ def _bucket(keys: np.ndarray, buckets: int) -> np.ndarray:
 def _packed(df: DataFrame, chunks: int, train: Column, id_col: str, text: str, hold_bytes: int = 16 << 20) -> DataFrame:
     """(chunk, ids, flags, sizes, blob): texts by chunk in compressed rows, about
     a third of their bytes."""
-    small_batches(df.sparkSession)
     src = df.select(F.pmod(F.xxhash64(id_col, text), F.lit(chunks)).cast("int").alias("chunk"), F.col(id_col).alias("doc_id"), F.col(text).cast("string").alias("text"), F.coalesce(train, F.lit(False)).alias("train"))
     doc_type = dict(src.dtypes)["doc_id"]
 
@@ -213,7 +212,7 @@ def _packed(df: DataFrame, chunks: int, train: Column, id_col: str, text: str, h
                 )
             held.clear()
 
-        for b in batches:
+        for b in portions(batches):
             kind = b.column(1).type
             for chunk, d, t, f in zip(*(b.column(i).to_pylist() for i in range(4))):
                 ids, flags, texts = held.setdefault(chunk, ([], [], []))

@@ -32,7 +32,7 @@ import xxhash
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import LOWER_TABLE, as_text, materialise, own, small_batches
+from .common import LOWER_TABLE, as_text, materialise, own, portions
 from .components import components
 
 SEED = 42
@@ -68,10 +68,9 @@ def majority(hashes: np.ndarray) -> int:
 
 def fingerprints(df: DataFrame, k: int = 4, id_col: str = "doc_id", text: str = "text") -> DataFrame:
     """(doc_id, fp): fp is the fingerprint as a signed long."""
-    small_batches(df.sparkSession)
 
     def run(batches):
-        for b in batches:
+        for b in portions(batches):
             fp = np.array([majority(shingle_hashes(t, k)) for t in b.column(1).to_pylist()], np.uint64)
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array(fp.view(np.int64))], names=["doc_id", "fp"])
 
@@ -249,6 +248,43 @@ def link_forest(nodes: DataFrame, radius: int, block: int = 4096) -> DataFrame:
     return dealt.mapInArrow(run, "a long, b long")
 
 
+def asked_pairs(fp: np.ndarray, group: np.ndarray, asked: np.ndarray, asked_group: np.ndarray, radius: int, slice_pairs: int = 65536):
+    """Pairs (index into asked, index into fp) of the same group within the
+    radius, in bounded slices. group and asked_group are sorted; the members of
+    a group are stored as bit planes, and each asked fingerprint is compared
+    with all blocks of its group."""
+    if not len(fp) or not len(asked):
+        return
+    first = np.flatnonzero(np.r_[True, group[1:] != group[:-1]])
+    size = np.diff(np.r_[first, len(fp)])
+    rank = np.arange(len(fp)) - np.repeat(first, size)
+    words_of = (size + 63) // 64
+    word0 = np.cumsum(words_of) - words_of
+    own = np.repeat(word0, size) + rank // 64
+    one = np.uint64(1)
+    starts = np.flatnonzero(np.r_[True, own[1:] != own[:-1]])
+    lane = (rank % 64).astype(np.uint64)
+    planes = np.stack([np.bitwise_or.reduceat((fp >> np.uint64(b) & one) << lane, starts) for b in range(64)])
+    filled = np.diff(np.r_[starts, len(fp)])
+    valid = np.where(filled == 64, ALL, (one << (filled % 64).astype(np.uint64)) - one)
+    g = np.minimum(np.searchsorted(group[first], asked_group), len(first) - 1)
+    todo = np.where(group[first][g] == asked_group, words_of[g], 0)
+    upto = np.cumsum(todo)
+    at = 0
+    while at < len(asked):
+        stop = max(at + 1, int(np.searchsorted(upto, (upto[at - 1] if at else 0) + slice_pairs, "right")))
+        q = np.repeat(np.arange(at, stop), todo[at:stop])
+        step = np.arange(len(q)) - np.repeat(np.cumsum(todo[at:stop]) - todo[at:stop], todo[at:stop])
+        at = stop
+        if not len(q):
+            continue
+        w = word0[g[q]] + step
+        i, lanes = near_lanes(planes, w, asked[q], valid[w], radius)
+        if len(i):
+            pair, hit = np.nonzero(np.unpackbits(lanes.astype("<u8").view(np.uint8), bitorder="little").reshape(-1, 64))
+            yield q[i[pair]], starts[w[i[pair]]] + hit
+
+
 def near_duplicates(df: DataFrame, radius: int = 4, k: int = 4) -> DataFrame:
     """(doc_id, fp, component_id) of every row."""
     prints = materialise(fingerprints(df, k), "prints")

@@ -48,7 +48,7 @@ import zstandard
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import as_text, chunk_count, materialise, small_batches, text_bytes
+from .common import as_text, chunk_count, materialise, portions, text_bytes
 
 GRAM = 32
 LAST = np.iinfo(np.int64).max
@@ -255,7 +255,6 @@ def _within(f, c, h, start, size, length):
 
 def pack(df: DataFrame, chunks: int, id_col: str, text: str, hold_bytes: int = 24 << 20) -> DataFrame:
     """(chunk, ids, sizes, size, blob): documents of a chunk in compressed rows."""
-    small_batches(df.sparkSession)
 
     def run(batches):
         held: dict[int, tuple[list, list]] = {}
@@ -272,7 +271,7 @@ def pack(df: DataFrame, chunks: int, id_col: str, text: str, hold_bytes: int = 2
                 )
             held.clear()
 
-        for b in batches:
+        for b in portions(batches):
             for chunk, d, t in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), b.column(2).to_pylist()):
                 t = as_text(t)
                 ids, texts = held.setdefault(chunk, ([], []))

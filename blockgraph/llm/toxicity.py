@@ -35,7 +35,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import small_batches
+from .common import portions
 
 OTHER, INSULT, THREAT, TARGET, NEGATOR, REPORT, QUOTE = range(7)
 NEGATED, REPORTED, DIRECTED = 1, 2, 4
@@ -235,7 +235,6 @@ def _divergence(p: float, base: float) -> float:
 def fit(docs: DataFrame, labels: DataFrame, max_toxic: int = 4000, max_clean: int = 8000, min_contexts: int = 3) -> Model:
     """docs: doc_id, text; labels: doc_id, toxic (of the rows to learn from)."""
     spark = docs.sparkSession
-    small_batches(spark)
     known = labels.where("doc_id is not null and toxic is not null").groupBy("doc_id").agg(F.max("toxic").alias("toxic"))
     size = {r.toxic: r.n for r in known.groupBy("toxic").agg(F.count(F.lit(1)).alias("n")).collect()}
     share = {t: min(1.0, m / size[t]) if size.get(t) else 0.0 for t, m in ((1, max_toxic), (0, max_clean))}
@@ -272,7 +271,7 @@ def fit(docs: DataFrame, labels: DataFrame, max_toxic: int = 4000, max_clean: in
 
     def run(batches):
         scorer = Scorer(start)
-        for b in batches:
+        for b in portions(batches):
             x = np.array([scorer.features(t) for t in b.column(0).to_pylist()]).reshape(-1, FEATURES)
             yield pa.RecordBatch.from_arrays([pa.array(x.tolist(), pa.list_(pa.float64())), b.column(1)], names=["x", "toxic"])
 
@@ -286,12 +285,11 @@ def fit(docs: DataFrame, labels: DataFrame, max_toxic: int = 4000, max_clean: in
 
 def score(docs: DataFrame, model: Model, id_col: str = "doc_id", text: str = "text") -> DataFrame:
     """(doc_id, score, predicted) of every row."""
-    small_batches(docs.sparkSession)
     sent = docs.sparkSession.sparkContext.broadcast(model)
 
     def run(batches):
         scorer = Scorer(sent.value)
-        for b in batches:
+        for b in portions(batches):
             s = [scorer.score(scorer.features(t)) for t in b.column(1).to_pylist()]
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array(s, pa.float64()), pa.array([int(x >= 0.5) for x in s], pa.int32())], names=["doc_id", "score", "predicted"])
 

@@ -5,7 +5,7 @@ import corpus_pipeline
 from blockgraph.llm import bpe, decontaminate as dec, queries
 from blockgraph.llm.common import documents
 
-from .test_simhash import brute_components, brute_fp
+from .test_similar import brute
 
 SF = "/root/testdata/sf0.001"
 
@@ -34,7 +34,7 @@ def test_run(spark):
         on.update({(r.source, key(x)) for x in r.text.split("\n") if key(x)})
     text = {r.doc_id: "\n".join(x for x in r.text.split("\n") if not (on[r.source, key(x)] >= 3 and on[r.source, key(x)] > 0.05 * pages[r.source])) for r in rows}
     ids = sorted(text)
-    root = brute_components([brute_fp(text[d]) for d in ids])
+    root = brute([text[d] for d in ids])
     ids = [d for i, d in enumerate(ids) if root[i] == i]
     clean = []
     items = [dec.words_of(r.text) for r in spark.read.parquet(f"{SF}/benchmark.parquet").collect()]

@@ -44,6 +44,16 @@ def test_forest(seed, n, radius):
             assert [int(at[w]) for w in want] == label[at].tolist()
 
 
+@settings(max_examples=40, deadline=None)
+@given(st.integers(0, 2**32), st.integers(1, 300), st.integers(1, 40), st.integers(1, 30))
+def test_asked_pairs(seed, n, m, radius):
+    rng = np.random.default_rng(seed)
+    fp, asked = (rng.integers(0, 2**64, size, dtype=np.uint64) & rng.integers(0, 2**64, size, dtype=np.uint64) for size in (n, m))
+    group, asked_group = np.sort(rng.integers(0, 4, n)), np.sort(rng.integers(0, 5, m))
+    got = {(int(i), int(j)) for a, b in simhash.asked_pairs(fp, group, asked, asked_group, radius, 7) for i, j in zip(a, b)}
+    assert got == {(i, j) for i in range(m) for j in range(n) if group[j] == asked_group[i] and int(asked[i] ^ fp[j]).bit_count() <= radius}
+
+
 def test_query(spark):
     rng = np.random.default_rng(5)
     words = [f"w{i}" for i in range(400)]

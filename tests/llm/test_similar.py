@@ -44,6 +44,33 @@ def test_prefix():
     assert similar.prefix(0) == 0
 
 
+def test_radius_keeps_similar_sets():
+    """Sets at 0.8 and a little above stay within the radius, those of
+    unrelated texts mostly don't."""
+    rng = np.random.default_rng(3)
+    near, far = [], []
+    for _ in range(3000):
+        n = int(rng.integers(5, 400))
+        k = n // 10 + 1
+        while (n - k) / (n + k) < 0.8:
+            k -= 1
+        a = rng.integers(0, 2**64, n, dtype=np.uint64)
+        b = np.concatenate([a[k:], rng.integers(0, 2**64, k, dtype=np.uint64)])
+        bits = lambda x, y: (simhash.majority(x) ^ simhash.majority(y)).bit_count()
+        near.append(bits(a, b))
+        far.append(bits(a, rng.integers(0, 2**64, n, dtype=np.uint64)))
+    assert max(near) <= similar.RADIUS
+    assert np.mean(np.array(far) <= similar.RADIUS) < 0.05
+
+
+def test_groups_dealt_in_parts(spark):
+    texts = corpus()
+    df = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    want = brute(texts)
+    got = {r.doc_id: r.component_id for r in similar.near_duplicates(df, block=8).collect()}
+    assert [got[i] for i in range(len(texts))] == want
+
+
 def test_stage_is_exact(spark):
     texts = corpus()
     df = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string").repartition(5)
