@@ -25,7 +25,7 @@ def own(df: DataFrame) -> list[Column]:
     return [F.col("`" + c.replace("`", "``") + "`") for c in df.columns]
 
 
-def portions(batches, size: int = 8 << 20):
+def portions(batches, size: int = 2 << 20):
     """Arrow batches cut into slices of about ``size`` bytes (one row at least).
     Spark bounds a batch by its bytes; this bounds what is unpacked at once."""
     for b in batches:
