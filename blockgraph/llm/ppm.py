@@ -19,9 +19,10 @@ what makes the pretrained model a table: each distinct string is coded once.
 
 Pretrained scoring on Spark. Texts are dealt into chunks of bounded size by a
 hash. Each chunk sends its distinct strings and tokens with their training
-counts, packed, never positions or texts. Strings are dealt by the last two bytes of
-their context, so each task holds whole subtrees of the trie; the contexts of
-length 0 and 1 have at most 65,792 counts and are broadcast. Each chunk gets
+counts, packed, never positions or texts. Strings are dealt by the last three bytes
+of their context, so each task holds whole subtrees of the trie and no common pair
+of letters fills one; the contexts of length 0 to 2 have at most 2 ** 24 counts,
+whatever the corpus, and are broadcast. Each chunk gets
 back the code lengths of its own strings and scores its texts. All counts cover
 all training texts, and nothing is capped.
 
@@ -171,26 +172,47 @@ def _text_slices(texts: list[bytes], flags: list[bool], step: int = 2 << 20):
             yield flag, part
 
 
+def _planes(x: np.ndarray) -> bytes:
+    """The bytes of x by place, so that places that vary little meet."""
+    return zstandard.compress(np.ascontiguousarray(x.view(np.uint8).reshape(-1, x.itemsize).T).tobytes(), 1)
+
+
+def _from_planes(data: bytes, kind) -> np.ndarray:
+    return np.ascontiguousarray(np.frombuffer(zstandard.decompress(data), np.uint8).reshape(np.dtype(kind).itemsize, -1).T).view(kind).ravel()
+
+
 def squeeze(x: np.ndarray) -> bytes:
-    """Eight-byte values as compressed byte planes; sorted integers as steps."""
-    if x.dtype == np.int64:
-        x = np.diff(x, prepend=np.int64(0))
-    return zstandard.compress(np.ascontiguousarray(x.view(np.uint8).reshape(-1, 8).T).tobytes(), 1)
+    """Sorted integers as compressed steps."""
+    return _planes(np.diff(x, prepend=np.int64(0)))
+
+
+def unsqueeze(data: bytes) -> np.ndarray:
+    return np.cumsum(_from_planes(data, np.int64))
+
+
+def squeeze_values(x: np.ndarray) -> bytes:
+    """Doubles of which many are equal: the distinct ones, most frequent first,
+    and their numbers."""
+    values, at, n = np.unique(x, return_inverse=True, return_counts=True)
+    by_count = np.argsort(-n, kind="stable")
+    number = np.empty(len(values), np.uint32)
+    number[by_count] = np.arange(len(values), dtype=np.uint32)
+    table = _planes(values[by_count])
+    return len(table).to_bytes(4, "little") + table + _planes(number[at])
 
 
-def unsqueeze(data: bytes, kind=np.int64) -> np.ndarray:
-    x = np.frombuffer(zstandard.decompress(data), np.uint8).reshape(8, -1).T
-    x = np.ascontiguousarray(x).view(kind).ravel()
-    return np.cumsum(x) if kind == np.int64 else x
+def unsqueeze_values(data: bytes) -> np.ndarray:
+    end = 4 + int.from_bytes(data[:4], "little")
+    return _from_planes(data[4:end], np.float64)[_from_planes(data[end:], np.uint32)]
 
 
 STRINGS = "chunk int, bucket int, keys binary, counts binary"
 
 
 def _bucket(keys: np.ndarray, buckets: int) -> np.ndarray:
-    """By the last two bytes of the context."""
-    tail = (keys >> 8 & 0xFFFF).astype(np.uint64)
-    return ((tail * np.uint64(0x9E3779B1) >> np.uint64(7)) % np.uint64(buckets)).astype(np.int64)
+    """By the last three bytes of the context."""
+    tail = (keys >> 8 & 0xFFFFFF).astype(np.uint64)
+    return ((tail * np.uint64(0x9E3779B1) >> np.uint64(11)) % np.uint64(buckets)).astype(np.int64)
 
 
 def _packed(df: DataFrame, chunks: int, train: Column, id_col: str, text: str, hold_bytes: int = 16 << 20) -> DataFrame:
@@ -284,28 +306,29 @@ def _counts(data: bytes) -> np.ndarray:
 
 
 def _near_root(strings: DataFrame, buckets: int) -> tuple[np.ndarray, np.ndarray]:
-    """Training counts of single symbols (256) and of pairs (65,536): sizes
-    that no corpus can pass. Every task sends one row of pairs at most."""
+    """Training counts of all strings of three bytes (sorted strings, counts):
+    2 ** 24 at most. Every task sends each of them once."""
 
     def run(batches):
-        two = np.zeros(65536, np.int64)
+        keys, counts = np.empty(0, np.int64), np.empty(0, np.int64)
         for b in batches:
             for k, n in zip(b.column(0).to_pylist(), b.column(1).to_pylist()):
-                two += np.bincount(unsqueeze(k) & 0xFFFF, _counts(n), 65536).astype(np.int64)
-        hit = np.flatnonzero(two)
-        yield pa.RecordBatch.from_arrays([pa.array(hit), pa.array(two[hit])], names=["pair", "n"])
+                k, n = distinct(unsqueeze(k) & 0xFFFFFF, _counts(n))
+                keys, counts = distinct(np.r_[keys, k[n > 0]], np.r_[counts, n[n > 0]])
+        yield pa.RecordBatch.from_arrays([pa.array(keys), pa.array(counts)], names=["three", "n"])
 
-    pairs = strings.where(F.col("bucket") < buckets).select("keys", "counts").mapInArrow(run, "pair long, n long").groupBy("pair").agg(F.sum("n").alias("n")).collect()
-    two = np.zeros(65536, np.int64)
-    for r in pairs:
-        two[r.pair] = r.n
-    return two.reshape(256, 256).sum(0), two
+    rows = strings.where(F.col("bucket") < buckets).select("keys", "counts").mapInArrow(run, "three long, n long")
+    got = rows.groupBy("three").agg(F.sum("n").alias("n")).toArrow()
+    keys, counts = (got.column(c).to_numpy().astype(np.int64) for c in ("three", "n"))
+    order = np.argsort(keys)
+    return keys[order], counts[order]
 
 
-def code_strings(keys: np.ndarray, counts: np.ndarray, order: int, one: np.ndarray, two: np.ndarray, escape: str = "C") -> np.ndarray:
+def code_strings(keys: np.ndarray, counts: np.ndarray, order: int, three: tuple[np.ndarray, np.ndarray], escape: str = "C") -> np.ndarray:
     """log10 code probability of each distinct string (sorted keys of order + 1
     bytes). counts are training counts; a caller passes all strings that share
-    their last two context bytes, so every longer context is complete."""
+    their last three context bytes, so every longer context is complete. three:
+    the strings of three bytes in all training texts and their counts."""
     symbol = keys & 255
     done = np.zeros(len(keys), bool)
     out = np.zeros(len(keys))
@@ -313,14 +336,12 @@ def code_strings(keys: np.ndarray, counts: np.ndarray, order: int, one: np.ndarr
     q_ex, n_ex = np.zeros(len(keys), np.int64), np.zeros(len(keys), np.int64)
     tables = {}
     t_keys, t_counts = keys[counts > 0], counts[counts > 0]
-    for k in range(order, 1, -1):
+    for k in range(order, 2, -1):
         tables[k] = (t_keys, t_counts)
-        if k > 2:
+        if k > 3:
             t_keys, t_counts = distinct(t_keys & ((1 << 8 * k) - 1), t_counts)
-    wide = np.arange(65536, dtype=np.int64)
-    tables[1] = (wide[two > 0], two[two > 0])
-    if order >= 1:
-        tables[0] = (np.flatnonzero(one).astype(np.int64), one[one > 0])
+    for k in (2, 1, 0):
+        tables[k] = three if k == 2 else distinct(tables[k + 1][0] & ((1 << 8 * (k + 1)) - 1), tables[k + 1][1])
     for k in range(order, -1, -1):
         g, n = tables[k]
         ctx = g >> 8
@@ -357,15 +378,15 @@ def code_strings(keys: np.ndarray, counts: np.ndarray, order: int, one: np.ndarr
     return out
 
 
-def _coded(strings: DataFrame, buckets: int, order: int, escape: str, one: np.ndarray, two: np.ndarray) -> DataFrame:
+def _coded(strings: DataFrame, buckets: int, order: int, escape: str, three: tuple[np.ndarray, np.ndarray]) -> DataFrame:
     """(chunk, kind 0, keys, values): code lengths of the strings a chunk has."""
-    sent = strings.sparkSession.sparkContext.broadcast((one, two))
+    sent = strings.sparkSession.sparkContext.broadcast(three)
 
     def run(key, table):
         parts = [(unsqueeze(k), _counts(n)) for k, n in zip(table.column("keys").to_pylist(), table.column("counts").to_pylist())]
         keys, counts = distinct(np.concatenate([p[0] for p in parts]), np.concatenate([p[1] for p in parts]))
-        value = code_strings(keys, counts, order, *sent.value, escape)
-        values = [squeeze(value[np.searchsorted(keys, p[0])]) for p in parts]
+        value = code_strings(keys, counts, order, sent.value, escape)
+        values = [squeeze_values(value[np.searchsorted(keys, p[0])]) for p in parts]
         n = len(values)
         return pa.table({"chunk": table.column("chunk"), "kind": pa.array([0] * n, pa.int32()), "keys": table.column("keys"), "values": pa.array(values, pa.binary())})
 
@@ -464,11 +485,11 @@ def score(df: DataFrame, train: Column, order: int = 6, escape: str = "D", chunk
     buckets = max(int(spark.conf.get("spark.sql.shuffle.partitions")), size // (16 << 20))
     docs = _packed(df, chunks, train, id_col, text)
     strings = materialise(_chunk_rows(docs, order, buckets), "strings")
-    one, two = _near_root(strings, buckets)
+    three = _near_root(strings, buckets)
     words = materialise(_counted(strings, buckets), "tokens")
     known = words.where("kind = 2").agg(F.sum("n").alias("n"), F.sum("v").alias("v")).first()
     total, vocabulary = known.n or 0, known.v or 0
-    values = _coded(strings, buckets, order, escape, one, two).unionAll(words.where("kind = 1").select("chunk", "kind", "keys", "values"))
+    values = _coded(strings, buckets, order, escape, three).unionAll(words.where("kind = 1").select("chunk", "kind", "keys", "values"))
     doc_type = dict(df.dtypes)[id_col]
 
     scale = np.float64(total + 0.5 * (vocabulary + 1))
@@ -480,7 +501,7 @@ def score(df: DataFrame, train: Column, order: int = 6, escape: str = "D", chunk
                 tokens.update(zip(unsqueeze(k).tolist(), np.log10((_counts(v) + 0.5) / scale).tolist()))
             else:
                 grams.append(unsqueeze(k))
-                lengths.append(unsqueeze(v, np.float64))
+                lengths.append(unsqueeze_values(v))
         ids, texts, flags = _texts(left)
         n_tokens, n_known, base, got = [], [], [], []
         if texts:
