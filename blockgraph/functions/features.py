@@ -43,6 +43,14 @@ def line_u8(spark: SparkSession, sf_dir: str) -> DataFrame:
     return v.groupBy("vec_id").agg(F.min("vec").alias("vec"))  # line numbers repeat within some orders
 
 
+def clustered_f32(spark: SparkSession, sf_dir: str, n_clusters: int = 40) -> DataFrame:
+    """The embeddings drawn towards the first ``n_clusters`` of them: vectors in
+    clusters, which the embeddings themselves are not."""
+    v = emb_f32(spark, sf_dir)
+    centre = v.where(F.col("vec_id") < n_clusters).select(F.col("vec_id").alias("c"), F.col("vec").alias("centre"))  # n_clusters rows
+    return v.join(F.broadcast(centre), F.pmod("vec_id", F.lit(n_clusters)) == F.col("c")).select("vec_id", F.zip_with("vec", "centre", lambda x, y: x * 0.25 + y).alias("vec"))
+
+
 EVENT_TYPES = ("click", "error", "purchase", "signup", "view")
 
 
@@ -52,4 +60,4 @@ def user_vec(spark: SparkSession, sf_dir: str) -> DataFrame:
     return counts.select(F.col("user_id").alias("vec_id"), F.array(*(F.coalesce(F.col(c), F.lit(0)).cast("double") for c in EVENT_TYPES)).alias("vec"))
 
 
-SETS = {"emb_f32": emb_f32, "emb_u8": emb_u8, "doc_u8": doc_u8, "line_u8": line_u8, "user_vec": user_vec}
+SETS = {"emb_f32": emb_f32, "clustered_f32": clustered_f32, "emb_u8": emb_u8, "doc_u8": doc_u8, "line_u8": line_u8, "user_vec": user_vec}

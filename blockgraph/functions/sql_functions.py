@@ -10,11 +10,12 @@ from ..operators import index, search
 
 
 def register(spark: SparkSession, segment: DataFrame) -> None:
-    """segment: the index of one segment; its parts are sent to the tasks, at
-    most ``index.PART_BYTES`` each and refused beyond 64 of them."""
-    rows = segment.limit(65).collect()
-    if len(rows) > 64 or len({r.segment_id for r in rows}) > 1:
+    """segment: the index of one segment, whose parts are sent to the tasks. Its
+    size is that of a segment (``index.assign`` with max_vectors), whatever the
+    table's."""
+    if segment.select("segment_id").distinct().count() > 1:
         raise ValueError("table functions take the index of one segment; use index.run_queries for more")
+    rows = segment.collect()
     payload = spark.sparkContext.broadcast(b"".join(r.payload for r in sorted(rows, key=lambda r: r.part)))
 
     class VectorSearch:

@@ -83,7 +83,7 @@ def _thaw(state: bytes, seg: search.Segment) -> tuple[search._Run, list[int]]:
     return run, now
 
 
-def run_queries(indexed: DataFrame, routed: DataFrame, ask: index.Ask, max_rounds: int = 100_000) -> DataFrame:
+def run_queries(indexed: DataFrame, routed: DataFrame, ask: index.Ask) -> DataFrame:
     """Like ``index.run_queries`` (hits and counters). Routing by exact distance
     would read vectors outside the blocks at hand and is refused."""
     o = ask.options
@@ -122,7 +122,7 @@ def run_queries(indexed: DataFrame, routed: DataFrame, ask: index.Ask, max_round
 
     states = stored(memory.groupBy("segment_id").cogroup(routed.select("segment_id", "query_id", "qvec").groupBy("segment_id")).applyInPandas(start, STATE), "frontier")
     done = None
-    for _ in range(max_rounds):
+    while True:  # each round, every live query reads at least one block it has not read
         over = states.where(F.size("blocks") == 0)
         done = over if done is None else done.unionAll(over)
         live = states.where(F.size("blocks") > 0)
@@ -145,7 +145,7 @@ def run_queries(indexed: DataFrame, routed: DataFrame, ask: index.Ask, max_round
                     f.rows, f.dists = f.rows[: ask.k], f.dists[: ask.k]
                 blank = dict.fromkeys(names) | {"query_id": int(q), "segment_id": int(key[0])}
                 out += [blank | {"kind": "hit", "vec_id": int(ids[r]), "dist": d} for r, d in zip(f.rows, f.dists)]
-                out.append(blank | {"kind": "stat"} | {n: getattr(f, n) for n in ("ios", "hops", "nav_hops", "restarts", "rounds", "used", "loaded", "blocks")})
+                out.append(blank | {"kind": "stat"} | {n: getattr(f, n) for n in search.COUNTERS})
         frame = pd.DataFrame(out, columns=names)
         for x in index.FOUND.split(", "):
             c, t = x.split()

@@ -2,14 +2,14 @@
 queries on a segment, one shuffle merges what the segments found.
 
 The index is a table (segment_id, part, n_parts, payload): a segment's packed
-arrays in parts of bounded size. Segment size is bounded by ``max_vectors``, so
-a segment fits the memory of one Python worker; a larger table has more
-segments, never larger ones.
+arrays in parts of bounded size. ``segments_for`` gives the number of segments
+that keeps each below ``max_vectors``, so a segment fits the memory of one Python
+worker; a larger table has more segments, never larger ones.
 """
 
 from __future__ import annotations
 
-from dataclasses import asdict, dataclass, field
+from dataclasses import asdict, dataclass, field, replace
 
 import numpy as np
 import pandas as pd
@@ -17,6 +17,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..functions.hashing import mixed, mixed_np
+from ..functions.distance import pairwise
 from . import graph, kmeans, layout, pq, search
 from .budget import block_geometry
 
@@ -31,10 +32,11 @@ class Build:
     max_degree: int = 16
     build_list: int = 64
     layout: str = "freq"
-    layout_options: tuple = ()
+    layout_options: tuple = ()  # freq without options counts neighbours where they are now
     block_cap: int = 0  # 0: from block_kb
     block_kb: float = 4
     elem_bytes: int = 4
+    entry: str = "medoid"  # or "fixed" (the smallest id) or "random" (by seed)
     sample_ratio: float = 0.1
     nav_degree: int = 8
     nav_source: str = "sample"  # or "layers" (upper layers of the builder)
@@ -51,14 +53,39 @@ class Build:
 # --- segments ----------------------------------------------------------------
 
 
-def assign(base: DataFrame, n_segments: int, method: str = "hash", iters: int = 5) -> DataFrame:
+def segments_for(n_vectors: int, max_vectors: int, slack: float = 0.1) -> int:
+    """How many hash segments hold ``max_vectors`` at most; ``slack`` is room
+    for the spread of a hash."""
+    return max(1, -(-n_vectors * int(1000 * (1 + slack)) // (1000 * max_vectors)))
+
+
+def assign(base: DataFrame, n_segments: int | None = None, method: str = "hash", iters: int = 5, max_vectors: int | None = None) -> DataFrame:
     """base with segment_id: by a hash of the id, or by the nearest of k-means
-    centroids (``assign_to`` with ``centroids``)."""
+    centroids (``assign_to`` with ``centroids``). With ``max_vectors`` the number
+    of segments follows from the rows, and segments of a cluster that is larger
+    are split by a hash (``split_large``)."""
+    if max_vectors is not None:
+        n_segments = max(n_segments or 1, segments_for(base.count(), max_vectors))
+        return split_large(assign(base, n_segments, method, iters), max_vectors)[0]
     if method == "hash":
         return base.withColumn("segment_id", F.pmod(mixed(F.col("vec_id")), F.lit(n_segments)).cast("int"))
     return assign_to(base, kmeans.fit(base, n_segments, iters))
 
 
+def split_large(assigned: DataFrame, max_vectors: int) -> tuple[DataFrame, DataFrame]:
+    """The same rows with segments above the bound split by a hash of the id, in
+    new numbers, and (old, segment_id): which segments came from which. Routed
+    queries join the latter. Both have a row a segment beside the vectors."""
+    size = assigned.groupBy("segment_id").agg(F.count(F.lit(1)).alias("n"))
+    parts = size.select(F.col("segment_id").alias("old"), F.when(F.col("n") <= max_vectors, 1).otherwise(F.ceil(F.col("n") * 1.1 / max_vectors)).cast("int").alias("parts"))
+    # a segment is a number of one row here, so the window holds as many rows as there are segments
+    first = F.coalesce(F.sum("parts").over(Window.orderBy("old").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)).cast("int")
+    parts = parts.withColumn("first", first)
+    rows = assigned.withColumnRenamed("segment_id", "old").join(F.broadcast(parts), "old")
+    split = rows.withColumn("segment_id", (F.col("first") + F.pmod(F.xxhash64("vec_id"), F.col("parts"))).cast("int")).drop("old", "parts", "first")
+    return split, parts.select("old", F.explode(F.sequence(F.col("first"), F.col("first") + F.col("parts") - 1)).alias("segment_id"))
+
+
 def assign_to(base: DataFrame, centroids: np.ndarray) -> DataFrame:
     sent = base.sparkSession.sparkContext.broadcast(centroids)
 
@@ -79,8 +106,7 @@ def route(queries: DataFrame, centroids: np.ndarray, n_probe: int) -> DataFrame:
         for b in batches:
             if len(b):
                 x = np.array(b["qvec"].tolist(), float)
-                d = ((x[:, None, :] - c[None]) ** 2).sum(2)
-                near = np.argsort(d, axis=1, kind="stable")[:, :n_probe]
+                near = np.argsort(pairwise(x, c, "l2"), axis=1, kind="stable")[:, :n_probe]
                 i = np.repeat(np.arange(len(b)), near.shape[1])
                 yield b.iloc[i].assign(segment_id=near.ravel().astype(np.int32))
 
@@ -109,8 +135,10 @@ def build_segment(ids: np.ndarray, x: np.ndarray, b: Build) -> tuple[search.Segm
     order = np.argsort(ids, kind="stable")
     ids, x = ids[order], np.asarray(x, float)[order]
     nbrs, entry, upper = graph.build(b.builder, x, ids, b.metric, b.max_degree, b.build_list, b.seed)
+    if b.entry != "medoid" and len(ids):
+        entry = 0 if b.entry == "fixed" else int(np.random.default_rng(b.seed).integers(len(ids)))
     lap("graph")
-    block = layout.make(b.layout, nbrs, x, b.cap(x.shape[1]), **dict(b.layout_options))
+    block = layout.make(b.layout, nbrs, x, b.cap(x.shape[1]), **(dict(b.layout_options) or ({"map": "live"} if b.layout.startswith("freq") else {})))
     lap("shuffle")
     nav_rows = nav_nbrs = None
     nav_entry = -1
@@ -132,8 +160,10 @@ def build_segment(ids: np.ndarray, x: np.ndarray, b: Build) -> tuple[search.Segm
     lap("navigator")
     book, codes = [], None
     if b.n_sub and len(ids):
-        book = pq.train_local(x, min(b.n_sub, x.shape[1]), b.n_codes, seed=b.seed)
-        codes = pq.encode_local(x, book)
+        # cosine is the inner product of vectors of norm one
+        coded = x / np.maximum(np.sqrt((x * x).sum(1))[:, None], 1e-30) if b.metric == "cosine" else x
+        book = pq.train_local(coded, min(b.n_sub, x.shape[1]), b.n_codes, seed=b.seed)
+        codes = pq.encode_local(coded, book)
     lap("codes")
     seg = search.Segment(ids, x, nbrs, np.asarray(block, np.int64), b.metric, entry, book, codes, nav_rows, nav_nbrs, nav_entry)
     if b.hot_ratio > 0 and len(ids):
@@ -187,6 +217,11 @@ def load(pdf: pd.DataFrame) -> search.Segment:
     return search.Segment.unpack(b"".join(pdf["payload"]))
 
 
+def ids(index: DataFrame) -> DataFrame:
+    """(segment_id, vec_id) of all that is indexed."""
+    return per_segment(index, lambda s, seg: pd.DataFrame({"segment_id": np.int32(s), "vec_id": seg.ids}), "segment_id int, vec_id long")
+
+
 def per_segment(index: DataFrame, fn, schema: str) -> DataFrame:
     """fn(segment_id, Segment) -> pandas frame, for each segment."""
 
@@ -220,7 +255,7 @@ def layout_table(index: DataFrame) -> DataFrame:
 
 # --- searching ---------------------------------------------------------------
 
-FOUND = "query_id long, segment_id int, kind string, vec_id long, dist double, ios long, hops long, nav_hops long, restarts long, rounds long, used long, loaded long, blocks long, ms double, step int, block_id long"
+FOUND = "query_id long, segment_id int, kind string, vec_id long, dist double, ios long, hops long, nav_hops long, restarts long, rounds long, used long, loaded long, blocks long, util double, io_ms double, ms double, step int, block_id long"
 
 
 @dataclass(frozen=True)
@@ -233,30 +268,60 @@ class Ask:
     options: search.Options = field(default_factory=search.Options)
 
 
-def answer(seg: search.Segment, q: np.ndarray, ask: Ask) -> search.Found:
+def answer(seg: search.Segment, q: np.ndarray, ask: Ask, visible: np.ndarray | None = None) -> search.Found:
+    """One query on one segment. ``visible`` says which rows may be answers;
+    the others still lead the search. A top-k search that ends with fewer than k
+    visible rows is asked again with twice the list, all reads counted, until it
+    has k or the list holds the segment."""
     o = ask.options
     if ask.method.startswith("vertex"):
         o = search.vertex_options(o, cache=o.cache)
-    if ask.method.endswith("radius_by_topk"):
-        return search.radius_by_topk(seg, q, ask.r, o)
-    return search.anns(seg, q, ask.k, o) if ask.r is None else search.radius_search(seg, q, ask.r, o)
+    if ask.r is not None:
+        f = search.radius_by_topk(seg, q, ask.r, o) if ask.method.endswith("radius_by_topk") else search.radius_search(seg, q, ask.r, o)
+        return f if visible is None else search.only(f, visible)
+    want = min(ask.k, len(seg.ids) if visible is None else int(visible.sum()))
+    total = search.Found([], [])
+    while True:
+        f = search.anns(seg, q, ask.k if visible is None else len(seg.ids), o)
+        if visible is not None:
+            f = search.only(f, visible)
+            f.rows, f.dists = f.rows[: ask.k], f.dists[: ask.k]
+        total = search.added(total, f)
+        if len(f.rows) >= want or o.cand_size >= len(seg.ids):
+            return total
+        o = replace(o, cand_size=2 * o.cand_size)
+
+
+def _with_visible(index: DataFrame, visible: DataFrame) -> DataFrame:
+    """The index with a part -1 for each segment: its rows that may be answers."""
+
+    def pack(pdf):
+        return pd.DataFrame({"segment_id": pdf["segment_id"].iloc[:1].astype(np.int32), "part": np.int32(-1), "n_parts": np.int32(0), "payload": [np.sort(pdf["vec_id"].to_numpy(np.int64)).tobytes()]})
+
+    shown = ids(index).join(visible.select("vec_id").distinct(), "vec_id", "left_semi")
+    return index.unionByName(shown.groupBy("segment_id").applyInPandas(pack, INDEX))
 
 
-def run_queries(index: DataFrame, routed: DataFrame, ask: Ask, slices: int = 1) -> DataFrame:
+def run_queries(index: DataFrame, routed: DataFrame, ask: Ask, slices: int = 1, visible: DataFrame | None = None) -> DataFrame:
     """Rows of three kinds: ``hit`` (vec_id, dist), ``stat`` (counters of a
-    query on a segment) and, with options.rows, ``step`` (reads of blocks)."""
+    query on a segment) and, with options.rows, ``step`` (reads of blocks).
+    ``visible``: (vec_id) of the rows that may be answers, all if not given."""
     names = [x.split()[0] for x in FOUND.split(", ")]
 
     def run(key, left, right):
         out = []
+        shown, left = left[left["part"] < 0], left[left["part"] >= 0]
         if len(left) and len(right):
             seg = load(left)
             s = int(left["segment_id"].iloc[0])
+            mask = None
+            if masked:
+                mask = np.isin(seg.ids, np.frombuffer(shown["payload"].iloc[0], np.int64)) if len(shown) else np.zeros(len(seg.ids), bool)
             for qid, q in zip(right["query_id"].tolist(), right["qvec"].tolist()):
-                f = answer(seg, np.array(q, float), ask)
+                f = answer(seg, np.array(q, float), ask, mask)
                 blank = dict.fromkeys(names) | {"query_id": qid, "segment_id": s}
                 out += [blank | {"kind": "hit", "vec_id": int(seg.ids[r]), "dist": d} for r, d in zip(f.rows, f.dists)]
-                out.append(blank | {"kind": "stat", "ms": f.total_s * 1000} | {n: getattr(f, n) for n in ("ios", "hops", "nav_hops", "restarts", "rounds", "used", "loaded", "blocks")})
+                out.append(blank | {"kind": "stat", "ms": f.total_s * 1000, "io_ms": f.io_s * 1000} | {n: getattr(f, n) for n in search.COUNTERS})
                 out += [blank | {"kind": "step", "step": a, "block_id": b, "used": u, "loaded": n} for a, b, u, n in f.trace]
         frame = pd.DataFrame(out, columns=names)
         for x in FOUND.split(", "):
@@ -264,6 +329,9 @@ def run_queries(index: DataFrame, routed: DataFrame, ask: Ask, slices: int = 1)
             frame[c] = frame[c].astype({"long": "Int64", "int": "Int32", "double": "float64", "string": "object"}[t])
         return frame
 
+    masked = visible is not None
+    if masked:
+        index = _with_visible(index, visible)
     right = routed.select("query_id", "qvec", "segment_id")
     keys = ["segment_id"]
     if slices > 1:  # a segment is visited by several tasks, each with some queries
@@ -283,7 +351,7 @@ def merge(found: DataFrame, k: int | None) -> DataFrame:
 
 def stats(found: DataFrame) -> DataFrame:
     """Counters of each query, summed over its segments."""
-    names = ("ios", "hops", "nav_hops", "restarts", "rounds", "used", "loaded", "blocks", "ms")
+    names = (*search.COUNTERS, "io_ms", "ms")
     return found.where("kind = 'stat'").groupBy("query_id").agg(*(F.sum(n).alias(n) for n in names))
 
 

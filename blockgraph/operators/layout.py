@@ -104,17 +104,20 @@ def _refill(nbrs: np.ndarray, old: np.ndarray, cap: int, order: np.ndarray, over
     return new
 
 
-def freq(nbrs, cap, init=None, max_iter=8, min_gain=0.01, overflow="deferred", keep="best", map="frozen", priority=False, patience=2):
+def freq(nbrs, cap, init=None, max_iter=8, min_gain=0.01, overflow="deferred", keep="last", map="frozen", priority=False):
     """Rounds of refilling by neighbour counts; returns (block, history of OR).
 
-    ``map='frozen'`` counts neighbours where they were before the round,
-    ``'live'`` where they already are; ``priority`` takes rows by their best
-    count in place of their id. A round that gains less than min_gain ends the
-    loop from round ``patience`` on; ``keep`` returns the best or the last."""
+    ``map='frozen'`` counts neighbours where they were before the round, as the
+    definition has it; it gains where vectors are clustered and loses where they
+    aren't. ``'live'`` counts them where they already are, which gains on both,
+    and is what an index uses by default. ``priority`` takes rows by their best
+    count in place of their id. A round that gains less than ``min_gain`` is the
+    last. ``keep='last'`` returns the last layout, whatever its OR; ``'best'`` the
+    best of all rounds, which is the initial layout if no round gains."""
     block = pad(nbrs, cap) if init is None else init
     history = [float(overlap(nbrs, block).mean()) if len(block) else 0.0]
     best = (history[0], block)
-    for i in range(max_iter):
+    for _ in range(max_iter):
         order = np.arange(len(nbrs))
         if priority:
             top = np.array([max((c for c, _ in _preferences(x, block)), default=0) for x in nbrs])
@@ -123,7 +126,7 @@ def freq(nbrs, cap, init=None, max_iter=8, min_gain=0.01, overflow="deferred", k
         history.append(float(overlap(nbrs, block).mean()) if len(block) else 0.0)
         if history[-1] > best[0]:
             best = (history[-1], block)
-        if i + 1 >= patience and history[-1] - history[-2] < min_gain:
+        if history[-1] - history[-2] < min_gain:
             break
     return (best[1] if keep == "best" else block), history
 

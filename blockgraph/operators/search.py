@@ -82,12 +82,31 @@ class Found:
     used: int = 0
     loaded: int = 0
     blocks: int = 0
+    util: float = 0.0  # summed over blocks: used vertices over all in it
     rounds: int = 0
     io_s: float = 0.0
     total_s: float = 0.0
     trace: list = field(default_factory=list)
 
 
+COUNTERS = ("ios", "hops", "nav_hops", "restarts", "rounds", "used", "loaded", "blocks", "util")
+
+
+def added(total: Found, f: Found) -> Found:
+    """f's answers with the costs of both."""
+    for n in (*COUNTERS, "io_s", "total_s"):
+        setattr(f, n, getattr(total, n) + getattr(f, n))
+    f.trace = total.trace + f.trace
+    return f
+
+
+def only(f: Found, visible: np.ndarray) -> Found:
+    """f without the answers that aren't visible."""
+    keep = [(r, d) for r, d in zip(f.rows, f.dists) if visible[r]]
+    f.rows, f.dists = [r for r, _ in keep], [d for _, d in keep]
+    return f
+
+
 def exact(seg: Segment, q: np.ndarray, rows) -> np.ndarray:
     """Distances of a query to some rows."""
     v = seg.vecs[rows]
@@ -223,6 +242,7 @@ class _Run:
         self.out.blocks += 1
         self.out.used += 1 + len(kept)
         self.out.loaded += len(members)
+        self.out.util += (1 + len(kept)) / len(members)
         if self.o.rows:
             self.out.trace.append((self.out.hops, b, 1 + len(kept), len(members)))
         return kept
@@ -312,14 +332,11 @@ def radius_by_topk(seg: Segment, q: np.ndarray, r: float, o: Options, k0: int =
 
     total, k = Found([], []), k0
     while True:
-        got = anns(seg, q, k, replace(o, cand_size=max(o.cand_size, k)))
-        for f in ("ios", "hops", "nav_hops", "used", "loaded", "blocks", "rounds", "io_s", "total_s"):
-            setattr(total, f, getattr(total, f) + getattr(got, f))
-        total.trace += got.trace
-        if len(got.rows) < k or got.dists[-1] > r or k >= len(seg.ids):
+        total = added(total, anns(seg, q, k, replace(o, cand_size=max(o.cand_size, k))))
+        if len(total.rows) < k or total.dists[-1] > r or k >= len(seg.ids):
             break
         k *= growth
         total.restarts += 1
-    inside = [(x, d) for x, d in zip(got.rows, got.dists) if d <= r]
+    inside = [(x, d) for x, d in zip(total.rows, total.dists) if d <= r]
     total.rows, total.dists = [x for x, _ in inside], [d for _, d in inside]
     return total

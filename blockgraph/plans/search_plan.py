@@ -16,8 +16,9 @@ class SearchPlan:
     """A vector query over an index and, for filters, its base table.
 
     ``filter`` with few survivors is answered exactly on these (pre-filter);
-    else the index is searched with over-fetch and the hits are filtered. The
-    choice is by the counted share of survivors."""
+    else the index is searched, and rows outside the filter lead the way but are
+    no answers; each segment goes on until it has k rows that are. The choice is
+    by the counted share of survivors."""
 
     base: DataFrame | None = None
     index: DataFrame | None = None
@@ -26,12 +27,11 @@ class SearchPlan:
     n_probe: int | None = None
     filter: Column | None = None
     prefilter_share: float = 0.1
-    overfetch: int = 4
 
     def steps(self, ask: index.Ask) -> list[str]:
         out = ["scan"]
         if self.filter is not None:
-            out.append("pre-filter, exact" if self._few() else f"search {self.overfetch} x k, post-filter")
+            out.append("pre-filter, exact" if self._few() else "search, filter on the way")
         else:
             out.append("search" if self.index is not None else "exact")
         if self.index is not None and out[-1] != "pre-filter, exact":
@@ -56,9 +56,5 @@ class SearchPlan:
             return exact.knn(base, queries, k, metric) if k else exact.radius(base, queries, ask.r, metric)
         if self.filter is None:
             return index.merge(index.run_queries(self.index, self.routed(queries), ask), k)
-        from dataclasses import replace
-
-        more = ask if k is None else replace(ask, k=k * self.overfetch, options=replace(ask.options, cand_size=max(ask.options.cand_size, k * self.overfetch)))
-        found = index.run_queries(self.index, self.routed(queries), more).where("kind = 'hit'")
         keep = self.base.where(self.filter).select("vec_id")
-        return index.merge(found.join(keep, "vec_id", "left_semi"), k)
+        return index.merge(index.run_queries(self.index, self.routed(queries), ask, visible=keep), k)

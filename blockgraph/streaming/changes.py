@@ -2,8 +2,8 @@
 
 Each micro-batch is committed to a folder of its own id, so a replay rewrites
 the same rows. The snapshot is the newest change of each vector; a search joins
-the static index without changed vectors and an exact search over the small
-changed set. Past ``threshold`` changes the static index is built anew from the
+the static index, where changed vectors lead the way but are no answers, and an
+exact search over the small changed set. Past ``threshold`` changes the static index is built anew from the
 snapshot and the folders it holds are left behind, by a new version.
 """
 
@@ -39,7 +39,7 @@ class DynamicIndex:
     def __init__(self, spark: SparkSession, base: DataFrame, build: index.Build, n_segments: int = 1, threshold: int = 10_000):
         self.spark, self.build, self.n_segments, self.threshold = spark, build, n_segments, threshold
         self.root = at_exit(spark, f"{shared_dir(spark)}/dynamic-{uuid.uuid4().hex}")
-        self.version, self.batches = 0, {}
+        self.version = 0
         self._static(base)
 
     def _static(self, base: DataFrame) -> None:
@@ -48,15 +48,24 @@ class DynamicIndex:
 
     def commit(self, batch: DataFrame, epoch: int) -> None:
         """For foreachBatch."""
-        path = f"{self.root}/v{self.version}/batch={epoch}"
-        batch.write.mode("overwrite").parquet(path)
-        self.batches[epoch] = path
+        batch.write.mode("overwrite").parquet(f"{self._folder()}/batch={epoch}")
         if self.changes().count() > self.threshold:
             self.rebuild()
 
     def changes(self) -> DataFrame:
-        paths = list(self.batches.values())
-        return self.spark.read.schema(CHANGES).parquet(*paths) if paths else self.spark.createDataFrame([], CHANGES)
+        if not self.batches():
+            return self.spark.createDataFrame([], CHANGES)
+        return self.spark.read.schema(f"{CHANGES}, batch long").parquet(self._folder()).drop("batch")
+
+    def _folder(self) -> str:
+        return f"{self.root}/v{self.version}"
+
+    def batches(self) -> list[int]:
+        """What has been committed to this version, by the folder."""
+        where = self.spark._jvm.org.apache.hadoop.fs.Path(self._folder())
+        fs = where.getFileSystem(self.spark._jsc.hadoopConfiguration())
+        names = [f.getPath().getName() for f in fs.listStatus(where)] if fs.exists(where) else []
+        return sorted(int(n.partition("=")[2]) for n in names if n.startswith("batch="))
 
     def snapshot(self) -> DataFrame:
         now = newest(self.changes())
@@ -65,19 +74,18 @@ class DynamicIndex:
     def rebuild(self) -> None:
         self._static(self.snapshot())
         self.version += 1
-        self.batches = {}
 
     def search(self, queries: DataFrame, ask: index.Ask) -> DataFrame:
         now = stored(newest(self.changes()), "changed")
-        old = index.run_queries(self.index, index.everywhere(queries, self.n_segments), ask).where("kind = 'hit'").select("query_id", "vec_id", "dist")
-        old = old.join(now.select("vec_id"), "vec_id", "left_anti").select("query_id", "vec_id", "dist")
+        still = self.base.join(now.select("vec_id"), "vec_id", "left_anti").select("vec_id")
+        old = index.run_queries(self.index, index.everywhere(queries, self.n_segments), ask, visible=still).where("kind = 'hit'").select("query_id", "vec_id", "dist")
         fresh = now.where("op = 'upsert'")
         k = ask.k if ask.r is None else None
         new = exact.knn(fresh, queries, ask.k, self.build.metric) if k else exact.radius(fresh, queries, ask.r, self.build.metric)
         return exact.rank_hits(old.unionByName(new.select("query_id", "vec_id", "dist")), k)
 
     def manifest(self) -> str:
-        return json.dumps({"version": self.version, "batches": sorted(self.batches), **index.describe(self.build)}, sort_keys=True)
+        return json.dumps({"version": self.version, "batches": self.batches(), **index.describe(self.build)}, sort_keys=True)
 
 
 def event_stream(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -60,6 +60,6 @@ def test_rebuild_and_replay(spark):
     want = sorted(map(tuple, exact.knn(dyn.snapshot(), q, 60).collect()))
     assert one == want
     dyn.commit(changes.from_events(ev.where("event_id between 40 and 200"), v), 1)
-    assert dyn.version == 1 and not dyn.batches
+    assert dyn.version == 1 and not dyn.batches()
     assert sorted(map(tuple, dyn.search(q, ask).collect())) == sorted(map(tuple, exact.knn(dyn.snapshot(), q, 60).collect()))
     assert '"version": 1' in dyn.manifest()
