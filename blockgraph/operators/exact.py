@@ -95,7 +95,7 @@ def radius(base: DataFrame, queries: DataFrame, r: float, metric: str = "l2", ex
     return rank_hits(hits, None)
 
 
-def sample_queries(base: DataFrame, every: int = 10, rest: int = 3) -> DataFrame:
+def sample_queries(base: DataFrame, every: int = 100, rest: int = 0) -> DataFrame:
     return base.where(F.pmod("vec_id", F.lit(every)) == rest).select(F.col("vec_id").alias("query_id"), F.col("vec").alias("qvec"))
 
 
@@ -104,8 +104,6 @@ def without(base: DataFrame, queries: DataFrame) -> DataFrame:
     return base.join(queries.select(F.col("query_id").alias("vec_id")), "vec_id", "left_anti")
 
 
-def random_order(queries: DataFrame) -> DataFrame:
-    return queries.orderBy(mixed(F.col("query_id")), "query_id")
 
 
 def near_classes(base: DataFrame, r: float, dims: tuple[int, ...]) -> DataFrame:

@@ -268,7 +268,7 @@ class Ask:
     options: search.Options = field(default_factory=search.Options)
 
 
-def answer(seg: search.Segment, q: np.ndarray, ask: Ask, visible: np.ndarray | None = None) -> search.Found:
+def answer(seg: search.Segment, q: np.ndarray, ask: Ask, visible: np.ndarray | None = None, run=None) -> search.Found:
     """One query on one segment. ``visible`` says which rows may be answers;
     the others still lead the search. A top-k search that ends with fewer than k
     visible rows is asked again with twice the list, all reads counted, until it
@@ -277,12 +277,12 @@ def answer(seg: search.Segment, q: np.ndarray, ask: Ask, visible: np.ndarray | N
     if ask.method.startswith("vertex"):
         o = search.vertex_options(o, cache=o.cache)
     if ask.r is not None:
-        f = search.radius_by_topk(seg, q, ask.r, o) if ask.method.endswith("radius_by_topk") else search.radius_search(seg, q, ask.r, o)
+        f = search.radius_by_topk(seg, q, ask.r, o, run=run) if ask.method.endswith("radius_by_topk") else search.radius_search(seg, q, ask.r, o, run)
         return f if visible is None else search.only(f, visible)
     want = min(ask.k, len(seg.ids) if visible is None else int(visible.sum()))
     total = search.Found([], [])
     while True:
-        f = search.anns(seg, q, ask.k if visible is None else len(seg.ids), o)
+        f = search.anns(seg, q, ask.k if visible is None else len(seg.ids), o, run)
         if visible is not None:
             f = search.only(f, visible)
             f.rows, f.dists = f.rows[: ask.k], f.dists[: ask.k]
@@ -306,39 +306,49 @@ def run_queries(index: DataFrame, routed: DataFrame, ask: Ask, slices: int = 1,
     """Rows of three kinds: ``hit`` (vec_id, dist), ``stat`` (counters of a
     query on a segment) and, with options.rows, ``step`` (reads of blocks).
     ``visible``: (vec_id) of the rows that may be answers, all if not given."""
+    if visible is not None:
+        index = _with_visible(index, visible)
+    return serve(index, routed, ask, lambda rows: (load(rows), None, None), slices, visible is not None)
+
+
+def serve(segments: DataFrame, routed: DataFrame, ask: Ask, start, slices: int = 1, masked: bool = False) -> DataFrame:
+    """Answer the queries of each segment in one task, or in ``slices`` tasks.
+    start(rows of a segment) gives the segment, what makes a query's run (None:
+    over arrays) and what to call at the end (or None)."""
     names = [x.split()[0] for x in FOUND.split(", ")]
 
     def run(key, left, right):
         out = []
-        shown, left = left[left["part"] < 0], left[left["part"] >= 0]
+        shown = None
+        if masked:
+            shown, left = left[left["part"] < 0], left[left["part"] >= 0]
         if len(left) and len(right):
-            seg = load(left)
+            seg, make, close = start(left)
             s = int(left["segment_id"].iloc[0])
             mask = None
             if masked:
                 mask = np.isin(seg.ids, np.frombuffer(shown["payload"].iloc[0], np.int64)) if len(shown) else np.zeros(len(seg.ids), bool)
             for qid, q in zip(right["query_id"].tolist(), right["qvec"].tolist()):
-                f = answer(seg, np.array(q, float), ask, mask)
+                f = answer(seg, np.array(q, float), ask, mask, make)
                 blank = dict.fromkeys(names) | {"query_id": qid, "segment_id": s}
                 out += [blank | {"kind": "hit", "vec_id": int(seg.ids[r]), "dist": d} for r, d in zip(f.rows, f.dists)]
                 out.append(blank | {"kind": "stat", "ms": f.total_s * 1000, "io_ms": f.io_s * 1000} | {n: getattr(f, n) for n in search.COUNTERS})
                 out += [blank | {"kind": "step", "step": a, "block_id": b, "used": u, "loaded": n} for a, b, u, n in f.trace]
+            if close:
+                close()
         frame = pd.DataFrame(out, columns=names)
         for x in FOUND.split(", "):
             c, t = x.split()
             frame[c] = frame[c].astype({"long": "Int64", "int": "Int32", "double": "float64", "string": "object"}[t])
         return frame
 
-    masked = visible is not None
-    if masked:
-        index = _with_visible(index, visible)
     right = routed.select("query_id", "qvec", "segment_id")
     keys = ["segment_id"]
     if slices > 1:  # a segment is visited by several tasks, each with some queries
-        index = index.withColumn("slice", F.explode(F.sequence(F.lit(0), F.lit(slices - 1))))
+        segments = segments.withColumn("slice", F.explode(F.sequence(F.lit(0), F.lit(slices - 1))))
         right = right.withColumn("slice", F.pmod(mixed(F.col("query_id")), F.lit(slices)).cast("int"))
         keys.append("slice")
-    return index.groupBy(*keys).cogroup(right.groupBy(*keys)).applyInPandas(run, FOUND)
+    return segments.groupBy(*keys).cogroup(right.groupBy(*keys)).applyInPandas(run, FOUND)
 
 
 def merge(found: DataFrame, k: int | None) -> DataFrame:

@@ -11,6 +11,7 @@ import time
 from bisect import insort
 from itertools import islice
 from dataclasses import dataclass, field
+from functools import partial
 
 import numpy as np
 
@@ -175,13 +176,12 @@ class _Run:
         return exact(self.seg, self.q, rows)
 
     def read(self, block: int, target: int | None) -> None:
-        began = time.perf_counter()
+        """Count a read; over arrays nothing moves (``block_search`` reads files)."""
         self.out.ios += 1
         if self.o.keep_blocks == "all":
             self.buffer.add(block)
         elif self.o.keep_blocks == "last" or self.table is None:
             self.buffer = {block}
-        self.out.io_s += time.perf_counter() - began
 
     def add(self, rows, charge: bool = True) -> None:
         new = [r for r in dict.fromkeys(rows) if r not in self.known]
@@ -308,14 +308,15 @@ class _Run:
         return self.finish()
 
 
-def anns(seg: Segment, q: np.ndarray, k: int, o: Options) -> Found:
-    out = _Run(seg, q, o, None).go()
+def anns(seg: Segment, q: np.ndarray, k: int, o: Options, run=None) -> Found:
+    """``run`` makes a query's run, by default over arrays in memory."""
+    out = (run or partial(_Run, seg))(q, o, None).go()
     out.rows, out.dists = out.rows[:k], out.dists[:k]
     return out
 
 
-def radius_search(seg: Segment, q: np.ndarray, r: float, o: Options) -> Found:
-    return _Run(seg, q, o, r).go()
+def radius_search(seg: Segment, q: np.ndarray, r: float, o: Options, run=None) -> Found:
+    return (run or partial(_Run, seg))(q, o, r).go()
 
 
 def vertex_options(o: Options, cache: bool = True) -> Options:
@@ -325,14 +326,14 @@ def vertex_options(o: Options, cache: bool = True) -> Options:
     return replace(o, prune_ratio=0.0, navigator=False, cache=cache, pipelined=False, result_scope="survivors")
 
 
-def radius_by_topk(seg: Segment, q: np.ndarray, r: float, o: Options, k0: int = 10, growth: int = 2) -> Found:
+def radius_by_topk(seg: Segment, q: np.ndarray, r: float, o: Options, k0: int = 10, growth: int = 2, run=None) -> Found:
     """Baseline: the k nearest with growing k until the last one is outside;
     all reads are paid again."""
     from dataclasses import replace
 
     total, k = Found([], []), k0
     while True:
-        total = added(total, anns(seg, q, k, replace(o, cand_size=max(o.cand_size, k))))
+        total = added(total, anns(seg, q, k, replace(o, cand_size=max(o.cand_size, k)), run))
         if len(total.rows) < k or total.dists[-1] > r or k >= len(seg.ids):
             break
         k *= growth

@@ -250,10 +250,10 @@ def fn_json(spark, sf_dir):
     return t(spark, sf_dir, "events").select("event_id", F.get_json_object("props", "$.k").cast("long").alias("k"))
 
 
-@query("select l_orderkey, l_linenumber::bigint as line, l_partkey, extract(year from l_shipdate)::bigint as y, extract(month from l_shipdate)::bigint as m, date_diff('day', timestamp '1995-01-01', l_shipdate)::bigint as days, date_trunc('month', l_shipdate)::date as month from lineitem where l_quantity > 40")
+@query("select l_orderkey, l_linenumber::bigint as line, l_partkey, extract(year from l_shipdate)::bigint as y, extract(month from l_shipdate)::bigint as m, date_diff('day', timestamp '1995-01-01', l_shipdate)::bigint as days, date_trunc('month', l_shipdate)::date as month from lineitem")
 def fn_date(spark, sf_dir):
     s = F.col("l_shipdate")
-    return t(spark, sf_dir, "lineitem").where("l_quantity > 40").select("l_orderkey", F.col("l_linenumber").cast("long").alias("line"), "l_partkey", F.year(s).cast("long").alias("y"), F.month(s).cast("long").alias("m"), F.datediff(s, F.lit("1995-01-01")).cast("long").alias("days"), F.trunc(s, "month").alias("month"))
+    return t(spark, sf_dir, "lineitem").select("l_orderkey", F.col("l_linenumber").cast("long").alias("line"), "l_partkey", F.year(s).cast("long").alias("y"), F.month(s).cast("long").alias("m"), F.datediff(s, F.lit("1995-01-01")).cast("long").alias("days"), F.trunc(s, "month").alias("month"))
 
 
 @query("select event_id, case when value > 50 then 'high' when value > 10 then 'mid' else 'low' end as band, nullif(event_type, 'view') as other, coalesce(nullif(user_id, 3), -1) as who from events")

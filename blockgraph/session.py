@@ -92,9 +92,16 @@ def discard(*tables: DataFrame) -> None:
             _remove(t.sparkSession, path)
 
 
+def stamp(spark: SparkSession, path: str) -> int:
+    """When what a folder or file holds was last changed."""
+    where = spark._jvm.org.apache.hadoop.fs.Path(path)
+    fs = where.getFileSystem(spark._jsc.hadoopConfiguration())
+    return max([f.getModificationTime() for f in fs.listStatus(where)], default=0)
+
+
 def once(spark: SparkSession, key: tuple, make) -> DataFrame:
-    """A stored table made once for each application and key; for inputs that
-    don't change, such as an index over a fixed table."""
+    """A stored table made once for each application and key; a key names all
+    that the table depends on, with the ``stamp`` of its input."""
     key = (spark.sparkContext.applicationId, *key)
     if key not in _stored:
         _stored[key] = make()

@@ -62,23 +62,34 @@ def dedupe_watermark(spark, sf_dir):
     return changes.result(s, "append").select("user_id", "event_type")
 
 
-@query(f"""with {SNAPSHOT}, v as ({EMB}),
+def _snapshot_sql(events: str) -> str:
+    return f"""with {SNAPSHOT.replace("('error', 'purchase')", events)}, v as ({EMB}),
 b as (select vec_id, vec from v where vec_id not in (select vec_id from c) union all select vec_id, list_transform(vec, lambda x: x * 0.5) from v where vec_id in (select vec_id from c where r = 1 and event_type = 'purchase')),
-d as (select q.vec_id as query_id, b.vec_id, round(list_distance(b.vec, q.vec), 6) + 0.0 as dist from b, v q where q.vec_id % 20 = 7)
-select query_id, rank, vec_id, dist from (select *, row_number() over (partition by query_id order by dist, vec_id) as rank from d) where rank <= 10""")
-def snapshot_search(spark, sf_dir):
-    """Static index and streamed changes together are the snapshot."""
+d as (select q.vec_id as query_id, b.vec_id, round(list_distance(b.vec, q.vec), 6) + 0.0 as dist from b, v q where q.vec_id % 100 = 0)
+select query_id, rank, vec_id, dist from (select *, row_number() over (partition by query_id order by dist, vec_id) as rank from d) where rank <= 10"""
+
+
+def _snapshot(spark, sf_dir, keep):
     v = features.emb_f32(spark, sf_dir)
     dyn = changes.DynamicIndex(spark, v, DEFAULT)
-    events = changes.event_stream(spark, sf_dir)
-    changes.drain(changes.from_events(events, v), dyn.commit)
-    q = exact.sample_queries(v, 20, 7)
-    n = v.count()
-    got = dyn.search(q, index.Ask(n, options=search.Options(cand_size=BIG)))
-    return got.where("rank <= 10").withColumn("rank", F.col("rank").cast("long"))
+    changes.drain(changes.from_events(changes.event_stream(spark, sf_dir).where(keep), v), dyn.commit)
+    got = dyn.search(exact.sample_queries(v), index.Ask(10, options=search.Options(cand_size=BIG)))
+    return got.withColumn("rank", F.col("rank").cast("long"))
+
+
+@query(_snapshot_sql("('error', 'purchase')"))
+def snapshot_search(spark, sf_dir):
+    """The ten nearest in the static index and the streamed changes together."""
+    return _snapshot(spark, sf_dir, F.lit(True))
+
+
+@query(_snapshot_sql("('error')"))
+def snapshot_search_deletes(spark, sf_dir):
+    """Deletes only: what goes is made up for by what comes next."""
+    return _snapshot(spark, sf_dir, F.col("event_type") == "error")
 
 
-KNN_SQL = f"with v as ({EMB}), d as (select q.vec_id as query_id, b.vec_id, round(list_distance(b.vec, q.vec), 6) + 0.0 as dist from v q, v b where q.vec_id % 50 = 7)"
+KNN_SQL = f"with v as ({EMB}), d as (select q.vec_id as query_id, b.vec_id, round(list_distance(b.vec, q.vec), 6) + 0.0 as dist from v q, v b where q.vec_id % 100 = 0)"
 
 
 def _functions(spark, sf_dir):
@@ -91,13 +102,13 @@ def _functions(spark, sf_dir):
 @query(f"{KNN_SQL} select query_id, vec_id, dist from (select *, row_number() over (partition by query_id order by dist, vec_id) as r from d) where r <= 5")
 def sql_vector_search(spark, sf_dir):
     _functions(spark, sf_dir)
-    return spark.sql(f"select q.vec_id as query_id, h.vec_id, h.dist from vectors_for_sql q, lateral vector_search(q.vec, 5, {BIG}) h where q.vec_id % 50 = 7")
+    return spark.sql(f"select q.vec_id as query_id, h.vec_id, h.dist from vectors_for_sql q, lateral vector_search(q.vec, 5, {BIG}) h where q.vec_id % 100 = 0")
 
 
 @query(f"{KNN_SQL} select query_id, vec_id, dist from d where dist <= {R_SMALL}")
 def sql_vector_range(spark, sf_dir):
     _functions(spark, sf_dir)
-    return spark.sql(f"select q.vec_id as query_id, h.vec_id, h.dist from vectors_for_sql q, lateral vector_range(q.vec, double({R_SMALL}), 20, double(0)) h where q.vec_id % 50 = 7")
+    return spark.sql(f"select q.vec_id as query_id, h.vec_id, h.dist from vectors_for_sql q, lateral vector_range(q.vec, double({R_SMALL}), 20, double(0)) h where q.vec_id % 100 = 0")
 
 
 @query(f"with v as ({EMB}) select a.vec_id, round(list_distance(a.vec, b.vec), 6) + 0.0 as dist, round(-list_inner_product(a.vec, b.vec), 6) + 0.0 as ip from v a, v b where b.vec_id = 0")

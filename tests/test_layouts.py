@@ -91,3 +91,17 @@ def test_graphs():
         for n in (0, 1, 2):
             seg, _ = index.build_segment(np.arange(n), x[:n], index.Build(builder=kind, max_degree=4))
             assert index.load(index._rows_of(0, seg.pack())).ids.tolist() == list(range(n))
+
+
+def test_freq_on_clusters():
+    """Rounds raise OR where vectors are clustered, and the last is returned."""
+    rng = np.random.default_rng(9)
+    centres = rng.standard_normal((30, 16))
+    x = centres[rng.integers(0, 30, 600)] + rng.standard_normal((600, 16)) * 0.2
+    nbrs = graph.build("knn", x, np.arange(600), "l2", 16)[0]
+    for how in ("frozen", "live"):
+        block, h = layout.freq(nbrs, 12, max_iter=8, map=how)
+        assert h[-1] > h[0] + 0.05 and layout.overlap(nbrs, block).mean() == pytest.approx(h[-1])
+    flat = graph.build("knn", rng.standard_normal((600, 32)), np.arange(600), "l2", 16)[0]
+    block, h = layout.freq(flat, 12, min_gain=-9.0)
+    assert len(h) == 9 and layout.overlap(flat, block).mean() == pytest.approx(h[-1])

@@ -179,3 +179,62 @@ def test_supersteps_equal_segment_tasks(spark, ask):
     keys = ["query_id", "segment_id", "kind", "vec_id", "dist", "ios", "hops", "nav_hops", "restarts", "rounds", "used", "loaded", "blocks"]
     rows = lambda f: sorted((tuple(r) for r in f.select(*keys).collect()), key=str)
     assert rows(frontier.run_queries(i, q, ask)) == rows(index.run_queries(i, q, ask))
+
+
+@pytest.mark.parametrize("ask,options", [
+    (index.Ask(5, options=O(cand_size=12)), {}), (index.Ask(5, options=O(cand_size=8, pipelined=False, beam_width=2)), {}), (index.Ask(r=1.3, options=O(cand_size=6)), {}),
+    (index.Ask(5, method="vertex", options=O(cand_size=12, cache=True)), {"layout": "idpack", "hot_ratio": 0.05}), (index.Ask(5, options=O(cand_size=12, routing="exact", keep_blocks="all")), {}),
+])
+def test_block_reads_equal_arrays(spark, ask, options):
+    """Reads by position give the answers and counts of arrays in memory, and
+    the vectors never leave the files."""
+    from blockgraph.operators import block_search
+
+    v = features.emb_f32(spark, "/root/testdata/sf0.001")
+    i = index.build(index.assign(v, 2), index.Build(**options)).cache()
+    files = block_search.write(i)
+    q = index.everywhere(exact.sample_queries(v, 50, 0), 2)
+    keys = ["query_id", "segment_id", "kind", "vec_id", "dist", *search.COUNTERS]
+    rows = lambda f: sorted((tuple(r) for r in f.select(*keys).collect()), key=str)
+    found = block_search.run_queries(files, q, ask).cache()
+    assert rows(found) == rows(index.run_queries(i, q, ask))
+    s = found.where("kind = 'stat'").agg({"io_ms": "min", "ms": "min"}).first()
+    assert s["min(io_ms)"] > 0 and s["min(ms)"] >= s["min(io_ms)"]
+
+
+def test_answers_in_full_under_a_filter(data, segments):
+    x, q = data
+    visible = np.arange(len(x)) % 7 == 0
+    _, d = truth(data, 10)
+    for seg in segments.values():
+        short = [index.answer(seg, v, index.Ask(10, options=O(cand_size=10)), visible) for v in q]
+        assert all(len(f.rows) == 10 and visible[f.rows].all() for f in short)
+        full = [index.answer(seg, v, index.Ask(10, options=O(cand_size=9999)), visible).rows for v in q]
+        assert full == [[r for r in np.lexsort((np.arange(len(x)), row)) if visible[r]][:10] for row in d]
+    few = np.arange(len(x)) < 4
+    assert [len(index.answer(segments["freq"], v, index.Ask(10, options=O(cand_size=9999)), few).rows) for v in q] == [4] * len(q)
+
+
+def test_trace_measures(data, segments):
+    """Utilisation and path length on the trace of a search, by hand."""
+    runs = [search.anns(segments["freq"], v, 10, O(rows=True)) for v in data[1]]
+    for f in runs:
+        assert len(f.trace) == f.blocks and f.util == pytest.approx(sum(u / n for _, _, u, n in f.trace))
+        assert f.used == sum(u for *_, u, _ in f.trace) and f.hops == max(h for h, *_ in f.trace)
+
+
+def test_segments_are_bounded(spark):
+    v = features.emb_f32(spark, "/root/testdata/sf0.001")
+    for method in ("hash", "kmeans"):
+        sizes = [r["count"] for r in index.assign(v, 2, method, max_vectors=120).groupBy("segment_id").count().collect()]
+        assert sum(sizes) == v.count() and max(sizes) <= 150 and len(sizes) >= 5
+
+
+def test_lists_by_graph(spark):
+    from blockgraph.operators import kmeans, postings
+
+    v = features.clustered_f32(spark, "/root/testdata/sf0.001")
+    q = exact.sample_queries(v, 10, 3)
+    c = kmeans.fit(v, 32, 3)
+    near = lambda **k: {(r.query_id, r.list_id) for r in postings.probe(q, c, 6, 0.5, **k).collect()}
+    assert near(heads=postings.HeadGraph.over(c, cand_size=32)) == near()
