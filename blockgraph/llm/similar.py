@@ -17,10 +17,14 @@ Pairs within the radius are compared by their whole sets, which are computed
 anew from the texts of the nodes that have such a pair; so nothing that is not
 similar is ever linked.
 
-A shingle under which many nodes meet asks with its smallest node first. Pairs
-that this already joins are not compared again, so a large group of near copies
-costs a row for each member and not for each pair; groups beyond ``block`` are
-dealt out in parts.
+In a few rounds first, each node is only held against few others: of the shingles
+under which it meets nodes that it isn't joined with yet, it takes that which most
+nodes have, and there the smallest node, in later rounds ``REPS`` nodes drawn by a
+hash from the largest component. Pairs that this already joins are not compared
+again, so a large group of near copies costs a few rows for each member and not
+one for each pair; what is left apart after the rounds is compared in full. The
+places of a shared shingle in both sets discard pairs that can't reach s. Groups
+beyond ``block`` are dealt out in parts.
 
 Edge cases: a text of fewer than k words is one shingle; texts without words
 have equal (empty) sets and are linked; a row without an id makes no node and
@@ -43,6 +47,7 @@ from .simhash import asked_pairs, majority, shingle_hashes
 #: Similarity as a fraction, so that every bound is exact.
 SIMILARITY = (4, 5)
 RADIUS = 24
+REPS = 8
 SAMPLE_ROWS, COMMON = 20_000, 100_000
 
 
@@ -121,41 +126,47 @@ def summaries(df: DataFrame, k: int, similarity: tuple[int, int]) -> DataFrame:
 
 
 def _unfolded(nodes: DataFrame) -> DataFrame:
-    """(h, node): the shingles under which a node meets others."""
+    """(h, node, place): the shingles under which a node meets others, and
+    their places in its order."""
 
     def run(batches):
         for b in portions(batches):
             h = [np.frombuffer(g, np.int64) for g in b.column(1).to_pylist()]
-            yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(h)), pa.array(np.repeat(b.column(0).to_numpy(), [len(x) for x in h]))], names=["h", "node"])
+            size = [len(x) for x in h]
+            place = np.concatenate([np.arange(n, dtype=np.int32) for n in size])
+            yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(h)), pa.array(np.repeat(b.column(0).to_numpy(), size)), pa.array(place)], names=["h", "node", "place"])
 
-    return nodes.select("node", "first").mapInArrow(run, "h long, node long")
+    return nodes.select("node", "first").mapInArrow(run, "h long, node long, place int")
 
 
-def _near(rows: DataFrame, radius: int, block: int) -> DataFrame:
+def _near(rows: DataFrame, radius: int, block: int, similarity: tuple[int, int]) -> DataFrame:
     """(a, b): distinct pairs of an asking row and another one of the same
-    shingle, not of the same root, with fingerprints within the radius.
-    rows: h, node, fp, root, asks, c and m (rows and asking rows of the shingle)."""
+    shingle, not of the same root, with fingerprints within the radius, whose
+    sets can be similar by their sizes n and by what is left from the shingle
+    on. rows: h, node, fp, n, left, root, asks, c and m (rows and asking rows of
+    the shingle)."""
+    p, s = similarity[0], sum(similarity)
     half = max(1, block // 2)
     cut = lambda n: F.when(F.col("c") > block, F.ceil(F.col(n) / half)).otherwise(1).cast("int")
     deal = lambda n: F.pmod(F.xxhash64("node"), cut(n)).cast("int")
     copies = lambda n: F.explode(F.sequence(F.lit(0), cut(n) - 1))
-    kept = rows.select("h", deal("c").alias("i"), copies("m").alias("j"), "node", "fp", "root", F.lit(False).alias("asks"))
-    asking = rows.where("asks").select("h", copies("c").alias("i"), deal("m").alias("j"), "node", "fp", "root", "asks")
+    kept = rows.select("h", deal("c").alias("i"), copies("m").alias("j"), "node", "fp", "root", F.lit(False).alias("asks"), "n", "left")
+    asking = rows.where("asks").select("h", copies("c").alias("i"), deal("m").alias("j"), "node", "fp", "root", "asks", "n", "left")
     tasks = max(int(rows.sparkSession.conf.get("spark.sql.shuffle.partitions")), rows.count() // 500_000)
-    dealt = kept.unionAll(asking).repartition(tasks, "h", "i", "j").select(F.xxhash64("h", "i", "j").alias("g"), "node", "fp", "root", "asks")
+    dealt = kept.unionAll(asking).repartition(tasks, "h", "i", "j").select(F.xxhash64("h", "i", "j").alias("g"), "node", "fp", "root", "asks", "n", "left")
 
     def run(batches):
         got = [b for b in batches if b.num_rows]
         if not got:
             return
-        g, node, fp, root, asks = (np.concatenate([b.column(i).to_numpy(zero_copy_only=False) for b in got]) for i in range(5))
+        g, node, fp, root, asks, n, left = (np.concatenate([b.column(i).to_numpy(zero_copy_only=False) for b in got]) for i in range(7))
         order = np.lexsort((node, g))
-        g, node, fp, root, asks = (x[order] for x in (g, node, fp.view(np.uint64), root, asks))
+        g, node, fp, root, asks, n, left = (x[order] for x in (g, node, fp.view(np.uint64), root, asks, n.astype(np.int64), left.astype(np.int64)))
         q, x = np.flatnonzero(asks), np.flatnonzero(~asks)
         found, held = [], 0
         for i, j in asked_pairs(fp[x], g[x], fp[q], g[q], radius):
             i, j = q[i], x[j]
-            apart = root[i] != root[j]
+            apart = (root[i] != root[j]) & (np.minimum(left[i], left[j]) * s >= (n[i] + n[j]) * p)
             pairs = np.stack([node[i[apart]], node[j[apart]]], 1)
             found.append(np.unique(np.sort(pairs, axis=1), axis=0))
             held += len(found[-1])
@@ -191,23 +202,45 @@ def _verified(pairs: DataFrame, sets_of, similarity: tuple[int, int]) -> DataFra
     return out
 
 
-def links(nodes: DataFrame, sets_of, similarity: tuple[int, int] = SIMILARITY, radius: int = RADIUS, crowd: int = 16, block: int = 4096) -> DataFrame:
-    """(a, b): links that span all pairs of similar sets. nodes: node, fp,
+def _apart(rows: DataFrame, roots: DataFrame | None, turn: int) -> DataFrame:
+    """(h, node, place, root, main, reps, c, m): the rows of shingles that
+    several components share; main is the largest of these, reps some of its
+    nodes, c and m count all rows and those outside main."""
+    if roots is None:
+        met = rows.groupBy("h").agg(F.count(F.lit(1)).alias("c"), F.min("node").alias("main")).where("c > 1")
+        return materialise(rows.join(met, "h").select("h", "node", "place", F.col("node").alias("root"), "main", F.array("main").alias("reps"), "c", (F.col("c") - 1).alias("m")), "apart")
+    rooted = rows.select("h", "node", "place").join(roots, "node", "left").withColumn("root", F.coalesce("root", "node"))
+    drawn = F.array(*(F.min_by("node", F.xxhash64("node", F.lit(turn * REPS + i))) for i in range(REPS)))
+    of_root = rooted.groupBy("h", "root").agg(F.count(F.lit(1)).alias("k"), drawn.alias("reps"))
+    of_h = of_root.groupBy("h").agg(F.max(F.struct("k", (-F.col("root")).alias("main"), "reps")).alias("x"), F.sum("k").alias("c"), F.count(F.lit(1)).alias("roots")).where("roots > 1")
+    of_h = of_h.select("h", (-F.col("x.main")).alias("main"), "x.reps", "c", (F.col("c") - F.col("x.k")).alias("m"))
+    return materialise(rooted.join(of_h, "h").select("h", "node", "place", "root", "main", "reps", "c", "m"), "apart")
+
+
+def links(nodes: DataFrame, sets_of, similarity: tuple[int, int] = SIMILARITY, radius: int = RADIUS, rounds: int = 2, block: int = 4096) -> DataFrame:
+    """(a, b): links that span all pairs of similar sets. nodes: node, fp, n,
     first; sets_of: see _verified."""
-    unfolded = materialise(_unfolded(nodes), "meetings")
-    met = materialise(unfolded.groupBy("h").agg(F.count(F.lit(1)).alias("c"), F.min("node").alias("low")).where("c > 1"), "met")
-    rows = materialise(unfolded.join(met, "h").join(nodes.select("node", "fp"), "node"), "rows")
-    discard(unfolded, met)
-    star = rows.where(F.col("c") >= crowd).select("h", "node", "fp", F.col("node").alias("root"), (F.col("node") == F.col("low")).alias("asks"), "c", F.lit(1).alias("m"))
-    star = _verified(_near(star, radius, block), sets_of, similarity)
-    roots = components(star)
-    rooted = rows.join(roots, "node", "left").select("h", "node", "fp", "c", F.coalesce("root", "node").alias("root"))
-    # of each shingle, those outside its largest component ask all others
-    size = rooted.groupBy("h", "root").agg(F.count(F.lit(1)).alias("k")).groupBy("h").agg(F.max_by("root", F.struct("k", "root")).alias("main"), F.max("k").alias("most"), F.count(F.lit(1)).alias("roots"))
-    apart = materialise(rooted.join(size.where("roots > 1").select("h", "main", "most"), "h").select("h", "node", "fp", "root", (F.col("root") != F.col("main")).alias("asks"), "c", (F.col("c") - F.col("most")).alias("m")), "apart")
-    rest = _verified(_near(apart, radius, block), sets_of, similarity)
-    discard(rows, apart)
-    return star.unionAll(rest)
+    prints = nodes.select("node", "fp", "n")
+    found, roots = None, None
+    rows = materialise(_unfolded(nodes), "meetings")
+    for turn in range(rounds + 1):
+        before, rows = rows, _apart(rows, roots, turn)
+        discard(before)
+        if turn < rounds:
+            best = rows.where("root <> main").groupBy("node").agg(F.max(F.struct("c", "h", "reps")).alias("x"))
+            pick = materialise(best.select("node", F.explode(F.array_distinct("x.reps")).alias("h")), "picks")
+            size = pick.groupBy("h").agg(F.count(F.lit(1)).alias("c"))
+            ask = size.select("h", F.col("h").alias("node"), F.lit(True).alias("asks"))
+            met = pick.select("h", "node", F.lit(False).alias("asks")).unionAll(ask).join(prints, "node").join(size, "h")
+            met = met.select("h", "node", "fp", "n", F.col("n").alias("left"), F.col("node").alias("root"), "asks", "c", F.lit(1).alias("m"))
+        else:
+            pick = rows
+            met = rows.join(prints, "node").select("h", "node", "fp", "n", (F.col("n") - F.col("place")).alias("left"), "root", (F.col("root") != F.col("main")).alias("asks"), "c", "m")
+        near = _verified(_near(met, radius, block, similarity), sets_of, similarity)
+        discard(pick)
+        found = near if found is None else materialise(found.unionAll(near), "found")
+        roots = components(found) if turn < rounds else None
+    return found
 
 
 def near_duplicates(df: DataFrame, similarity: tuple[int, int] = SIMILARITY, k: int = 5, broadcast_ids: int = 500_000, radius: int = RADIUS, block: int = 4096) -> DataFrame:
@@ -218,7 +251,7 @@ def near_duplicates(df: DataFrame, similarity: tuple[int, int] = SIMILARITY, k:
     late = materialise(every.select("doc_id", "sig").join(of_sig, "sig").where("doc_id <> node").select("doc_id", "sig").distinct(), "copies")
     n_late = late.count()
     late_side = F.broadcast(late) if n_late <= broadcast_ids else late.hint("merge")
-    nodes = every.where("doc_id is not null").join(late_side, ["doc_id", "sig"], "left_anti").select(F.col("doc_id").alias("node"), "fp", "first")
+    nodes = every.where("doc_id is not null").join(late_side, ["doc_id", "sig"], "left_anti").select(F.col("doc_id").alias("node"), "fp", "n", "first")
 
     def sets_of(ids: DataFrame) -> DataFrame:
         side = F.broadcast(ids) if ids.count() <= broadcast_ids else ids.hint("merge")
