@@ -47,6 +47,18 @@ def test_cascade_order_and_columns(spark):
         assert {r.doc_id for r in quality.cascade(df, order).where("rejected_by is null").collect()} == {1}
 
 
+def test_slow_rule_that_rejects_nothing_goes_last(spark):
+    text = F.col("text")
+    slow = text
+    for _ in range(60):
+        slow = F.sha2(F.concat(slow, text), 512)
+    rules = [quality.Rule("slow", slow == "none"), quality.Rule("slow_good", (slow != "none") & (F.length(text) > 0)), quality.Rule("quick", F.length(text) > 0)]
+    df = spark.createDataFrame([(i, f"{i} some text " * 50) for i in range(2000)], "doc_id long, text string")
+    assert [r.name for r in quality.plan_cascade(df, rules)] == ["quick", "slow_good", "slow"]
+    long = spark.createDataFrame([(1, "lorem " * 400_000), (2, "a\n" * 200_000)], "doc_id long, text string")
+    assert quality.keep_good(long).collect() == [] and {r.doc_id: r.n_words for r in quality.judge(long).collect()} == {1: 400_000, 2: 200_000}
+
+
 def test_line_dedup(spark):
     rows = [(i, "h1", f"own {i}\nMENU \nshared") for i in range(10)] + [(20, "h2", "MENU\nx"), (21, None, "a\nb"), (22, None, None), (23, "h1", ""), (24, "h1", "own 1\n\n MENU")]
     df = spark.createDataFrame([(*r, "k") for r in rows], "doc_id long, source string, text string, n_lines string")
