@@ -2,8 +2,6 @@
 
 from __future__ import annotations
 
-import os
-
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -17,7 +15,7 @@ def rank_file(name: str = TOKENIZER) -> tuple[str, str]:
     """Path of a rank file and the pattern that goes with it."""
     import public_tokenizers
 
-    return os.environ.get("BLOCKGRAPH_RANK_FILE") or public_tokenizers.path(name), public_tokenizers.PATTERN
+    return public_tokenizers.path(name), public_tokenizers.PATTERN
 
 
 def op1_ppm_score(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -3,8 +3,9 @@
 Tokens become classes (insult, threat, target, negator, report, quote, other).
 Small transducers read the classes of a clause: one marks what stands in the
 scope of a negation, one what is reported or quoted, one what is aimed at a
-target. They are composed into one machine, whose output at an insult or threat
-is its class with the marks it has collected. A clause without an insult or
+target in front of it. They are composed into one machine, whose output at an
+insult or threat is its class with the marks it has collected; a second machine
+reads the clause backwards and marks what is aimed at a target behind it. A clause without an insult or
 threat has no match and no score. Documents are scored from their matched
 clauses by a logistic function of the counts of each output.
 
@@ -17,7 +18,8 @@ contradict are taken off the list. ``fit`` reads at most ``max_toxic`` and
 bound the lexicon, which is broadcast.
 
 Edge cases: null and empty texts have no clause and get the base score; labels
-that are null are left out, of several labels of a document the highest counts;
+that are null are left out, of several labels of a document, or of equal texts,
+the highest counts; very long texts are read whole, a clause at a time;
 without labels the public list and prior weights are used; repeated rows are
 scored each; extra columns are ignored.
 """
@@ -35,14 +37,14 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import portions
+from .common import materialise, portions
 
 OTHER, INSULT, THREAT, TARGET, NEGATOR, REPORT, QUOTE = range(7)
 NEGATED, REPORTED, DIRECTED = 1, 2, 4
 
 # Fixed word lists.
 INSULTS = "idiot idiots moron morons stupid dumb loser losers scum trash pathetic disgusting worthless clown clowns fool fools jerk jerks imbecile bastard bastards".split()
-THREATS = "kill murder hurt stab shoot strangle exterminate".split()
+THREATS = "kill murder hurt stab shoot strangle exterminate tuer assassiner étrangler töten umbringen erwürgen matar asesinar estrangular".split()
 TARGETS = "you your you're u he she they them him her his their these those people vous tu toi ils elles ihr euch du dich sie tú usted ustedes ellos ellas".split()
 NEGATORS = "not no never isn't aren't wasn't don't doesn't cannot can't nobody pas jamais aucun nicht kein keine keinen nie nunca jamás tampoco".split()
 REPORTS = "said says say called calls wrote writes claimed claims quoted quote quoting reported allegedly dit écrit sagte sagt schrieb dijo dice escribió".split()
@@ -97,11 +99,19 @@ def compose(a: Transducer, b: Transducer) -> Transducer:
 
 def grammar() -> Transducer:
     out = scope((NEGATOR,), NEGATED, 3)
-    for t in (scope((REPORT,), REPORTED, 5), quoted(), scope((TARGET,), DIRECTED, 4)):
+    for t in (scope((REPORT,), REPORTED, 5), quoted(), scope((TARGET,), DIRECTED, REACH)):
         out = compose(out, t)
     return out
 
 
+#: How many tokens may lie between a target and what is aimed at it, plus one.
+REACH = 4
+
+
+def backward_grammar() -> Transducer:
+    return scope((TARGET,), DIRECTED, REACH)
+
+
 FEATURES = 2 * 8 + 2
 
 
@@ -119,14 +129,14 @@ def prior_weights() -> np.ndarray:
     w[0] = -3.0
     for kind, base in ((0, 4.0), (1, 3.0)):
         for marks in range(8):
-            w[1 + 8 * kind + marks] = base * (0.25 if marks & NEGATED else 1) * (0.35 if marks & REPORTED else 1) * (1.2 if marks & DIRECTED else 1)
+            w[1 + 8 * kind + marks] = base * (0.25 if marks & NEGATED else 1) * (0.35 if marks & REPORTED else 1) * (1.2 if marks & DIRECTED else 0.7)
     return w
 
 
 class Scorer:
     def __init__(self, model: Model):
-        self.model, self.machine = model, grammar()
-        self.fixed = {w: OTHER for w in ()}
+        self.model, self.machine, self.backward = model, grammar(), backward_grammar()
+        self.fixed: dict[str, int] = {}
         for words, c in ((TARGETS, TARGET), (NEGATORS, NEGATOR), (REPORTS, REPORT)):
             self.fixed.update(dict.fromkeys(words, c))
         self.fixed.update(dict.fromkeys('"“”«»', QUOTE))
@@ -160,12 +170,17 @@ class Scorer:
         for clause in CLAUSE.split(text):
             if not any(map(bad, clause.split())):
                 continue
-            state, hits = 0, 0
-            for w in WORD.findall(clause.lower()):
-                c = self.cls(w)
+            hits = 0
+            classes = list(map(self.cls, WORD.findall(clause.lower())))
+            behind, state = [], 0
+            for c in reversed(classes):
+                state, marks = self.backward.arcs[state, c]
+                behind.append(marks)
+            state = 0
+            for c, more in zip(classes, reversed(behind)):
                 state, marks = arcs[state, c]
                 if c == INSULT or c == THREAT:
-                    out[8 * (c - INSULT) + marks] += 1
+                    out[8 * (c - INSULT) + (marks | more)] += 1
                     hits += 1
             if hits:
                 out[16] += 1
@@ -241,11 +256,9 @@ def fit(docs: DataFrame, labels: DataFrame, max_toxic: int = 4000, max_clean: in
     dice = F.pmod(F.xxhash64("doc_id"), F.lit(1_000_000))
     # at most about max_toxic + max_clean ids, whatever the input: safe to broadcast
     chosen = known.where((dice < 1_000_000 * F.when(F.col("toxic") == 1, F.lit(share[1])).otherwise(F.lit(share[0]))) & F.col("toxic").isin(0, 1))
-    sample = docs.select("doc_id", "text").join(F.broadcast(chosen), "doc_id").dropDuplicates(["text"])
-    rows = sample.select("text", "toxic").repartition(max(4, spark.sparkContext.defaultParallelism))
-    from .common import materialise
-
-    rows = materialise(rows, "labelled")
+    # a text that is there several times counts once, by the highest label
+    sample = docs.select("doc_id", "text").join(F.broadcast(chosen), "doc_id").groupBy("text").agg(F.max("toxic").alias("toxic"))
+    rows = materialise(sample.select("text", "toxic").repartition(max(4, spark.sparkContext.defaultParallelism)), "labelled")
     n = {r.toxic: r.n for r in rows.groupBy("toxic").agg(F.count(F.lit(1)).alias("n")).collect()}
     model = Model(set(INSULTS))
     toxic, clean = n.get(1, 0), n.get(0, 0)

@@ -1,4 +1,6 @@
 import numpy as np
+from hypothesis import given
+from hypothesis import strategies as st
 
 from blockgraph.llm import queries, toxicity as tox
 
@@ -11,6 +13,7 @@ def test_grammar_marks():
     assert hit("an idiot") == [0]
     assert hit("not an idiot") == [tox.NEGATED]
     assert hit("she said idiot once") == [tox.REPORTED | tox.DIRECTED]
+    assert hit("idiot, that is what you are") == [tox.DIRECTED] and hit("idiot, which is not what you are") == [0]
     assert hit('"idiot" is a word') == [tox.REPORTED]
     assert hit("not here. idiot") == [0]
     assert hit("they will kill") == [8 + tox.DIRECTED]
@@ -19,6 +22,45 @@ def test_grammar_marks():
     assert s.score(s.features("not an idiot")) < s.score(s.features("an idiot"))
 
 
+KINDS = {"idiot": 1, "kill": 2, "you": 3, "not": 4, "said": 5, '"': 6, "word": 0}
+
+
+@given(st.lists(st.sampled_from([*KINDS, "."]), max_size=40))
+def test_marks_by_definition(tokens):
+    """What the machines mark, by looking at the tokens around each match."""
+    want = np.zeros(tox.FEATURES)
+    clause: list[str] = []
+    for t in [*tokens, "."]:
+        if t != ".":
+            clause.append(t)
+            continue
+        hits = [i for i, w in enumerate(clause) if w in ("idiot", "kill")]
+        for i in hits:
+            near = lambda kind, back: kind in clause[max(0, i - back) : i]
+            marks = tox.NEGATED * near("not", 3) | tox.REPORTED * (near("said", 5) or clause[:i].count('"') % 2) | tox.DIRECTED * (near("you", 4) or "you" in clause[i + 1 : i + 5])
+            want[8 * (clause[i] == "kill") + int(marks)] += 1
+        want[16] += bool(hits)
+        want[17] = max(want[17], len(hits))
+        clause = []
+    scorer = tox.Scorer(tox.Model(set(tox.INSULTS), weights=tox.prior_weights()))
+    assert np.allclose(scorer.features(" ".join(tokens)), np.log1p(want))
+
+
+def test_targets_on_both_sides():
+    s = tox.Scorer(tox.Model(set(tox.INSULTS), weights=tox.prior_weights()))
+    score = lambda t: s.score(s.features(t))
+    assert score("idiot, that is what you are") == score("you are an idiot") > 0.5 > score("stupid pet tricks were fun")
+
+
+def test_equal_texts_and_odd_tables(spark):
+    """Labels of equal texts that disagree, long texts, clashing columns."""
+    rows = [(i, "you zorgle fool", "x") for i in range(6)] + [(9, "fine words here " * 20000, "y"), (10, None, None)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, toxic string")
+    labels = spark.createDataFrame([(i, i % 2) for i in range(6)] + [(9, 0), (3, None)], "doc_id long, toxic int")
+    got = [{r.doc_id: r.score for r in tox.score(docs.repartition(n), tox.fit(docs.repartition(n), labels)).collect()} for n in (1, 3)]
+    assert got[0] == got[1] and len({got[0][i] for i in range(6)}) == 1 and got[0][0] > got[0][9]
+
+
 def test_held_out(spark):
     sf = "/root/testdata/sf0.1"
     got = queries.op9_toxicity(spark, sf)
