@@ -23,7 +23,8 @@ counts, packed, never positions or texts. Strings are dealt by the last three by
 of their context, so each task holds whole subtrees of the trie and no common pair
 of letters fills one; the contexts of length 0 to 2 have at most 2 ** 24 counts,
 whatever the corpus, and are broadcast. Each chunk gets
-back the code lengths of its own strings and scores its texts. All counts cover
+back the code lengths of its own strings, in the order that it knows, and scores
+its texts. All counts cover
 all training texts, and nothing is capped.
 
 Adaptive scoring (``adaptive``) learns from each text while coding it, starting
@@ -47,7 +48,7 @@ import zstandard
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import LOWER_TABLE, as_text, chunk_count, materialise, portions, text_bytes
+from .common import LOWER_TABLE, as_text, chunk_count, discard, materialise, portions, text_bytes
 
 END = 0xFF
 #: Key of the end token in the word table; words hash to 63 bits above it.
@@ -215,6 +216,10 @@ def _bucket(keys: np.ndarray, buckets: int) -> np.ndarray:
     return ((tail * np.uint64(0x9E3779B1) >> np.uint64(11)) % np.uint64(buckets)).astype(np.int64)
 
 
+def _token_bucket(keys: np.ndarray, buckets: int) -> np.ndarray:
+    return keys % buckets  # the keys are hashes
+
+
 def _packed(df: DataFrame, chunks: int, train: Column, id_col: str, text: str, hold_bytes: int = 16 << 20) -> DataFrame:
     """(chunk, ids, flags, sizes, blob): texts by chunk in compressed rows, about
     a third of their bytes."""
@@ -263,6 +268,36 @@ def _texts(table: pa.Table) -> tuple[list, list[bytes], list[bool]]:
     return ids, texts, flags
 
 
+def _own_tokens(texts: list[bytes], flags: list[bool]) -> tuple[np.ndarray, np.ndarray]:
+    """Sorted keys of the tokens of some texts, the end first, with their
+    training counts."""
+    words: dict[bool, Counter] = {True: Counter(), False: Counter()}
+    for t, f in zip(texts, flags):
+        words[f].update(t.translate(LOWER_TABLE).split())
+    train = words[True]
+    tokens = list(train.keys() | words[False].keys())
+    keys, counts = distinct(np.fromiter(map(token_key, tokens), np.int64, len(tokens)), np.fromiter((train.get(t, 0) for t in tokens), np.int64, len(tokens)))
+    return np.r_[END_KEY, keys], np.r_[sum(flags), counts]
+
+
+def _own_strings(texts: list[bytes], flags: list[bool], order: int) -> tuple[np.ndarray, np.ndarray]:
+    """Sorted distinct strings of some texts, with their training counts."""
+    grams = Tally()
+    for f, part in _text_slices(texts, flags):
+        grams.add(strings_of(part, order)[0], f)
+    grams.fold()
+    return grams.keys, grams.counts
+
+
+def _shares(place: np.ndarray, buckets: int):
+    """(bucket, positions in order) of the buckets that hold anything."""
+    by_place = np.argsort(place, kind="stable")
+    edge = np.searchsorted(place[by_place], np.arange(buckets + 1))
+    for q in range(buckets):
+        if edge[q] < edge[q + 1]:
+            yield q, by_place[edge[q] : edge[q + 1]]
+
+
 def _chunk_rows(docs: DataFrame, order: int, buckets: int) -> DataFrame:
     """The distinct strings of every chunk, packed by bucket, with their counts
     in its training texts; from bucket ``buckets`` on the same for its tokens."""
@@ -270,32 +305,9 @@ def _chunk_rows(docs: DataFrame, order: int, buckets: int) -> DataFrame:
     def run(key, table):
         _, texts, flags = _texts(table)
         chunk, rows = key[0].as_py(), []
-        words: dict[bool, Counter] = {True: Counter(), False: Counter()}
-        for t, f in zip(texts, flags):
-            words[f].update(t.translate(LOWER_TABLE).split())
-        train = words[True]
-        tokens = list(train.keys() | words[False].keys())
-        keys = np.fromiter(map(token_key, tokens), np.int64, len(tokens))
-        counts = np.fromiter((train.get(t, 0) for t in tokens), np.int64, len(tokens))
-        del words, train, tokens
-        by_key = np.argsort(keys)
-        keys, counts = np.r_[END_KEY, keys[by_key]], np.r_[sum(flags), counts[by_key]]
-        place = keys % buckets  # the keys are hashes
-        for q in range(buckets):
-            i = np.flatnonzero(place == q)
-            if len(i):
-                rows.append({"chunk": chunk, "bucket": buckets + q, "keys": squeeze(keys[i]), "counts": squeeze(np.cumsum(counts[i]))})
-        grams = Tally()
-        for f, part in _text_slices(texts, flags):
-            grams.add(strings_of(part, order)[0], f)
-        grams.fold()
-        place = _bucket(grams.keys, buckets)
-        by_place = np.argsort(place, kind="stable")
-        edge = np.searchsorted(place[by_place], np.arange(buckets + 1))
-        for q in range(buckets):
-            i = by_place[edge[q] : edge[q + 1]]
-            if len(i):
-                rows.append({"chunk": chunk, "bucket": q, "keys": squeeze(grams.keys[i]), "counts": squeeze(np.cumsum(grams.counts[i]))})
+        for first, (keys, counts), place in ((buckets, _own_tokens(texts, flags), _token_bucket), (0, _own_strings(texts, flags, order), _bucket)):
+            for q, i in _shares(place(keys, buckets), buckets):
+                rows.append({"chunk": chunk, "bucket": first + q, "keys": squeeze(keys[i]), "counts": squeeze(np.cumsum(counts[i]))})
         return pa.Table.from_pylist(rows, pa.schema([("chunk", pa.int32()), ("bucket", pa.int32()), ("keys", pa.binary()), ("counts", pa.binary())]))
 
     return docs.groupBy("chunk").applyInArrow(run, STRINGS)
@@ -379,7 +391,8 @@ def code_strings(keys: np.ndarray, counts: np.ndarray, order: int, three: tuple[
 
 
 def _coded(strings: DataFrame, buckets: int, order: int, escape: str, three: tuple[np.ndarray, np.ndarray]) -> DataFrame:
-    """(chunk, kind 0, keys, values): code lengths of the strings a chunk has."""
+    """(chunk, bucket, values): code lengths of the strings a chunk has, in the
+    order in which it has sent them."""
     sent = strings.sparkSession.sparkContext.broadcast(three)
 
     def run(key, table):
@@ -387,16 +400,15 @@ def _coded(strings: DataFrame, buckets: int, order: int, escape: str, three: tup
         keys, counts = distinct(np.concatenate([p[0] for p in parts]), np.concatenate([p[1] for p in parts]))
         value = code_strings(keys, counts, order, sent.value, escape)
         values = [squeeze_values(value[np.searchsorted(keys, p[0])]) for p in parts]
-        n = len(values)
-        return pa.table({"chunk": table.column("chunk"), "kind": pa.array([0] * n, pa.int32()), "keys": table.column("keys"), "values": pa.array(values, pa.binary())})
+        return pa.table({"chunk": table.column("chunk"), "bucket": table.column("bucket"), "values": pa.array(values, pa.binary())})
 
-    return strings.where(F.col("bucket") < buckets).groupBy("bucket").applyInArrow(run, "chunk int, kind int, keys binary, values binary")
+    return strings.where(F.col("bucket") < buckets).groupBy("bucket").applyInArrow(run, "chunk int, bucket int, values binary")
 
 
 def _counted(strings: DataFrame, buckets: int) -> DataFrame:
-    """(chunk, kind 1, keys, values): training counts, over all chunks, of the
-    tokens a chunk has; and a row of kind 2 a bucket with its tokens (n) and
-    distinct tokens (v) in training."""
+    """(chunk, bucket, values): training counts, over all chunks, of the tokens
+    a chunk has, in its order; and a row without values a bucket with its tokens
+    (n) and distinct tokens (v) in training."""
 
     def run(key, table):
         parts = [(unsqueeze(k), _counts(n)) for k, n in zip(table.column("keys").to_pylist(), table.column("counts").to_pylist())]
@@ -404,12 +416,12 @@ def _counted(strings: DataFrame, buckets: int) -> DataFrame:
         values = [squeeze(np.cumsum(counts[np.searchsorted(keys, p[0])])) for p in parts]
         rest = [0] * len(parts)
         return pa.table({
-            "chunk": pa.array([*table.column("chunk").to_pylist(), -1], pa.int32()), "kind": pa.array([1] * len(parts) + [2], pa.int32()),
-            "keys": pa.array([*table.column("keys").to_pylist(), None], pa.binary()), "values": pa.array([*values, None], pa.binary()),
+            "chunk": pa.array([*table.column("chunk").to_pylist(), -1], pa.int32()), "bucket": pa.array([key[0].as_py()] * (len(parts) + 1), pa.int32()),
+            "values": pa.array([*values, None], pa.binary()),
             "n": pa.array([*rest, int(counts.sum())], pa.int64()), "v": pa.array([*rest, int((counts > 0).sum())], pa.int64()),
         })
 
-    return strings.where(F.col("bucket") >= buckets).groupBy("bucket").applyInArrow(run, "chunk int, kind int, keys binary, values binary, n long, v long")
+    return strings.where(F.col("bucket") >= buckets).groupBy("bucket").applyInArrow(run, "chunk int, bucket int, values binary, n long, v long")
 
 
 class StringTable:
@@ -487,26 +499,31 @@ def score(df: DataFrame, train: Column, order: int = 6, escape: str = "D", chunk
     strings = materialise(_chunk_rows(docs, order, buckets), "strings")
     three = _near_root(strings, buckets)
     words = materialise(_counted(strings, buckets), "tokens")
-    known = words.where("kind = 2").agg(F.sum("n").alias("n"), F.sum("v").alias("v")).first()
+    known = words.where("values is null").agg(F.sum("n").alias("n"), F.sum("v").alias("v")).first()
     total, vocabulary = known.n or 0, known.v or 0
-    values = _coded(strings, buckets, order, escape, three).unionAll(words.where("kind = 1").select("chunk", "kind", "keys", "values"))
+    coded = materialise(_coded(strings, buckets, order, escape, three), "coded")
+    discard(strings)
+    values = coded.unionAll(words.where("values is not null").select("chunk", "bucket", "values"))
     doc_type = dict(df.dtypes)[id_col]
 
     scale = np.float64(total + 0.5 * (vocabulary + 1))
 
     def run(key, left, right):
-        grams, lengths, tokens = [], [], {}
-        for kind, k, v in zip(*(right.column(c).to_pylist() for c in ("kind", "keys", "values"))):
-            if kind:
-                tokens.update(zip(unsqueeze(k).tolist(), np.log10((_counts(v) + 0.5) / scale).tolist()))
-            else:
-                grams.append(unsqueeze(k))
-                lengths.append(unsqueeze_values(v))
         ids, texts, flags = _texts(left)
         n_tokens, n_known, base, got = [], [], [], []
         if texts:
-            table = StringTable(np.concatenate(grams), np.concatenate(lengths))
-            del grams, lengths
+            sent = dict(zip(right.column("bucket").to_pylist(), right.column("values").to_pylist()))
+            keys, _ = _own_tokens(texts, flags)
+            lengths = np.empty(len(keys))
+            for q, i in _shares(_token_bucket(keys, buckets), buckets):
+                lengths[i] = np.log10((_counts(sent[buckets + q]) + 0.5) / scale)
+            tokens = dict(zip(keys.tolist(), lengths.tolist()))
+            keys, _ = _own_strings(texts, flags, order)
+            lengths = np.empty(len(keys))
+            for q, i in _shares(_bucket(keys, buckets), buckets):
+                lengths[i] = unsqueeze_values(sent[q])
+            table = StringTable(keys, lengths)
+            del keys, lengths, sent
             n_tokens, n_known, base, got = _score_chunk(texts, table, tokens, float(np.log10((np.int64(0) + 0.5) / scale)), order)
         return pa.table({
             "doc_id": pa.array(ids, left.schema.field("ids").type.value_type), "train": pa.array(flags, pa.bool_()),
