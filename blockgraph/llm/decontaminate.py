@@ -6,40 +6,46 @@ as stop words (but for the ``rarest`` of each passage), and counts over all
 documents give the idf. Documents are
 cut into overlapping windows of ``3 * block`` words, one at each block, so that
 every benchmark passage of up to ``2 * block`` words lies whole in some window
-(longer items are cut into passages). A window is a row of the TF-IDF matrix if
-it has ``min_terms`` vocabulary words of one passage at least, which a leak by
-the checks below has.
+(longer items are cut into passages).
 
 A randomised SVD of the matrix of corpus windows and benchmark passages gives
 the latent space: each pass over the rows multiplies by the current basis and
-sums the products by term, a power pass sharpens it. The benchmark rows are
+sums the products by term, a power pass sharpens it. Its corpus rows are the
+windows that share ``min_terms`` vocabulary words with some passage; the rest
+has nothing of the directions that tell passages apart. The benchmark rows are
 weighted up to the mass of the corpus rows, so their directions are kept.
-Windows whose cosine with a passage in the latent space reaches ``min_cosine``
-are candidates. For each, the longest common subsequence of words decides: a
+
+Candidates come from the latent space alone: every window of every document
+that holds a vocabulary word is placed in it, and is a candidate for all passages
+with which its cosine reaches ``min_cosine``. What shares only stop words with a
+passage, or so few of its words among other passages' words that the cosine stays
+below, is not found; tests measure the recall against brute force. For each, the longest common subsequence of words decides: a
 leak covers ``strong`` of the passage's words in order, or ``weak`` of them
 and ``answer_share`` of the answer, the passage's last ``answer_words`` words.
 
-The benchmark is a query set against all rows; it is collected, at most
-``max_items`` items of it at once, and compared in blocks. Windows that go on
-carry their own words, so candidates need no join with the documents.
+The benchmark is a query set against all rows; it passes through the driver,
+``items_at_once`` items at a time, each with a space of its own, and is compared
+in blocks. Texts are checked where they are read, so candidates are never stored
+nor joined.
 
 Edge cases: null or empty documents and items have no windows or passages;
 items without a word in the vocabulary can't be found; equal items are reported
-each; repeated documents are reported once for each id; an empty table gives an
+each; repeated documents are reported once for each id; very long texts are read whole;
+an empty table gives an
 empty result; extra columns are ignored.
 """
 
 from __future__ import annotations
 
 from collections import defaultdict
-from itertools import repeat
+from itertools import chain, repeat
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import materialise, own, portions
+from .common import discard, materialise, own, portions
 
 PUNCTUATION = b".,;:!?\"'`()[]{}*#$%&|<>-_/\\=+~^@"
 OTHER_PUNCTUATION = "«»“”‘’„…–—¿¡"
@@ -184,32 +190,43 @@ def shared_windows(docs: list[np.ndarray], block: int, lists: tuple[np.ndarray,
 
 
 def windows(docs: DataFrame, vocabulary: dict[bytes, int], block: int, lists: tuple[np.ndarray, np.ndarray], need: np.ndarray) -> DataFrame:
-    """(doc_id, start, terms array<int>, words): windows with enough terms of
-    one passage."""
+    """(terms array<int>): windows with enough terms of one passage."""
     sent = docs.sparkSession.sparkContext.broadcast((vocabulary, lists, need))
 
     def run(batches):
         vocab, lists, need = sent.value
-        for b in batches:
-            names, texts = b.column(0).to_pylist(), b.column(1).to_pylist()
-            ids = [ids_of(raw_words(t or ""), vocab) for t in texts]
-            ids_out, start_out, terms_out, words_out = [], [], [], []
-            raw_of, raw = -1, []
+        for b in portions(batches):
+            ids = [ids_of(raw_words(t or ""), vocab) for t in b.column(0).to_pylist()]
+            terms = []
             for d, w in zip(*(x.tolist() for x in shared_windows(ids, block, lists, need))):
-                if d != raw_of:
-                    raw_of, raw = d, raw_words(texts[d])
-                a = w * block
-                got = ids[d][a : a + 3 * block]
-                ids_out.append(names[d])
-                start_out.append(a)
-                terms_out.append(got[got >= 0])
-                words_out.append(b" ".join(raw[a : a + 3 * block]).decode("utf-8", "surrogatepass"))
-            yield pa.RecordBatch.from_arrays(
-                [pa.array(ids_out, pa.int64()), pa.array(start_out, pa.int64()), pa.array(terms_out, pa.list_(pa.int32())), pa.array(words_out, pa.string())], names=["doc_id", "start", "terms", "words"]
-            )
-
-    src = docs.where("doc_id is not null").select(F.col("doc_id").cast("long").alias("doc_id"), "text")
-    return src.mapInArrow(run, "doc_id long, start long, terms array<int>, words string")
+                got = ids[d][w * block : (w + 3) * block]
+                terms.append(got[got >= 0])
+            yield pa.RecordBatch.from_arrays([pa.array(terms, pa.list_(pa.int32()))], names=["terms"])
+
+    return docs.select("text").mapInArrow(run, "terms array<int>")
+
+
+def all_windows(ids: list[np.ndarray], block: int) -> tuple[np.ndarray, np.ndarray, pa.ListArray]:
+    """(text, start, terms) of every window that holds a term."""
+    text, start, size, terms = [], [], [], []
+    for d, x in enumerate(ids):
+        pos = np.flatnonzero(x >= 0)
+        if not len(pos):
+            continue
+        n = max(1, -(-(len(x) - 2 * block) // block))
+        a = np.arange(n) * block
+        lo, hi = np.searchsorted(pos, a), np.searchsorted(pos, a + 3 * block)
+        hold = np.flatnonzero(hi > lo)
+        text.append(np.full(len(hold), d))
+        start.append(a[hold])
+        count = (hi - lo)[hold]
+        size.append(count)
+        within = np.arange(count.sum()) - np.repeat(np.cumsum(count) - count, count)
+        terms.append(x[pos[np.repeat(lo[hold], count) + within]])
+    if not text:
+        return np.empty(0, np.int64), np.empty(0, np.int64), pa.array([], pa.list_(pa.int32()))
+    off = np.r_[0, np.cumsum(np.concatenate(size))].astype(np.int32)
+    return np.concatenate(text), np.concatenate(start), pa.ListArray.from_arrays(pa.array(off), pa.array(np.concatenate(terms).astype(np.int32)))
 
 
 def _rows(batch_terms: pa.ListArray, idf: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -233,12 +250,22 @@ def _multiply(off: np.ndarray, terms: np.ndarray, w: np.ndarray, basis: np.ndarr
     return out
 
 
-def _gram_product(rows: DataFrame, idf: np.ndarray, basis: np.ndarray, tasks: int) -> tuple[np.ndarray, float]:
-    """A'A times the basis, summed over all rows, and the rows' number. Every
-    task sends one terms x rank matrix, of ``tasks`` at most."""
+def _summed(key, table):
+    """Parts of one slice added up."""
+    total = sum(np.frombuffer(p, np.float32).astype(float) for p in table.column("part").to_pylist())
+    first = table.slice(0, 1).drop_columns(["part", "n"])
+    return first.append_column("part", pa.array([total.astype(np.float32).tobytes()], pa.binary())).append_column("n", pa.array([sum(table.column("n").to_pylist())], pa.int64()))
+
+
+def _gram_product(rows: DataFrame, idf: np.ndarray, basis: np.ndarray, slices: int = 16, fan_in: int = 64) -> tuple[np.ndarray, float]:
+    """A'A times the basis, summed over all rows, and the rows' number. A task
+    sends one terms x rank matrix in slices; ``fan_in`` tasks' slices are added
+    first, then those sums, so the driver gets one matrix whatever the tasks."""
     sent = rows.sparkSession.sparkContext.broadcast((idf, basis))
 
     def run(batches):
+        from pyspark import TaskContext
+
         idf, basis = sent.value
         total, n = np.zeros(basis.shape), 0
         for b in batches:
@@ -250,19 +277,23 @@ def _gram_product(rows: DataFrame, idf: np.ndarray, basis: np.ndarray, tasks: in
             t = terms[order]
             at = np.flatnonzero(np.r_[True, t[1:] != t[:-1]])
             row = np.repeat(np.arange(len(off) - 1), np.diff(off))[order]
-            total[t[at]] += np.add.reduceat(y[row] * w[order][:, None], at, axis=0)
+            total[t[at]] += np.add.reduceat(y[row] * w[order][:, None].astype(np.float32), at, axis=0)
             n += b.num_rows
-        yield pa.RecordBatch.from_arrays([pa.array([total.astype(np.float32).tobytes()], pa.binary()), pa.array([n], pa.int64())], names=["part", "n"])
-
-    parts = rows.select("terms").coalesce(tasks).mapInArrow(run, "part binary, n long").toLocalIterator()
-    total, n = np.zeros(basis.shape), 0
-    for p in parts:
-        total += np.frombuffer(p.part, np.float32).reshape(basis.shape)
-        n += p.n
+        parts = [p.astype(np.float32).tobytes() for p in np.array_split(total, slices)]
+        node = TaskContext.get().partitionId() // fan_in
+        yield pa.RecordBatch.from_arrays([pa.array([node] * slices, pa.int32()), pa.array(range(slices), pa.int32()), pa.array(parts, pa.binary()), pa.array([n] + [0] * (slices - 1), pa.int64())], names=["node", "slice", "part", "n"])
+
+    parts = rows.select("terms").mapInArrow(run, "node int, slice int, part binary, n long")
+    some = parts.groupBy("node", "slice").applyInArrow(_summed, "node int, slice int, part binary, n long")
+    whole = some.select("slice", "part", "n").groupBy("slice").applyInArrow(_summed, "slice int, part binary, n long").collect()
+    total, n = np.zeros(basis.shape), sum(r.n for r in whole)
+    edges = np.cumsum([0, *map(len, np.array_split(np.empty(len(basis)), slices))])
+    for r in whole:
+        total[edges[r.slice] : edges[r.slice + 1]] = np.frombuffer(r.part, np.float32).reshape(-1, basis.shape[1])
     return total, n
 
 
-def latent_basis(rows: DataFrame, bench_rows: list[np.ndarray], idf: np.ndarray, rank: int, passes: int = 1, oversample: int = 8, tasks: int = 16, seed: int = 11) -> np.ndarray:
+def latent_basis(rows: DataFrame, bench_rows: list[np.ndarray], idf: np.ndarray, rank: int, passes: int = 1, oversample: int = 8, seed: int = 11) -> np.ndarray:
     """terms x rank: leading right singular vectors of corpus rows and
     benchmark rows, by a randomised range finder with power passes."""
     terms = len(idf)
@@ -273,7 +304,7 @@ def latent_basis(rows: DataFrame, bench_rows: list[np.ndarray], idf: np.ndarray,
     dense = np.zeros((len(bench_rows), terms), np.float32)
     np.add.at(dense, (np.repeat(np.arange(len(bench_rows)), np.diff(off)), t), w)
     for last in range(passes + 1):
-        product, n = _gram_product(rows, idf, basis, tasks)
+        product, n = _gram_product(rows, idf, basis)
         up = max(1.0, n / max(1, len(bench_rows)))
         product += up * (dense.T @ (dense @ basis))
         if last < passes:
@@ -282,21 +313,36 @@ def latent_basis(rows: DataFrame, bench_rows: list[np.ndarray], idf: np.ndarray,
     return (basis @ turn[:, np.argsort(-values)[:rank]]).astype(np.float32)
 
 
+SCHEMA = "doc_id long, item_id long, cosine double, lcs_ratio double, answer_ratio double"
+
+
 def find_leaks(
     docs: DataFrame, benchmark: DataFrame, block: int = 32, max_df: float = 0.005, min_terms: int = 3, rarest: int = 8, rank: int = 128, min_cosine: float = 0.4,
-    strong: float = 0.7, weak: float = 0.6, answer_words: int = 8, answer_share: float = 0.75, max_items: int = 20_000,
+    strong: float = 0.7, weak: float = 0.6, answer_words: int = 8, answer_share: float = 0.75, items_at_once: int = 20_000,
 ) -> DataFrame:
     """(doc_id, item_id, cosine, lcs_ratio, answer_ratio): the best window of
     each document and item that passes the checks."""
+    spark, out, part = docs.sparkSession, None, []
+    items = benchmark.where("item_id is not null and text is not null").select(F.col("item_id").cast("long").alias("item_id"), "text").orderBy("item_id", "text")
+    options = (block, max_df, min_terms, rarest, rank, min_cosine, strong, weak, answer_words, answer_share)
+    for r in chain(items.toLocalIterator(), [None]):
+        if r is not None:
+            part.append((r.item_id, r.text))
+        if part and (r is None or len(part) == items_at_once):
+            found = _leaks_of(docs, part, *options)
+            out, part = found if out is None else out.unionAll(found), []
+    if out is None:
+        return spark.createDataFrame([], SCHEMA)
+    return out.groupBy("doc_id", "item_id").agg(*(F.max(c).alias(c) for c in ("cosine", "lcs_ratio", "answer_ratio")))
+
+
+def _leaks_of(docs, items, block, max_df, min_terms, rarest, rank, min_cosine, strong, weak, answer_words, answer_share) -> DataFrame:
+    """The leaks of some items, perhaps several of a document and item."""
     spark = docs.sparkSession
-    schema = "doc_id long, item_id long, cosine double, lcs_ratio double, answer_ratio double"
-    items = [(r.item_id, r.text) for r in benchmark.where("item_id is not null and text is not null").select(F.col("item_id").cast("long").alias("item_id"), "text").orderBy("item_id", "text").take(max_items + 1)]
-    if len(items) > max_items:
-        raise ValueError(f"more than {max_items} items: call find_leaks for parts of the benchmark and unite the results")
     passages = Passages(items, block)
     vocabulary = {w: i for i, w in enumerate(passages.vocabulary())}
     if not vocabulary:
-        return spark.createDataFrame([], schema)
+        return spark.createDataFrame([], SCHEMA)
     df, blocks = block_counts(docs, {w.encode("utf-8", "surrogatepass"): i for w, i in vocabulary.items()}, block)
     # a passage that has leaked everywhere makes its own words common: the
     # rarest of each passage always stay
@@ -313,27 +359,30 @@ def find_leaks(
     off = np.searchsorted(flat[by_term], np.arange(len(kept) + 1))
     rows = materialise(windows(docs, in_bytes, block, (off, np.repeat(np.arange(len(mine)), [len(x) for x in distinct])[by_term]), need), "windows")
     basis = latent_basis(rows, mine, idf, min(rank, len(kept)))
+    discard(rows)
     off, t, w = _rows(pa.array([x.tolist() for x in mine], pa.list_(pa.int32())), idf)
     target = _multiply(off, t, w, basis)
     size = np.linalg.norm(target, axis=1)
     target = np.where(size[:, None] > 0, target / np.maximum(size, 1e-12)[:, None], 0).astype(np.float32)
-    sent = spark.sparkContext.broadcast((idf, basis, target, passages))
+    sent = spark.sparkContext.broadcast((in_bytes, idf, basis, target, passages))
 
     def run(batches):
-        idf, basis, target, passages = sent.value
-        for b in batches:
-            out = []
-            if b.num_rows:
-                docs_, words = b.column(0).to_pylist(), b.column(2)
-                y = _multiply(*_rows(b.column(1), idf), basis)
-                size = np.linalg.norm(y, axis=1)
-                y = y / np.maximum(size, 1e-12)[:, None]
-                best: dict[tuple[int, int], tuple] = {}
+        vocab, idf, basis, target, passages = sent.value
+        for b in portions(batches):
+            names, texts = b.column(0).to_pylist(), b.column(1).to_pylist()
+            doc, start, held = all_windows([ids_of(raw_words(x or ""), vocab) for x in texts], block)
+            best: dict[tuple[int, int], tuple] = {}
+            words_at, words = -1, []
+            for a in range(0, len(doc), 8192):
+                y = _multiply(*_rows(held.slice(a, 8192), idf), basis)
+                y /= np.maximum(np.linalg.norm(y, axis=1), 1e-12)[:, None]
                 for first in range(0, len(target), 1024):
                     cos = y @ target[first : first + 1024].T
-                    for i, p in np.argwhere(cos >= min_cosine).tolist():
-                        q = first + p
-                        text = words[i].as_py().split(" ")
+                    for i, p in zip(*(x.tolist() for x in np.nonzero(cos >= min_cosine))):
+                        q, d = first + p, int(doc[a + i])
+                        if d != words_at:
+                            words_at, words = d, words_of(texts[d])
+                        text = words[start[a + i] : start[a + i] + 3 * block]
                         n = len(passages.words[q])
                         ratio = lcs_length(passages.where[q], n, text) / n
                         if ratio < weak:
@@ -341,15 +390,13 @@ def find_leaks(
                         tail = max(1, min(answer_words, n))
                         answer = sum(x >= n - tail for x in lcs_mask(passages.words[q], text)) / tail
                         if ratio >= strong or answer >= answer_share:
-                            k = (docs_[i], passages.item[q])
+                            k = (names[d], passages.item[q])
                             best[k] = max(best.get(k, (0,)), (ratio, answer, float(cos[i, p])))
-                out = [(d, q, c, r, a) for (d, q), (r, a, c) in best.items()]
-            cols = list(zip(*out)) or [(), (), (), (), ()]
+            cols = list(zip(*((d, q, c, r, x) for (d, q), (r, x, c) in best.items()))) or [(), (), (), (), ()]
             types = (pa.int64(), pa.int64(), pa.float64(), pa.float64(), pa.float64())
             yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(cols, types)], names=["doc_id", "item_id", "cosine", "lcs_ratio", "answer_ratio"])
 
-    found = rows.select("doc_id", "terms", "words").mapInArrow(run, schema)
-    return found.groupBy("doc_id", "item_id").agg(*(F.max(c).alias(c) for c in ("cosine", "lcs_ratio", "answer_ratio")))
+    return docs.where("doc_id is not null").select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(run, SCHEMA)
 
 
 def remove_leaks(docs: DataFrame, benchmark: DataFrame, broadcast_ids: int = 500_000, **options) -> DataFrame:

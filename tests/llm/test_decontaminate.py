@@ -69,6 +69,38 @@ def test_planted(spark):
     assert left == {d for d, _ in rows} - {d for d, _ in want}
 
 
+def test_recall_with_more_items_than_the_rank(spark):
+    """Paraphrases of 400 items among documents in a space of rank 64, held
+    against brute force; and the same in parts of the benchmark."""
+    rng = np.random.default_rng(8)
+    rare = [f"{a}{b}{c}{e}" for a in "bcdfgh" for b in "aeiou" for c in "lmnrstvz" for e in "aeioudgkx"]
+    common = ["the", "of", "and", "to", "in", "is", "was", "for"]
+    text = lambda n: " ".join(rng.choice(rare if rng.random() < 0.5 else common) for _ in range(n))
+    items = [(i, text(int(rng.integers(25, 60)))) for i in range(400)]
+    rows = []
+    for d in range(500):
+        w = items[d % 400][1].split()
+        w = [x if rng.random() > 0.15 else str(rng.choice(rare)) for x in w if rng.random() > 0.05]
+        rows.append((d, f"{text(int(rng.integers(0, 120)))} {' '.join(w) if d % 2 else ''} {text(40)}"))
+    docs = spark.createDataFrame(rows, "doc_id long, text string").repartition(4)
+    bench = spark.createDataFrame(items, "item_id long, text string")
+    passages = dec.Passages(items, 32)
+    want = set()
+    for d, t in rows:
+        w = dec.words_of(t)
+        for i, (p, where) in enumerate(zip(passages.words, passages.where)):
+            for a in range(0, max(1, len(w) - 64), 32):
+                part = w[a : a + 96]
+                ratio, tail = dec.lcs_length(where, len(p), part) / len(p), min(8, len(p))
+                if ratio >= 0.7 or ratio >= 0.6 and sum(x >= len(p) - tail for x in dec.lcs_mask(p, part)) >= 0.75 * tail:
+                    want.add((d, passages.item[i]))
+    found = lambda **o: {(r.doc_id, r.item_id) for r in dec.find_leaks(docs, bench, max_df=0.05, rank=64, **o).collect()}
+    whole = found()
+    assert len(want) > 150 and whole <= want and len(whole) >= 0.98 * len(want)
+    parts = found(items_at_once=150)
+    assert parts <= want and len(parts) >= 0.98 * len(want)
+
+
 def test_empty(spark):
     docs = spark.createDataFrame([], "doc_id long, text string, terms int")
     bench = spark.createDataFrame([(1, "some words of an item")], "item_id long, text string")
