@@ -10,14 +10,14 @@ the work is first narrowed down, without losing a pair. Each window of
 bytes inside it; equal windows have equal anchors. Runs of windows with one
 anchor form a context of at most ``2 * length - GRAM`` bytes. Then:
 
-1. Each chunk of documents sends its distinct anchor and context hashes, twelve
+1. Each chunk of documents sends its distinct anchor and context hashes, sixteen
    bytes a context and no text, to buckets by anchor hash.
 2. A bucket answers each chunk which of its anchors occur twice, and which of
    these have differing contexts. Everything else can't repeat.
 3. A chunk sends on one of its equal contexts, with its bytes where contexts
    differ; all but the first of equal contexts repeat whole.
 4. A shard of contexts builds a suffix array (Larsson-Sadakane refinement: sort
-   by the first eight bytes, then double, sorting only groups that are still
+   by the first seven bytes, then double, sorting only groups that are still
    tied) and the common prefixes of neighbours (Kasai, for all contexts side by
    side). Neighbours that share ``length`` bytes are equal windows, and all but
    the earliest repeat.
@@ -317,7 +317,7 @@ def _ask(packed: DataFrame, length: int, buckets: int) -> DataFrame:
     def run(key, table):
         chunk = Chunk(table)
         docs, first, count, h = chunk.runs(length)
-        c = (_context_hashes(chunk, docs, first, count, length) >> np.uint64(32)).astype(np.uint32)
+        c = _context_hashes(chunk, docs, first, count, length)
         order = np.lexsort((c, h))
         h, c = h[order], c[order]
         new = np.flatnonzero(np.r_[True, (h[1:] != h[:-1]) | (c[1:] != c[:-1])]) if len(h) else np.empty(0, np.int64)
@@ -344,7 +344,7 @@ def _answer(asked: DataFrame, hot: int) -> DataFrame:
     def run(key, table):
         chunk = table.column("chunk").to_pylist()
         hs = [np.frombuffer(x, np.uint64) for x in table.column("h").to_pylist()]
-        cs = [np.frombuffer(x, np.uint32) for x in table.column("c").to_pylist()]
+        cs = [np.frombuffer(x, np.uint64) for x in table.column("c").to_pylist()]
         ts = [np.unpackbits(np.frombuffer(x, np.uint8), count=len(h)).astype(bool) for x, h in zip(table.column("twice").to_pylist(), hs)]
         h, c, t = np.concatenate(hs), np.concatenate(cs), np.concatenate(ts)
         order = np.lexsort((c, h))
