@@ -14,9 +14,14 @@ has at most L / ratio boilerplate lines. These lists are broadcast if all of
 them together stay below ``broadcast_lines``; beyond that, pages and lists are
 joined on host and a salt of the page.
 
+Pages are rows; with ``distinct_pages`` equal texts of a host are one page, so
+that a document that has been copied often is not taken for boilerplate and is
+left to near-deduplication.
+
 Edge cases: a null host is a host of its own; a null text has no lines and
-stays null; a page repeated as a row counts once for each row; an empty table
-gives an empty result; extra columns pass through.
+stays null; a page repeated as a row counts once for each row unless pages are
+distinct; very long texts are taken whole; an empty table gives an empty result;
+extra columns pass through.
 """
 
 from __future__ import annotations
@@ -44,11 +49,17 @@ def _lines(text: Column) -> Column:
     return F.split(text, "\n")
 
 
-def boilerplate(df: DataFrame, host: Column, text: Column, ratio: float, min_pages: int) -> DataFrame:
+def boilerplate(df: DataFrame, host: Column, text: Column, ratio: float, min_pages: int, distinct_pages: bool = False) -> DataFrame:
     """(host, a, b) of the lines above the ratio, with their page counts."""
     pages = df.select(F.coalesce(F.concat(F.lit("h"), host.cast("string")), F.lit("n")).alias("__bg_host"), text.alias("__bg_text"))
-    totals = pages.groupBy("__bg_host").agg(F.count(F.lit(1)).alias("__bg_pages"))
     keys = F.array_distinct(F.transform(F.filter(_lines(F.col("__bg_text")), lambda x: F.btrim(x, F.lit(TRIM)) != ""), line_key))
+    if distinct_pages:
+        page = F.struct(F.xxhash64("__bg_text").alias("a"), F.xxhash64(F.lit("page"), "__bg_text").alias("b"))
+        pages = pages.select("__bg_host", page.alias("p"), keys.alias("k")).groupBy("__bg_host", "p").agg(F.first("k").alias("k"))
+        # read twice, so that equal pages meet once
+        pages = materialise(pages.select("__bg_host", "k"), "pages")
+        keys = F.col("k")
+    totals = pages.groupBy("__bg_host").agg(F.count(F.lit(1)).alias("__bg_pages"))
     counts = (
         pages.select("__bg_host", F.explode(keys).alias("k"))
         .groupBy("__bg_host", F.col("k.a").alias("a"), F.col("k.b").alias("b"))
@@ -58,9 +69,9 @@ def boilerplate(df: DataFrame, host: Column, text: Column, ratio: float, min_pag
     return counts.join(totals, "__bg_host").where(F.col("__bg_n") > ratio * F.col("__bg_pages"))
 
 
-def mark(df: DataFrame, host: Column, text: str = "text", ratio: float = 0.05, min_pages: int = 3, broadcast_lines: int = 200_000) -> DataFrame:
+def mark(df: DataFrame, host: Column, text: str = "text", ratio: float = 0.05, min_pages: int = 3, broadcast_lines: int = 200_000, distinct_pages: bool = False) -> DataFrame:
     """Adds __bg_drop: the keys of the boilerplate lines of the row's host."""
-    found = materialise(boilerplate(df, host, F.col(text), ratio, min_pages).select("__bg_host", "a", "b"), "boilerplate")
+    found = materialise(boilerplate(df, host, F.col(text), ratio, min_pages, distinct_pages).select("__bg_host", "a", "b"), "boilerplate")
     by_host = found.groupBy("__bg_host").agg(F.collect_list(F.struct("a", "b")).alias("__bg_drop"))
     keyed = df.withColumn("__bg_host", F.coalesce(F.concat(F.lit("h"), host.cast("string")), F.lit("n")))
     if found.count() <= broadcast_lines:
@@ -70,10 +81,10 @@ def mark(df: DataFrame, host: Column, text: str = "text", ratio: float = 0.05, m
     return salted.join(spread, ["__bg_host", "__bg_salt"], "left").drop("__bg_host", "__bg_salt")
 
 
-def clean(df: DataFrame, host: Column, text: str = "text", ratio: float = 0.05, min_pages: int = 3, counts: bool = True, broadcast_lines: int = 200_000) -> DataFrame:
+def clean(df: DataFrame, host: Column, text: str = "text", ratio: float = 0.05, min_pages: int = 3, counts: bool = True, broadcast_lines: int = 200_000, distinct_pages: bool = False) -> DataFrame:
     """df with boilerplate lines taken out of ``text`` and, with counts, n_lines
     and n_dropped (long), which replace columns of these names."""
-    out = mark(df, host, text, ratio, min_pages, broadcast_lines).withColumn("__bg_all", _lines(F.col(text)))
+    out = mark(df, host, text, ratio, min_pages, broadcast_lines, distinct_pages).withColumn("__bg_all", _lines(F.col(text)))
     drop = F.col("__bg_drop")
     blank = lambda x: F.btrim(x, F.lit(TRIM)) == ""
     out = out.withColumn("__bg_kept", F.when(drop.isNull(), F.col("__bg_all")).otherwise(F.filter("__bg_all", lambda x: blank(x) | ~F.array_contains(drop, line_key(x)))))

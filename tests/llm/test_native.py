@@ -70,6 +70,14 @@ def test_line_dedup(spark):
     assert line_dedup.clean(df, F.col("source"), counts=False).columns == df.columns
 
 
+def test_copies_are_not_boilerplate(spark):
+    rows = [(i, "h", "first of it\nsecond of it") for i in range(8)] + [(20 + i, "h", f"own {i}\nMENU") for i in range(12)] + [(40, "h", None)]
+    df = spark.createDataFrame(rows, "doc_id long, source string, text string")
+    got = {r.doc_id: r.text for r in line_dedup.clean(df, F.col("source"), ratio=0.3, distinct_pages=True).collect()}
+    assert got[0] == "first of it\nsecond of it" and got[20] == "own 0" and got[40] is None
+    assert {r.text for r in line_dedup.clean(df, F.col("source"), ratio=0.3).where("doc_id < 8").collect()} == {""}
+
+
 def test_hosts(spark):
     df = spark.createDataFrame([("https://A.b.com:80/x?y",), ("http://u@c.de",), ("nothing",), (None,)], "url string")
     assert [r.h for r in df.select(line_dedup.host_of_url(F.col("url")).alias("h")).collect()] == ["a.b.com", "c.de", None, None]

@@ -28,10 +28,11 @@ def good(text):
 
 def test_run(spark):
     rows = [r for r in documents(spark, SF).collect() if good(r.text)]
-    pages, on = Counter(r.source for r in rows), Counter()
+    distinct = {(r.source, r.text) for r in rows}
+    pages, on = Counter(s for s, _ in distinct), Counter()
     key = lambda x: x.strip(" \t\r")
-    for r in rows:
-        on.update({(r.source, key(x)) for x in r.text.split("\n") if key(x)})
+    for s, t in distinct:
+        on.update({(s, key(x)) for x in t.split("\n") if key(x)})
     text = {r.doc_id: "\n".join(x for x in r.text.split("\n") if not (on[r.source, key(x)] >= 3 and on[r.source, key(x)] > 0.05 * pages[r.source])) for r in rows}
     ids = sorted(text)
     root = brute([text[d] for d in ids])
