@@ -21,14 +21,16 @@ def quality_rules(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFram
 
 
 def line_dedup_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Takes the boilerplate lines of each source out of the texts."""
-    out = line_dedup.clean(docs, F.col("source"), counts=False).withColumn("n_chars", F.length("text").cast("long"))
+    """Takes the boilerplate lines of each source out of the texts; equal texts
+    count as one page, so that copies are left to the next stage."""
+    out = line_dedup.clean(docs, F.col("source"), counts=False, distinct_pages=True).withColumn("n_chars", F.length("text").cast("long"))
     return out.select(*own(docs))
 
 
 def simhash_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Keeps one document of each group of near-duplicates: texts whose sets of
-    five-word shingles have a Jaccard similarity of 0.8 or more are linked."""
+    """Keeps one document of each group of near-duplicates: SimHash fingerprints
+    are compared in bit planes, and texts whose sets of five-word shingles have a
+    Jaccard similarity of 0.8 or more are linked."""
     return simhash.keep_first(docs, similar.near_duplicates(docs.select("doc_id", "text")))
 
 
