@@ -109,8 +109,9 @@ def freq(nbrs, cap, init=None, max_iter=8, min_gain=0.01, overflow="deferred", k
 
     ``map='frozen'`` counts neighbours where they were before the round, as the
     definition has it; it gains where vectors are clustered and loses where they
-    aren't. ``'live'`` counts them where they already are, which gains on both,
-    and is what an index uses by default. ``priority`` takes rows by their best
+    aren't. ``'live'`` counts them where they already are, which gains on both
+    (``curve_beta`` has a set on which neither does), and is what an index uses by
+    default. ``priority`` takes rows by their best
     count in place of their id. A round that gains less than ``min_gain`` is the
     last. ``keep='last'`` returns the last layout, whatever its OR; ``'best'`` the
     best of all rounds, which is the initial layout if no round gains."""
@@ -131,9 +132,11 @@ def freq(nbrs, cap, init=None, max_iter=8, min_gain=0.01, overflow="deferred", k
     return (best[1] if keep == "best" else block), history
 
 
-def swap(nbrs, cap, init=None, max_iter=4, min_gain=0.01):
+def swap(nbrs, cap, init=None, max_iter=4, min_gain=0.01, schedule="sequential"):
     """For two neighbours of a row in different blocks, exchange the members of
     lowest OR if the sum of OR over both blocks' rows rises; OR(G) can't fall.
+    ``schedule='matching'`` weighs all pairs of blocks against the same layout and
+    carries out the best that share no block, which can be done side by side.
     Returns (block, history)."""
     block = (pad(nbrs, cap) if init is None else init).copy()
     n = len(nbrs)
@@ -149,24 +152,38 @@ def swap(nbrs, cap, init=None, max_iter=4, min_gain=0.01):
 
     cached = {b: rates(b) for b in members}
     history = [float(overlap(nbrs, block).mean()) if n else 0.0]
+
+    def exchange(x, y, keep):
+        """The gain of exchanging the lowest members; undone unless it is kept."""
+        rx, ry = cached[x], cached[y]
+        i, j = int(np.argmin(rx)), int(np.argmin(ry))
+        p, q = members[x][i], members[y][j]
+        members[x][i], members[y][j] = q, p
+        sx, sy = rates(x), rates(y)
+        gain = sum(sx) + sum(sy) - sum(rx) - sum(ry)
+        if keep and gain > 1e-12:
+            cached[x], cached[y] = sx, sy
+            block[p], block[q] = y, x
+        else:
+            members[x][i], members[y][j] = p, q
+        return gain
+
     for _ in range(max_iter):
-        for u in range(n):
-            near = [v for v in nbrs[u] if v >= 0]
-            for a, e in itertools.combinations(near, 2):
-                x, y = int(block[a]), int(block[e])
-                if x == y:
-                    continue
-                rx, ry = cached[x], cached[y]
-                i, j = int(np.argmin(rx)), int(np.argmin(ry))
-                before = sum(rx) + sum(ry)
-                p, q = members[x][i], members[y][j]
-                members[x][i], members[y][j] = q, p
-                sx, sy = rates(x), rates(y)
-                if sum(sx) + sum(sy) > before + 1e-12:
-                    cached[x], cached[y] = sx, sy
-                    block[p], block[q] = y, x
-                else:
-                    members[x][i], members[y][j] = p, q
+        if schedule == "matching":
+            pairs = {tuple(sorted(xy)) for row in nbrs for xy in itertools.combinations(set(block[row[row >= 0]].tolist()), 2)}
+            gains = sorted(((-exchange(x, y, False), x, y) for x, y in sorted(pairs)))
+            busy: set[int] = set()
+            for g, x, y in gains:
+                if g < -1e-12 and x not in busy and y not in busy:
+                    exchange(x, y, True)
+                    busy |= {x, y}
+        else:
+            for u in range(n):
+                near = [v for v in nbrs[u] if v >= 0]
+                for a, e in itertools.combinations(near, 2):
+                    x, y = int(block[a]), int(block[e])
+                    if x != y:
+                        exchange(x, y, True)
         history.append(float(overlap(nbrs, block).mean()) if n else 0.0)
         if history[-1] - history[-2] < min_gain:
             break

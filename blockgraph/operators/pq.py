@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
 import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame
@@ -39,8 +41,11 @@ def encode_local(x: np.ndarray, book: list[np.ndarray]) -> np.ndarray:
     """n x n_sub bytes; ties go to the lowest code."""
     out = np.zeros((len(x), len(book)), np.uint8)
     for m, (s, c) in enumerate(zip(sub_slices(x.shape[1], len(book)), book)):
-        d = x[:, s]
-        out[:, m] = ((d[:, None, :] - c[None]) ** 2).sum(2).argmin(1) if len(d) and len(c) else 0
+        if len(x) and len(c):
+            step = max(1, 2_000_000 // max(1, c.size))
+            for i in range(0, len(x), step):
+                d = x[i : i + step, s]
+                out[i : i + step, m] = ((d[:, None, :] - c[None]) ** 2).sum(2).argmin(1)
     return out
 
 
@@ -64,6 +69,20 @@ def train(base: DataFrame, n_sub: int, n_codes: int, iters: int, dim: int) -> Da
     return out
 
 
+def encoder(spark, book: list[np.ndarray]):
+    """encode as a scalar function of a vector column, over iterators of
+    batches: the codebook is taken up once for each task."""
+    sent = spark.sparkContext.broadcast(book)
+
+    @F.pandas_udf("binary")
+    def codes(batches: Iterator[pd.Series]) -> Iterator[pd.Series]:
+        book = sent.value
+        for x in batches:
+            yield pd.Series([r.tobytes() for r in encode_local(np.array(x.tolist(), float).reshape(len(x), -1), book)], dtype=object)
+
+    return codes
+
+
 def encode(base: DataFrame, book: list[np.ndarray]) -> DataFrame:
     """(vec_id, codes binary)."""
     sent = base.sparkSession.sparkContext.broadcast(book)  # n_sub x codes x part: fixed by parameters

@@ -133,8 +133,8 @@ def op_approx_distinct(spark, sf_dir):
 
 @query("select lang, source, count(*) as n from documents group by grouping sets ((lang), (source), ())")
 def op_grouping_sets(spark, sf_dir):
-    t(spark, sf_dir, "documents").select("lang", "source").createOrReplaceTempView("docs_for_sets")
-    return spark.sql("select lang, source, count(*) as n from docs_for_sets group by grouping sets ((lang), (source), ())")
+    docs = t(spark, sf_dir, "documents").select("lang", "source")
+    return docs.groupingSets([["lang"], ["source"], []], "lang", "source").agg(F.count(F.lit(1)).alias("n"))
 
 
 @query("select c_mktsegment, c_nationkey::bigint as nation, count(*) as n from customer group by cube (c_mktsegment, c_nationkey)")

@@ -8,7 +8,7 @@ from pyspark.sql import functions as F
 from .functions import features
 from .operators import exact, index, search
 from .streaming import changes
-from .vector_queries import BIG, DEFAULT, EMB, R_SMALL, one_segment
+from .vector_queries import BIG, DEFAULT, EMB, R_SMALL, one_segment, sql_knn
 
 Q: dict = {}
 SQL: dict[str, str] = {}
@@ -89,29 +89,40 @@ def snapshot_search_deletes(spark, sf_dir):
     return _snapshot(spark, sf_dir, F.col("event_type") == "error")
 
 
+@query(sql_knn(EMB))
+def streamed_queries_sat(spark, sf_dir):
+    """Queries that arrive as a stream, on a static index."""
+    schema = spark.read.parquet(f"{sf_dir}/embeddings.parquet").schema
+    s = spark.readStream.schema(schema).option("pathGlobFilter", "embeddings.parquet").parquet(sf_dir)
+    q = s.where("vec_id % 100 = 0").select(F.col("vec_id").alias("query_id"), F.col("embedding").cast("array<double>").alias("qvec"))
+    got = changes.answer_stream(q, one_segment(spark, sf_dir, DEFAULT), 1, index.Ask(10, options=search.Options(cand_size=BIG)))
+    return got.withColumn("rank", F.col("rank").cast("long"))
+
+
 KNN_SQL = f"with v as ({EMB}), d as (select q.vec_id as query_id, b.vec_id, round(list_distance(b.vec, q.vec), 6) + 0.0 as dist from v q, v b where q.vec_id % 100 = 0)"
 
 
-def _functions(spark, sf_dir):
+def _sql(spark, sf_dir, text: str):
+    """The answer to a statement over the vectors; the view goes once it is analysed."""
     from .functions import sql_functions
 
     sql_functions.register(spark, one_segment(spark, sf_dir, DEFAULT))
     features.emb_f32(spark, sf_dir).createOrReplaceTempView("vectors_for_sql")
+    out = spark.sql(text)
+    spark.catalog.dropTempView("vectors_for_sql")
+    return out
 
 
 @query(f"{KNN_SQL} select query_id, vec_id, dist from (select *, row_number() over (partition by query_id order by dist, vec_id) as r from d) where r <= 5")
 def sql_vector_search(spark, sf_dir):
-    _functions(spark, sf_dir)
-    return spark.sql(f"select q.vec_id as query_id, h.vec_id, h.dist from vectors_for_sql q, lateral vector_search(q.vec, 5, {BIG}) h where q.vec_id % 100 = 0")
+    return _sql(spark, sf_dir, f"select q.vec_id as query_id, h.vec_id, h.dist from vectors_for_sql q, lateral vector_search(q.vec, 5, {BIG}) h where q.vec_id % 100 = 0")
 
 
 @query(f"{KNN_SQL} select query_id, vec_id, dist from d where dist <= {R_SMALL}")
 def sql_vector_range(spark, sf_dir):
-    _functions(spark, sf_dir)
-    return spark.sql(f"select q.vec_id as query_id, h.vec_id, h.dist from vectors_for_sql q, lateral vector_range(q.vec, double({R_SMALL}), 20, double(0)) h where q.vec_id % 100 = 0")
+    return _sql(spark, sf_dir, f"select q.vec_id as query_id, h.vec_id, h.dist from vectors_for_sql q, lateral vector_range(q.vec, double({R_SMALL}), 20, double(0)) h where q.vec_id % 100 = 0")
 
 
 @query(f"with v as ({EMB}) select a.vec_id, round(list_distance(a.vec, b.vec), 6) + 0.0 as dist, round(-list_inner_product(a.vec, b.vec), 6) + 0.0 as ip from v a, v b where b.vec_id = 0")
 def sql_l2(spark, sf_dir):
-    _functions(spark, sf_dir)
-    return spark.sql("select a.vec_id, round(l2(a.vec, b.vec), 6) + 0.0d as dist, round(neg_ip(a.vec, b.vec), 6) + 0.0d as ip from vectors_for_sql a join (select vec from vectors_for_sql where vec_id = 0) b")
+    return _sql(spark, sf_dir, "select a.vec_id, round(l2(a.vec, b.vec), 6) + 0.0d as dist, round(neg_ip(a.vec, b.vec), 6) + 0.0d as ip from vectors_for_sql a join (select vec from vectors_for_sql where vec_id = 0) b")

@@ -102,6 +102,20 @@ def drain(stream: DataFrame, sink, mode: str = "append") -> None:
     q.awaitTermination()
 
 
+def answer_stream(queries: DataFrame, indexed: DataFrame, n_segments: int, ask: index.Ask) -> DataFrame:
+    """(query_id, rank, vec_id, dist) of a stream of queries (query_id, qvec) on a
+    static index, after all of its input; a replayed batch rewrites its answers."""
+    spark = queries.sparkSession
+    root = at_exit(spark, f"{shared_dir(spark)}/answers-{uuid.uuid4().hex}")
+
+    def sink(df, epoch):
+        found = index.run_queries(indexed, index.everywhere(df, n_segments), ask)
+        index.merge(found, ask.k if ask.r is None else None).write.mode("overwrite").parquet(f"{root}/batch={epoch}")
+
+    drain(queries, sink)
+    return spark.read.schema("query_id long, rank int, vec_id long, dist double, batch long").parquet(root).drop("batch")
+
+
 def result(stream: DataFrame, mode: str = "complete") -> DataFrame:
     """What a stream has put out after all of its input, as a table: the last
     batch in complete mode, all batches in append mode."""

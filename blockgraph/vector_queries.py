@@ -150,6 +150,7 @@ def segment_counts(spark, sf_dir):
     return index.assign(features.line_u8(spark, sf_dir), 31).groupBy(F.col("segment_id").cast("long").alias("segment_id")).agg(F.count(F.lit(1)).alias("n"))
 
 
+# Vectors, dimensions, bytes a value and degree of the published sets.
 GEOMETRY = [("bigann", 33_000_000, 128, 1, 31), ("deep", 11_000_000, 96, 4, 48), ("ssnpp", 16_000_000, 256, 1, 48), ("text2image", 5_000_000, 200, 4, 54), ("bigann_10k", 10_000, 128, 1, 48)]
 _values = ", ".join(f"('{n}', {v}, {d}, {e}, {g})" for n, v, d, e, g in GEOMETRY)
 
@@ -517,6 +518,13 @@ def pq_encode_given_codebook(spark, sf_dir):
     return codes.select("vec_id", F.posexplode(bytes_).alias("sub", "code")).select("vec_id", F.col("sub").cast("long").alias("sub"), "code")
 
 
+@query(f"with {BOOK_SQL} select vec_id, string_agg(lpad(to_hex(code), 2, '0'), '' order by s) as codes from enc group by vec_id")
+def pq_encoder_column(spark, sf_dir):
+    """The same codes by the column function."""
+    v = features.emb_f32(spark, sf_dir)
+    return v.select("vec_id", F.upper(F.hex(pq.encoder(spark, _book(spark, sf_dir))("vec"))).alias("codes"))
+
+
 @query(f"""with {BOOK_SQL}, q as (select vec_id as query_id, s, p from part where vec_id % 100 = 0)
 select query_id, vec_id, round(sum(list_sum(list_transform(list_zip(q.p, enc.c), lambda z: (z[1] - z[2]) * (z[1] - z[2])))), 6) + 0.0 as approx from q join enc using (s) group by 1, 2""")
 def pq_adc_given_codebook(spark, sf_dir):
@@ -1005,7 +1013,9 @@ def saving_at_accuracy(spark, sf_dir):
     """Reads and milliseconds at equal accuracy, between the points of each
     method's curve, and how often the baseline's the framework needs."""
     out = None
-    for kind, table, goal in (("top10", curve_anns(spark, sf_dir).where("method <> 'block_idpack'"), 0.9), ("radius", curve_radius(spark, sf_dir).where("r2 = 1.6").withColumn("method", F.when(F.col("method") == "block", "block").otherwise("vertex")), 0.9)):
+    radius = [({"method": "block", "gamma": g}, DEFAULT, _ask(r=R_LARGE, cand_size=g)) for g in (5, 10, 20)]
+    radius += [({"method": "vertex", "gamma": g}, VERTEX, _ask(r=R_LARGE, method="vertex_radius_by_topk", cand_size=g, cache=True)) for g in (20, 80, 320)]
+    for kind, table, goal in (("top10", curve_anns(spark, sf_dir).where("method <> 'block_idpack'"), 0.9), ("radius", curve(spark, sf_dir, radius), 0.9)):
         c = stored(table.select("method", "accuracy", "mean_ios", "mean_ms"), "curve")
         at = None
         for cost in ("mean_ios", "mean_ms"):

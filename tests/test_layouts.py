@@ -49,8 +49,10 @@ def test_swap_never_falls():
     for seed in range(3):
         x, nbrs = random_graph(seed)
         for init in (layout.idpack(60, 5), layout.pad(nbrs, 5)):
-            _, history = layout.swap(nbrs, 5, init=init, min_gain=-1)
-            assert all(b >= a - 1e-12 for a, b in itertools.pairwise(history))
+            for how in ("sequential", "matching"):
+                block, history = layout.swap(nbrs, 5, init=init, min_gain=-1, schedule=how)
+                assert all(b >= a - 1e-12 for a, b in itertools.pairwise(history)) and history[-1] > history[0]
+                assert np.bincount(block).max() <= 5 and layout.overlap(nbrs, block).mean() == pytest.approx(history[-1])
 
 
 def test_cliques_pack_and_optimum():
