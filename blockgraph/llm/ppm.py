@@ -192,18 +192,23 @@ def unsqueeze(data: bytes) -> np.ndarray:
 
 
 def squeeze_values(x: np.ndarray) -> bytes:
-    """Doubles of which many are equal: the distinct ones, most frequent first,
-    and their numbers."""
+    """Doubles, the shorter of two ways: as they are, or the distinct ones, most
+    frequent first, and their numbers."""
+    plain = bytes(4) + _planes(x)
     values, at, n = np.unique(x, return_inverse=True, return_counts=True)
+    if 2 * len(values) > len(x):
+        return plain
     by_count = np.argsort(-n, kind="stable")
     number = np.empty(len(values), np.uint32)
     number[by_count] = np.arange(len(values), dtype=np.uint32)
     table = _planes(values[by_count])
-    return len(table).to_bytes(4, "little") + table + _planes(number[at])
+    return min(plain, len(table).to_bytes(4, "little") + table + _planes(number[at]), key=len)
 
 
 def unsqueeze_values(data: bytes) -> np.ndarray:
     end = 4 + int.from_bytes(data[:4], "little")
+    if end == 4:
+        return _from_planes(data[4:], np.float64)
     return _from_planes(data[4:end], np.float64)[_from_planes(data[end:], np.uint32)]
 
 

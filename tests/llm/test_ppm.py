@@ -70,3 +70,10 @@ def test_lookup():
     keys = np.unique(rng.integers(0, 2**40, 5000))
     values = rng.random(len(keys))
     assert (ppm.StringTable(keys, values).get(keys[::-1].copy()) == values[::-1]).all()
+
+
+def test_squeezed_values():
+    rng = np.random.default_rng(1)
+    for x in (rng.random(5000), rng.random(20)[rng.integers(0, 20, 5000)], np.empty(0), np.array([-0.5])):
+        assert (ppm.unsqueeze_values(ppm.squeeze_values(x)) == x).all() and len(ppm.unsqueeze_values(ppm.squeeze_values(x))) == len(x)
+    assert len(ppm.squeeze_values(rng.random(20)[rng.integers(0, 20, 5000)])) < 8000
