@@ -206,27 +206,30 @@ def windows(docs: DataFrame, vocabulary: dict[bytes, int], block: int, lists: tu
     return docs.select("text").mapInArrow(run, "terms array<int>")
 
 
-def all_windows(ids: list[np.ndarray], block: int) -> tuple[np.ndarray, np.ndarray, pa.ListArray]:
-    """(text, start, terms) of every window that holds a term."""
-    text, start, size, terms = [], [], [], []
-    for d, x in enumerate(ids):
-        pos = np.flatnonzero(x >= 0)
-        if not len(pos):
-            continue
-        n = max(1, -(-(len(x) - 2 * block) // block))
-        a = np.arange(n) * block
-        lo, hi = np.searchsorted(pos, a), np.searchsorted(pos, a + 3 * block)
-        hold = np.flatnonzero(hi > lo)
-        text.append(np.full(len(hold), d))
-        start.append(a[hold])
-        count = (hi - lo)[hold]
-        size.append(count)
-        within = np.arange(count.sum()) - np.repeat(np.cumsum(count) - count, count)
-        terms.append(x[pos[np.repeat(lo[hold], count) + within]])
-    if not text:
-        return np.empty(0, np.int64), np.empty(0, np.int64), pa.array([], pa.list_(pa.int32()))
-    off = np.r_[0, np.cumsum(np.concatenate(size))].astype(np.int32)
-    return np.concatenate(text), np.concatenate(start), pa.ListArray.from_arrays(pa.array(off), pa.array(np.concatenate(terms).astype(np.int32)))
+def all_windows(ids: list[np.ndarray], block: int, weighted: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(text, start, place): every window that holds a term, and where its terms
+    put it in the latent space, to a factor that a cosine leaves out. ``weighted``
+    is the place of each term. A window is three blocks, so blocks are placed
+    once and added up."""
+    size = np.array([len(x) for x in ids], np.int64)
+    blocks = np.maximum(3, -(-size // block))  # short texts have empty blocks
+    first = np.cumsum(blocks) - blocks
+    term = np.concatenate(ids) if ids else np.empty(0, np.int32)
+    hit = np.flatnonzero(term >= 0)
+    text = np.repeat(np.arange(len(ids)), size)[hit]
+    of = first[text] + (hit - (np.cumsum(size) - size)[text]) // block
+    place = np.zeros((int(blocks.sum()), weighted.shape[1]), np.float32)
+    at = np.flatnonzero(np.r_[True, of[1:] != of[:-1]]) if len(of) else of
+    if len(of):
+        place[of[at]] = np.add.reduceat(weighted[term[hit]], at, axis=0)
+    held = np.zeros(len(place), bool)
+    held[of] = True
+    text = np.repeat(np.arange(len(ids)), blocks - 2)
+    start = np.arange(len(text)) - np.repeat(np.cumsum(blocks - 2) - (blocks - 2), blocks - 2)
+    b = first[text] + start
+    keep = np.flatnonzero(held[b] | held[b + 1] | held[b + 2])
+    b = b[keep]
+    return text[keep], start[keep] * block, place[b] + place[b + 1] + place[b + 2]
 
 
 def _rows(batch_terms: pa.ListArray, idf: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -364,17 +367,18 @@ def _leaks_of(docs, items, block, max_df, min_terms, rarest, rank, min_cosine, s
     target = _multiply(off, t, w, basis)
     size = np.linalg.norm(target, axis=1)
     target = np.where(size[:, None] > 0, target / np.maximum(size, 1e-12)[:, None], 0).astype(np.float32)
-    sent = spark.sparkContext.broadcast((in_bytes, idf, basis, target, passages))
+    weighted = (basis * idf[:, None]).astype(np.float32)
+    sent = spark.sparkContext.broadcast((in_bytes, weighted, target, passages))
 
     def run(batches):
-        vocab, idf, basis, target, passages = sent.value
+        vocab, weighted, target, passages = sent.value
         for b in portions(batches):
             names, texts = b.column(0).to_pylist(), b.column(1).to_pylist()
-            doc, start, held = all_windows([ids_of(raw_words(x or ""), vocab) for x in texts], block)
+            doc, start, places = all_windows([ids_of(raw_words(x or ""), vocab) for x in texts], block, weighted)
             best: dict[tuple[int, int], tuple] = {}
             words_at, words = -1, []
             for a in range(0, len(doc), 8192):
-                y = _multiply(*_rows(held.slice(a, 8192), idf), basis)
+                y = places[a : a + 8192]
                 y /= np.maximum(np.linalg.norm(y, axis=1), 1e-12)[:, None]
                 for first in range(0, len(target), 1024):
                     cos = y @ target[first : first + 1024].T
