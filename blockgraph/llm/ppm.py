@@ -225,11 +225,12 @@ def _token_bucket(keys: np.ndarray, buckets: int) -> np.ndarray:
     return keys % buckets  # the keys are hashes
 
 
-def _packed(df: DataFrame, chunks: int, train: Column, id_col: str, text: str, hold_bytes: int = 16 << 20) -> DataFrame:
+def _packed(df: DataFrame, chunks: int, train: Column, id_col: str, text: str, hold_bytes: int = 16 << 20, only: tuple[int, int] = (1, 0)) -> DataFrame:
     """(chunk, ids, flags, sizes, blob): texts by chunk in compressed rows, about
-    a third of their bytes."""
+    a third of their bytes; of the chunks with remainder only[1] to only[0]."""
     src = df.select(F.pmod(F.xxhash64(id_col, text), F.lit(chunks)).cast("int").alias("chunk"), F.col(id_col).alias("doc_id"), F.col(text).cast("string").alias("text"), F.coalesce(train, F.lit(False)).alias("train"))
     doc_type = dict(src.dtypes)["doc_id"]
+    src = src.where(F.pmod(F.col("chunk"), F.lit(only[0])) == only[1])
 
     def run(batches):
         held: dict[int, tuple[list, list, list]] = {}
@@ -491,9 +492,11 @@ def _score_chunk(texts: list[bytes], table: StringTable, tokens: dict[int, float
     return n_tokens, n_known, base, score
 
 
-def score(df: DataFrame, train: Column, order: int = 6, escape: str = "D", chunk_bytes: int = 8 << 20, id_col: str = "doc_id", text: str = "text") -> DataFrame:
+def score(df: DataFrame, train: Column, order: int = 6, escape: str = "D", chunk_bytes: int = 8 << 20, id_col: str = "doc_id", text: str = "text", turns: int = 2) -> DataFrame:
     """Pretrained scores of every row: doc_id, train, n_tokens, n_known,
-    train_tokens, base_score, score. ``train`` says which rows to learn from."""
+    train_tokens, base_score, score. ``train`` says which rows to learn from.
+    Code lengths go back to the chunks in ``turns``, each of which scores a part
+    of the chunks, so that only that part of them is shuffled at a time."""
     if not 2 <= order <= 6:
         raise ValueError("order is from 2 to 6")
     spark = df.sparkSession
@@ -537,7 +540,14 @@ def score(df: DataFrame, train: Column, order: int = 6, escape: str = "D", chunk
         })
 
     schema = f"doc_id {doc_type}, train boolean, n_tokens long, n_known long, train_tokens long, base_score double, score double"
-    return docs.groupBy("chunk").cogroup(values.groupBy("chunk")).applyInArrow(run, schema)
+    out = None
+    for turn in range(turns):
+        mine = F.pmod(F.col("chunk"), F.lit(turns)) == turn
+        part = _packed(df, chunks, train, id_col, text, only=(turns, turn)).groupBy("chunk").cogroup(values.where(mine).groupBy("chunk")).applyInArrow(run, schema)
+        part = materialise(part, "scores")
+        out = part if out is None else out.unionAll(part)
+    discard(coded, words)
+    return out
 
 
 def adaptive(df: DataFrame, order: int = 4, escape: str = "C", id_col: str = "doc_id", text: str = "text") -> DataFrame:
