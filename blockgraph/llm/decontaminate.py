@@ -220,8 +220,13 @@ def all_windows(ids: list[np.ndarray], block: int, weighted: np.ndarray) -> tupl
     of = first[text] + (hit - (np.cumsum(size) - size)[text]) // block
     place = np.zeros((int(blocks.sum()), weighted.shape[1]), np.float32)
     at = np.flatnonzero(np.r_[True, of[1:] != of[:-1]]) if len(of) else of
-    if len(of):
-        place[of[at]] = np.add.reduceat(weighted[term[hit]], at, axis=0)
+    # the first terms of all blocks, then their second ones and so on: a block
+    # has ``block`` of them at most, and no block is met twice in a step
+    nth = np.arange(len(of)) - np.repeat(at, np.diff(np.r_[at, len(of)]))
+    turn = np.argsort(nth, kind="stable")
+    edges = np.searchsorted(nth[turn], np.arange(block + 1))
+    for a, b in zip(edges, edges[1:]):
+        place[of[turn[a:b]]] += weighted[term[hit[turn[a:b]]]]
     held = np.zeros(len(place), bool)
     held[of] = True
     text = np.repeat(np.arange(len(ids)), blocks - 2)
