@@ -38,6 +38,7 @@ log10(0.5 / 0.5) = 0.
 
 from __future__ import annotations
 
+import ctypes
 import math
 from collections import Counter, defaultdict
 
@@ -48,6 +49,7 @@ import zstandard
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from ..session import small_batches
 from .common import LOWER_TABLE, as_text, chunk_count, discard, materialise, portions, text_bytes
 
 END = 0xFF
@@ -295,6 +297,26 @@ def _own_strings(texts: list[bytes], flags: list[bool], order: int) -> tuple[np.
     return grams.keys, grams.counts
 
 
+def _own_keys(texts: list[bytes], order: int) -> np.ndarray:
+    """Sorted distinct strings of some texts, without counts, in bounded steps."""
+    keys, parts, waiting = np.empty(0, np.int64), [], 0
+    for _, part in _text_slices(texts, [True] * len(texts), 1 << 20):
+        parts.append(distinct(strings_of(part, order)[0])[0])
+        waiting += len(parts[-1])
+        if waiting > 500_000 + len(keys) // 2:
+            keys, parts, waiting = distinct(np.concatenate([keys, *parts]))[0], [], 0
+    return distinct(np.concatenate([keys, *parts]))[0]
+
+
+def _release() -> None:
+    """Give back to the system what a worker has freed: a worker that is used
+    again would keep what an earlier task took at its peak."""
+    pa.default_memory_pool().release_unused()
+    trim = getattr(ctypes.CDLL(None), "malloc_trim", None)  # glibc only
+    if trim is not None:
+        trim(0)
+
+
 def _shares(place: np.ndarray, buckets: int):
     """(bucket, positions in order) of the buckets that hold anything."""
     by_place = np.argsort(place, kind="stable")
@@ -309,6 +331,7 @@ def _chunk_rows(docs: DataFrame, order: int, buckets: int) -> DataFrame:
     in its training texts; from bucket ``buckets`` on the same for its tokens."""
 
     def run(key, table):
+        _release()
         _, texts, flags = _texts(table)
         chunk, rows = key[0].as_py(), []
         for first, (keys, counts), place in ((buckets, _own_tokens(texts, flags), _token_bucket), (0, _own_strings(texts, flags, order), _bucket)):
@@ -437,6 +460,10 @@ class StringTable:
         self.bits = max(4, int(1.4 * len(keys)).bit_length())  # 0.36 to 0.72 full
         self.keys = np.full(1 << self.bits, -(1 << 62), np.int64)
         self.values = np.zeros(1 << self.bits)
+        for first in range(0, len(keys), 1 << 18):
+            self._put(keys[first : first + (1 << 18)], values[first : first + (1 << 18)])
+
+    def _put(self, keys: np.ndarray, values: np.ndarray) -> None:
         left = np.arange(len(keys))
         at = self._slot(keys)
         while len(left):
@@ -469,7 +496,7 @@ def _score_chunk(texts: list[bytes], table: StringTable, tokens: dict[int, float
     first, size = 0, 0
     for i, t in enumerate(texts):
         size += len(t)
-        if size >= 1 << 20 or i == len(texts) - 1:
+        if size >= 512 << 10 or i == len(texts) - 1:
             grams, sizes = strings_of(texts[first : i + 1], order)
             at = np.cumsum(sizes) - sizes
             score[first : i + 1] = np.add.reduceat(table.get(grams), at)
@@ -499,6 +526,11 @@ def score(df: DataFrame, train: Column, order: int = 6, escape: str = "D", chunk
     of the chunks, so that only that part of them is shuffled at a time."""
     if not 2 <= order <= 6:
         raise ValueError("order is from 2 to 6")
+    with small_batches(df.sparkSession):  # all parts are written before this ends
+        return _score(df, train, order, escape, chunk_bytes, id_col, text, turns)
+
+
+def _score(df: DataFrame, train: Column, order: int, escape: str, chunk_bytes: int, id_col: str, text: str, turns: int) -> DataFrame:
     spark = df.sparkSession
     size = text_bytes(df, text)
     chunks = chunk_count(spark, size, chunk_bytes)
@@ -517,33 +549,38 @@ def score(df: DataFrame, train: Column, order: int = 6, escape: str = "D", chunk
     scale = np.float64(total + 0.5 * (vocabulary + 1))
 
     def run(key, left, right):
+        _release()
+        kind = left.schema.field("ids").type.value_type
         ids, texts, flags = _texts(left)
         n_tokens, n_known, base, got = [], [], [], []
         if texts:
             sent = dict(zip(right.column("bucket").to_pylist(), right.column("values").to_pylist()))
+            del left, right
             keys, _ = _own_tokens(texts, flags)
             lengths = np.empty(len(keys))
             for q, i in _shares(_token_bucket(keys, buckets), buckets):
                 lengths[i] = np.log10((_counts(sent[buckets + q]) + 0.5) / scale)
             tokens = dict(zip(keys.tolist(), lengths.tolist()))
-            keys, _ = _own_strings(texts, flags, order)
+            keys = _own_keys(texts, order)
             lengths = np.empty(len(keys))
             for q, i in _shares(_bucket(keys, buckets), buckets):
-                lengths[i] = unsqueeze_values(sent[q])
+                lengths[i] = unsqueeze_values(sent.pop(q))
             table = StringTable(keys, lengths)
-            del keys, lengths, sent
+            del keys, lengths, sent, i
             n_tokens, n_known, base, got = _score_chunk(texts, table, tokens, float(np.log10((np.int64(0) + 0.5) / scale)), order)
         return pa.table({
-            "doc_id": pa.array(ids, left.schema.field("ids").type.value_type), "train": pa.array(flags, pa.bool_()),
+            "doc_id": pa.array(ids, kind), "train": pa.array(flags, pa.bool_()),
             "n_tokens": pa.array(n_tokens, pa.int64()), "n_known": pa.array(n_known, pa.int64()), "train_tokens": pa.array([total] * len(texts), pa.int64()),
             "base_score": pa.array(base, pa.float64()), "score": pa.array(got, pa.float64()),
         })
 
     schema = f"doc_id {doc_type}, train boolean, n_tokens long, n_known long, train_tokens long, base_score double, score double"
     out = None
+    tasks = 4 * -(-chunks // turns)  # few tasks get more than one chunk, which they would hold at once
     for turn in range(turns):
         mine = F.pmod(F.col("chunk"), F.lit(turns)) == turn
-        part = _packed(df, chunks, train, id_col, text, only=(turns, turn)).groupBy("chunk").cogroup(values.where(mine).groupBy("chunk")).applyInArrow(run, schema)
+        left, right = _packed(df, chunks, train, id_col, text, only=(turns, turn)), values.where(mine)
+        part = left.repartition(tasks, "chunk").groupBy("chunk").cogroup(right.repartition(tasks, "chunk").groupBy("chunk")).applyInArrow(run, schema)
         part = materialise(part, "scores")
         out = part if out is None else out.unionAll(part)
     discard(coded, words)
