@@ -1,7 +1,8 @@
 import numpy as np
 from pyspark.sql import functions as F
 
-from blockgraph.operators import kmeans
+from blockgraph import vector_queries
+from blockgraph.operators import exact, index, kmeans, search
 
 
 def points(spark, n=60, dim=4, seed=3):
@@ -15,3 +16,34 @@ def test_kmeans_step_with_empty_partitions(spark):
     assert sorted(spread.rdd.glom().map(len).collect()) == [0, 0, 60]
     a = kmeans.assign_local(x, x[:2])
     assert np.allclose(kmeans.step(spread, x[:2]), [x[a == i].mean(0) for i in (0, 1)])
+
+
+def test_segments_follow_rows():
+    assert [vector_queries.segments_by_rows(n) for n in (0, 1, 2_500, 2_501, 10_256, 20_000, 100_000, 100_001, 1_000_000)] == [1, 1, 1, 2, 5, 8, 8, 9, 80]
+
+
+def test_segments_are_built_by_several_tasks(spark):
+    _, df = points(spark, 240)
+    built = index.build(index.assign(df, 6), index.Build(builder="knn", max_degree=4, layout="idpack", sample_ratio=0, n_sub=0))
+    tasks = built.select("segment_id", F.spark_partition_id().alias("task")).distinct().collect()
+    assert len({r.segment_id for r in tasks}) == 6 and len({r.task for r in tasks}) > 3
+
+
+def test_hits_of_several_segments_are_exact(spark):
+    x, df = points(spark, 240)
+    built = index.build(index.assign(df, 6), index.Build(builder="vamana", max_degree=8, block_cap=6))
+    q = exact.sample_queries(df, 40)
+    got = index.merge(index.run_queries(built, index.everywhere(q, 6), index.Ask(7, options=search.Options(cand_size=1000)), 2), 7)
+    assert sorted(map(tuple, got.collect())) == sorted(map(tuple, exact.knn(df, q, 7).collect()))
+
+
+def test_search_list_stays_sorted_and_finds_the_first_open_row():
+    x = np.random.default_rng(1).standard_normal((300, 6))
+    seg, _ = index.build_segment(np.arange(300), x, index.Build(max_degree=8, block_cap=6))
+    run = search._Run(seg, x[5] + 0.1, search.Options(cand_size=1000), None)
+    run.begin()
+    while now := run.choose():
+        assert run.pool == sorted(run.pool) and now == [next(r for _, r in run.pool if r not in run.done)]
+        assert all(r in run.done for _, r in run.pool[: run.first])
+        run.apply(now)
+    assert len(run.done) == 300
