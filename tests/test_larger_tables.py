@@ -47,3 +47,17 @@ def test_search_list_stays_sorted_and_finds_the_first_open_row():
         assert all(r in run.done for _, r in run.pool[: run.first])
         run.apply(now)
     assert len(run.done) == 300
+
+
+def test_scan_holds_a_tile_of_distances_at_once(spark, monkeypatch):
+    x, df = points(spark, 200)
+    q = df.select(F.col("vec_id").alias("query_id"), F.col("vec").alias("qvec"))
+    want = sorted(map(tuple, exact.knn(df, q, 5, exclude_self=True).collect()))
+
+    def small(a, b, metric, whole=exact.pairwise):
+        assert len(a) * len(b) <= 1000
+        return whole(a, b, metric)
+
+    monkeypatch.setattr(exact, "TILE_VALUES", 1000)
+    monkeypatch.setattr(exact, "pairwise", small)
+    assert sorted(map(tuple, exact.knn(df.coalesce(1), q, 5, exclude_self=True).collect())) == want
