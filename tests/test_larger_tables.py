@@ -1,4 +1,6 @@
 import numpy as np
+import pytest
+from pyspark.errors import AnalysisException
 from pyspark.sql import functions as F
 
 from blockgraph import vector_queries
@@ -61,3 +63,14 @@ def test_scan_holds_a_tile_of_distances_at_once(spark, monkeypatch):
     monkeypatch.setattr(exact, "TILE_VALUES", 1000)
     monkeypatch.setattr(exact, "pairwise", small)
     assert sorted(map(tuple, exact.knn(df.coalesce(1), q, 5, exclude_self=True).collect())) == want
+
+
+@pytest.mark.parametrize("name", ["block_geometry", "io_model", "memory_table", "pq_bytes", "segment_capacity"])
+def test_space_arithmetic_reads_the_given_tables(spark, tmp_path, name):
+    for table, key in (("embeddings", "vec_id"), ("documents", "doc_id"), ("events", "event_id")):
+        spark.read.parquet(f"/root/testdata/sf0.001/{table}.parquet").where(F.col(key) < 300).write.parquet(f"{tmp_path}/{table}.parquet")
+    f = vector_queries.Q[name]
+    part, whole = (sorted(map(tuple, f(spark, d).collect())) for d in (str(tmp_path), "/root/testdata/sf0.001"))
+    assert len(part) == len(whole) and (part != whole or name == "segment_capacity")
+    with pytest.raises(AnalysisException):  # no table, no result
+        f(spark, f"{tmp_path}/none").collect()
