@@ -71,6 +71,18 @@ def test_space_arithmetic_reads_the_given_tables(spark, tmp_path, name):
         spark.read.parquet(f"/root/testdata/sf0.001/{table}.parquet").where(F.col(key) < 300).write.parquet(f"{tmp_path}/{table}.parquet")
     f = vector_queries.Q[name]
     part, whole = (sorted(map(tuple, f(spark, d).collect())) for d in (str(tmp_path), "/root/testdata/sf0.001"))
-    assert len(part) == len(whole) and (part != whole or name == "segment_capacity")
+    assert len(part) == len(whole) and (part != whole or name in ("pq_bytes", "segment_capacity"))  # small sets fit any budget
     with pytest.raises(AnalysisException):  # no table, no result
         f(spark, f"{tmp_path}/none").collect()
+
+
+def test_graph_and_cost_need_no_task_with_all_vectors(spark, monkeypatch):
+    def build(*a, **k):
+        raise AssertionError("one task would get all vectors")
+
+    sf = "/root/testdata/sf0.01"
+    monkeypatch.setattr(index, "build", build)
+    n = spark.read.parquet(f"{sf}/embeddings.parquet").count()
+    assert vector_queries.Q["graph_degree_stats"](spark, sf).first() == (n, 16 * n, 16, 16)
+    assert sum(r.n * r.in_degree for r in vector_queries.Q["indegree_hist"](spark, sf).collect()) == 16 * n
+    assert vector_queries.Q["disk_cost"](spark, sf).first()[0] == -(-n // 12)
