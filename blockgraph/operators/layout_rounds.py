@@ -47,12 +47,12 @@ def pad(vertices: DataFrame, edges: DataFrame, cap: int) -> DataFrame:
     placed = own.unionByName(first.select("segment_id", "vec_id", "m.owner", "m.pos"))
     # the place of a row: what earlier owners bring, then its place in its owner's run
     run = placed.groupBy("segment_id", "owner").agg(F.count(F.lit(1)).alias("n"))
-    run = _running(run, "owner", "n", "first")
+    run = running(run, "owner", "n", "first")
     place = F.col("first") + F.row_number().over(Window.partitionBy("segment_id", "owner").orderBy("pos")) - 1
     return placed.join(run.select("segment_id", "owner", "first"), [*key, "owner"]).select("segment_id", "vec_id", F.floor(place / cap).cast("long").alias("block_id"))
 
 
-def _running(rows: DataFrame, by: str, n: str, out: str, span: int = 1 << 16) -> DataFrame:
+def running(rows: DataFrame, by: str, n: str, out: str, span: int = 1 << 16) -> DataFrame:
     """rows with ``out``: the sum of n over all rows of the segment with a
     smaller ``by``. Ranges of ``span`` values are summed first, so that no task
     holds more than a range of a segment, or one number for each of its ranges."""

@@ -16,7 +16,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.datasource import DataSource, DataSourceReader, InputPartition
 
-from ..operators import index
+from ..operators import index, layout_rounds
 
 MEMBERS = "array<struct<vec_id: long, vec: array<double>, nbrs: array<long>>>"
 
@@ -33,6 +33,16 @@ def blocks_table(indexed: DataFrame) -> DataFrame:
     return index.per_segment(indexed, fn, f"segment_id int, block_id long, members {MEMBERS}")
 
 
+def blocks_by_id(vectors: DataFrame, edges: DataFrame, cap: int) -> DataFrame:
+    """``blocks_table`` of one segment packed by id, from (vec_id, vec) and
+    (segment_id, src, dst, pos): no task holds more than some blocks."""
+    place = layout_rounds.running(vectors.select(F.lit(0).alias("segment_id"), "vec_id", F.lit(1).alias("n")), "vec_id", "n", "first")
+    near = edges.groupBy(F.col("src").alias("vec_id")).agg(F.transform(F.sort_array(F.collect_list(F.struct("pos", "dst"))), lambda x: x["dst"]).alias("nbrs"))
+    rows = vectors.join(place.select("vec_id", F.floor(F.col("first") / cap).cast("long").alias("block_id")), "vec_id").join(near, "vec_id", "left")
+    member = F.struct("vec_id", "vec", F.coalesce("nbrs", F.array().cast("array<long>")).alias("nbrs"))
+    return rows.groupBy(F.lit(0).alias("segment_id"), "block_id").agg(F.sort_array(F.collect_list(member)).alias("members"))
+
+
 def vertices(blocks: DataFrame) -> DataFrame:
     """(segment_id, block_id, slot, vec_id, vec, nbrs)."""
     return blocks.select("segment_id", "block_id", F.posexplode("members").alias("slot", "m")).select("segment_id", "block_id", "slot", "m.*")
