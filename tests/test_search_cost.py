@@ -1,7 +1,7 @@
 import numpy as np
 import pytest
 
-from blockgraph.operators import graph, index, search
+from blockgraph.operators import graph, index, layout, search
 
 
 @pytest.fixture(scope="module")
@@ -48,3 +48,12 @@ def test_pool_keeps_the_nearest():
             first = graph.keep_nearest(pool, new, width, len(pool))
             assert pool == sorted(all_)[:width]
             assert all(x in pool[first:] for x in new if x in pool)
+
+
+def test_grid_of_rounds_runs_each_map_and_overflow_once(seg, monkeypatch):
+    settings = [(b, t, m, o) for b in (2, 5) for t in (0.05, 0.001, -9.0) for m in ("frozen", "live") for o in ("deferred", "immediate")]
+    want = [layout.freq(seg.nbrs, 6, max_iter=b, min_gain=t, map=m, overflow=o)[1] for b, t, m, o in settings]
+    rounds, plain = [], layout._refill
+    monkeypatch.setattr(layout, "_refill", lambda *a: rounds.append(a) or plain(*a))
+    assert [h for h, _ in layout.freq_grid(seg.nbrs, 6, settings)] == want
+    assert len(rounds) == 4 * 5
