@@ -25,8 +25,9 @@ and ``answer_share`` of the answer, the passage's last ``answer_words`` words.
 
 The benchmark is a query set against all rows; it passes through the driver,
 ``items_at_once`` items at a time, each with a space of its own, and is compared
-in blocks. Texts are checked where they are read, so candidates are never stored
-nor joined.
+in blocks. Texts are cut into words once: all steps after that read the numbers of
+their words in the benchmark's vocabulary (two bytes a word), which also decide the
+common subsequences, so candidates are never stored nor joined.
 
 Edge cases: null or empty documents and items have no windows or passages;
 items without a word in the vocabulary can't be found; equal items are reported
@@ -69,9 +70,9 @@ def ids_of(words: list[bytes], vocabulary: dict[bytes, int]) -> np.ndarray:
     return np.fromiter(map(vocabulary.get, words, repeat(-1)), np.int32, len(words))
 
 
-def lcs_mask(a: list[str], b: list[str]) -> list[int]:
+def lcs_mask(a: list, b: list) -> list[int]:
     """Positions of a that a longest common subsequence of a and b uses."""
-    where: dict[str, int] = defaultdict(int)
+    where: dict = defaultdict(int)
     for i, w in enumerate(a):
         where[w] |= 1 << i
     full = (1 << len(a)) - 1
@@ -95,7 +96,7 @@ def lcs_mask(a: list[str], b: list[str]) -> list[int]:
     return out[::-1]
 
 
-def lcs_length(a_where: dict[str, int], n: int, b: list[str]) -> int:
+def lcs_length(a_where: dict, n: int, b: list) -> int:
     """Length only; a as bit positions of each word."""
     full = (1 << n) - 1
     v = full
@@ -129,29 +130,52 @@ class Passages:
         return sorted({w for p in self.words for w in p})
 
 
-def block_counts(docs: DataFrame, vocabulary: dict[bytes, int], block: int) -> tuple[np.ndarray, int]:
-    """In how many blocks of all documents each term occurs, and all blocks."""
+#: Bytes of word numbers that are worked on at once.
+PORTION = 1 << 19
+
+
+def _dtype(vocabulary: dict) -> np.dtype:
+    return np.dtype("<i2" if len(vocabulary) < 1 << 15 else "<i4")
+
+
+def numbered(docs: DataFrame, vocabulary: dict[bytes, int]) -> DataFrame:
+    """(doc_id, ids): the words of each text by their numbers in the vocabulary,
+    -1 outside it, as bytes."""
     sent = docs.sparkSession.sparkContext.broadcast(vocabulary)
-    terms = len(vocabulary)
 
     def run(batches):
         vocab = sent.value
-        df, n = np.zeros(terms, np.int64), 0
+        kind = _dtype(vocab)
         for b in portions(batches):
+            ids = [ids_of(raw_words(t), vocab).astype(kind).tobytes() if t else b"" for t in b.column(1).to_pylist()]
+            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(ids, pa.binary())], names=["doc_id", "ids"])
+
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(run, "doc_id long, ids binary")
+
+
+def _ids(column, kind: np.dtype) -> list[np.ndarray]:
+    return [np.frombuffer(x, kind).astype(np.int32) for x in column.to_pylist()]
+
+
+def block_counts(texts: DataFrame, vocabulary: dict, block: int) -> tuple[np.ndarray, int]:
+    """In how many blocks of all documents each term occurs, and all blocks."""
+    terms, kind = len(vocabulary), _dtype(vocabulary)
+
+    def run(batches):
+        df, n = np.zeros(terms, np.int64), 0
+        for b in portions(batches, PORTION):
             at, term = [], []
-            for t in b.column(0).to_pylist():
-                if t:
-                    ids = ids_of(raw_words(t), vocab)
-                    hit = np.flatnonzero(ids >= 0)
-                    at.append(hit // block + n)
-                    term.append(ids[hit])
-                    n += -(-len(ids) // block)
+            for ids in _ids(b.column(0), kind):
+                hit = np.flatnonzero(ids >= 0)
+                at.append(hit // block + n)
+                term.append(ids[hit])
+                n += -(-len(ids) // block)
             if at:
                 df += np.bincount(np.unique(np.concatenate(at) * terms + np.concatenate(term)) % terms, minlength=terms)
         hit = np.flatnonzero(df)
         yield pa.RecordBatch.from_arrays([pa.array(np.r_[hit, -1].astype(np.int32)), pa.array(np.r_[df[hit], n])], names=["term", "n"])
 
-    out = docs.select("text").mapInArrow(run, "term int, n long").groupBy("term").agg(F.sum("n").alias("n")).collect()
+    out = texts.select("ids").mapInArrow(run, "term int, n long").groupBy("term").agg(F.sum("n").alias("n")).collect()
     df = np.zeros(terms, np.int64)
     total = 0
     for r in out:
@@ -189,21 +213,22 @@ def shared_windows(docs: list[np.ndarray], block: int, lists: tuple[np.ndarray,
     return places // most, places % most
 
 
-def windows(docs: DataFrame, vocabulary: dict[bytes, int], block: int, lists: tuple[np.ndarray, np.ndarray], need: np.ndarray) -> DataFrame:
-    """(terms array<int>): windows with enough terms of one passage."""
-    sent = docs.sparkSession.sparkContext.broadcast((vocabulary, lists, need))
+def windows(texts: DataFrame, kind: np.dtype, term_of: np.ndarray, block: int, lists: tuple[np.ndarray, np.ndarray], need: np.ndarray) -> DataFrame:
+    """(terms array<int>): windows with enough terms of one passage. term_of: the
+    term of each word of the vocabulary, and at last of the others, -1 if none."""
+    sent = texts.sparkSession.sparkContext.broadcast((term_of, lists, need))
 
     def run(batches):
-        vocab, lists, need = sent.value
-        for b in portions(batches):
-            ids = [ids_of(raw_words(t or ""), vocab) for t in b.column(0).to_pylist()]
+        term_of, lists, need = sent.value
+        for b in portions(batches, PORTION):
+            ids = [term_of[x] for x in _ids(b.column(0), kind)]
             terms = []
             for d, w in zip(*(x.tolist() for x in shared_windows(ids, block, lists, need))):
                 got = ids[d][w * block : (w + 3) * block]
                 terms.append(got[got >= 0])
             yield pa.RecordBatch.from_arrays([pa.array(terms, pa.list_(pa.int32()))], names=["terms"])
 
-    return docs.select("text").mapInArrow(run, "terms array<int>")
+    return texts.select("ids").mapInArrow(run, "terms array<int>")
 
 
 def all_windows(ids: list[np.ndarray], block: int, weighted: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -351,21 +376,24 @@ def _leaks_of(docs, items, block, max_df, min_terms, rarest, rank, min_cosine, s
     vocabulary = {w: i for i, w in enumerate(passages.vocabulary())}
     if not vocabulary:
         return spark.createDataFrame([], SCHEMA)
-    df, blocks = block_counts(docs, {w.encode("utf-8", "surrogatepass"): i for w, i in vocabulary.items()}, block)
+    kind = _dtype(vocabulary)
+    texts = materialise(numbered(docs, {w.encode("utf-8", "surrogatepass"): i for w, i in vocabulary.items()}), "words")
+    df, blocks = block_counts(texts, vocabulary, block)
     # a passage that has leaked everywhere makes its own words common: the
     # rarest of each passage always stay
     stay = {w for p in passages.words for w in sorted(set(p), key=lambda w: (df[vocabulary[w]], w))[:rarest]}
     kept = [w for w, i in vocabulary.items() if w in stay or df[i] <= max(max_df * blocks, 5)]
     idf = np.log((1 + blocks) / (1 + df[[vocabulary[w] for w in kept]])) + 1
     terms = {w: i for i, w in enumerate(kept)}
-    in_bytes = {w.encode("utf-8", "surrogatepass"): i for w, i in terms.items()}
+    term_of = np.full(len(vocabulary) + 1, -1, np.int32)
+    term_of[[vocabulary[w] for w in kept]] = np.arange(len(kept))
     mine = [np.array([terms[w] for w in p if w in terms], np.int32) for p in passages.words]
     distinct = [np.unique(x) for x in mine]
     need = np.array([min(min_terms, len(x)) for x in distinct])
     flat = np.concatenate(distinct)
     by_term = np.argsort(flat, kind="stable")
     off = np.searchsorted(flat[by_term], np.arange(len(kept) + 1))
-    rows = materialise(windows(docs, in_bytes, block, (off, np.repeat(np.arange(len(mine)), [len(x) for x in distinct])[by_term]), need), "windows")
+    rows = materialise(windows(texts, kind, term_of, block, (off, np.repeat(np.arange(len(mine)), [len(x) for x in distinct])[by_term]), need), "windows")
     basis = latent_basis(rows, mine, idf, min(rank, len(kept)))
     discard(rows)
     off, t, w = _rows(pa.array([x.tolist() for x in mine], pa.list_(pa.int32())), idf)
@@ -373,15 +401,16 @@ def _leaks_of(docs, items, block, max_df, min_terms, rarest, rank, min_cosine, s
     size = np.linalg.norm(target, axis=1)
     target = np.where(size[:, None] > 0, target / np.maximum(size, 1e-12)[:, None], 0).astype(np.float32)
     weighted = (basis * idf[:, None]).astype(np.float32)
-    sent = spark.sparkContext.broadcast((in_bytes, weighted, target, passages))
+    spelled = [[vocabulary[w] for w in p] for p in passages.words]  # what is no word of the vocabulary matches nothing
+    where = [{vocabulary[w]: bits for w, bits in at.items()} for at in passages.where]
+    sent = spark.sparkContext.broadcast((term_of, weighted, target, spelled, where, passages.item))
 
     def run(batches):
-        vocab, weighted, target, passages = sent.value
-        for b in portions(batches):
-            names, texts = b.column(0).to_pylist(), b.column(1).to_pylist()
-            doc, start, places = all_windows([ids_of(raw_words(x or ""), vocab) for x in texts], block, weighted)
+        term_of, weighted, target, spelled, where, item = sent.value
+        for b in portions(batches, PORTION):
+            names, ids = b.column(0).to_pylist(), _ids(b.column(1), kind)
+            doc, start, places = all_windows([term_of[x] for x in ids], block, weighted)
             best: dict[tuple[int, int], tuple] = {}
-            words_at, words = -1, []
             for a in range(0, len(doc), 8192):
                 y = places[a : a + 8192]
                 y /= np.maximum(np.linalg.norm(y, axis=1), 1e-12)[:, None]
@@ -389,23 +418,21 @@ def _leaks_of(docs, items, block, max_df, min_terms, rarest, rank, min_cosine, s
                     cos = y @ target[first : first + 1024].T
                     for i, p in zip(*(x.tolist() for x in np.nonzero(cos >= min_cosine))):
                         q, d = first + p, int(doc[a + i])
-                        if d != words_at:
-                            words_at, words = d, words_of(texts[d])
-                        text = words[start[a + i] : start[a + i] + 3 * block]
-                        n = len(passages.words[q])
-                        ratio = lcs_length(passages.where[q], n, text) / n
+                        text = ids[d][start[a + i] : start[a + i] + 3 * block].tolist()
+                        n = len(spelled[q])
+                        ratio = lcs_length(where[q], n, text) / n
                         if ratio < weak:
                             continue
                         tail = max(1, min(answer_words, n))
-                        answer = sum(x >= n - tail for x in lcs_mask(passages.words[q], text)) / tail
+                        answer = sum(x >= n - tail for x in lcs_mask(spelled[q], text)) / tail
                         if ratio >= strong or answer >= answer_share:
-                            k = (names[d], passages.item[q])
+                            k = (names[d], item[q])
                             best[k] = max(best.get(k, (0,)), (ratio, answer, float(cos[i, p])))
             cols = list(zip(*((d, q, c, r, x) for (d, q), (r, x, c) in best.items()))) or [(), (), (), (), ()]
             types = (pa.int64(), pa.int64(), pa.float64(), pa.float64(), pa.float64())
             yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(cols, types)], names=["doc_id", "item_id", "cosine", "lcs_ratio", "answer_ratio"])
 
-    return docs.where("doc_id is not null").select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(run, SCHEMA)
+    return texts.where("doc_id is not null").select("doc_id", "ids").mapInArrow(run, SCHEMA)
 
 
 def remove_leaks(docs: DataFrame, benchmark: DataFrame, broadcast_ids: int = 500_000, **options) -> DataFrame:

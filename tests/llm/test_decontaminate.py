@@ -106,3 +106,16 @@ def test_empty(spark):
     bench = spark.createDataFrame([(1, "some words of an item")], "item_id long, text string")
     assert dec.find_leaks(docs, bench).collect() == []
     assert dec.find_leaks(docs, bench.limit(0)).collect() == []
+
+
+def test_texts_are_cut_into_words_once(spark, monkeypatch):
+    item = " ".join(f"word{i}" for i in range(40))
+    docs = spark.createDataFrame([(i, f"some text {i} " * 20 + (item if i == 3 else "")) for i in range(6)], "doc_id long, text string")
+    bench = spark.createDataFrame([(1, item)], "item_id long, text string")
+    ids = {w.encode(): i for i, w in enumerate(dec.Passages([(1, item)], 32).vocabulary())}
+    rows = {r.doc_id: r.ids for r in dec.numbered(docs, ids).collect()}
+    assert len(rows[3]) == 2 * (60 + 40) and rows[0] == b"\xff\xff" * 60
+    kept = []
+    monkeypatch.setattr(dec, "materialise", lambda df, name, keep=dec.materialise: kept.append((name, df.columns)) or keep(df, name))
+    assert [(r.doc_id, r.item_id) for r in dec.find_leaks(docs, bench).collect()] == [(3, 1)]
+    assert kept == [("words", ["doc_id", "ids"]), ("windows", ["terms"])]
