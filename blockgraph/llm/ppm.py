@@ -49,7 +49,7 @@ import zstandard
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from ..session import small_batches
+from ..session import LARGE_ROWS, small_batches
 from .common import LOWER_TABLE, as_text, chunk_count, discard, materialise, portions, text_bytes
 
 END = 0xFF
@@ -326,6 +326,11 @@ def _shares(place: np.ndarray, buckets: int):
             yield q, by_place[edge[q] : edge[q + 1]]
 
 
+def _in_portions(table: pa.Table) -> pa.Table:
+    """The same rows in small batches, each of which Spark takes in as a whole."""
+    return pa.Table.from_batches(list(portions(table.to_batches(), 1 << 20)), table.schema)
+
+
 def _chunk_rows(docs: DataFrame, order: int, buckets: int) -> DataFrame:
     """The distinct strings of every chunk, packed by bucket, with their counts
     in its training texts; from bucket ``buckets`` on the same for its tokens."""
@@ -337,7 +342,7 @@ def _chunk_rows(docs: DataFrame, order: int, buckets: int) -> DataFrame:
         for first, (keys, counts), place in ((buckets, _own_tokens(texts, flags), _token_bucket), (0, _own_strings(texts, flags, order), _bucket)):
             for q, i in _shares(place(keys, buckets), buckets):
                 rows.append({"chunk": chunk, "bucket": first + q, "keys": squeeze(keys[i]), "counts": squeeze(np.cumsum(counts[i]))})
-        return pa.Table.from_pylist(rows, pa.schema([("chunk", pa.int32()), ("bucket", pa.int32()), ("keys", pa.binary()), ("counts", pa.binary())]))
+        return _in_portions(pa.Table.from_pylist(rows, pa.schema([("chunk", pa.int32()), ("bucket", pa.int32()), ("keys", pa.binary()), ("counts", pa.binary())])))
 
     return docs.groupBy("chunk").applyInArrow(run, STRINGS)
 
@@ -429,7 +434,7 @@ def _coded(strings: DataFrame, buckets: int, order: int, escape: str, three: tup
         keys, counts = distinct(np.concatenate([p[0] for p in parts]), np.concatenate([p[1] for p in parts]))
         value = code_strings(keys, counts, order, sent.value, escape)
         values = [squeeze_values(value[np.searchsorted(keys, p[0])]) for p in parts]
-        return pa.table({"chunk": table.column("chunk"), "bucket": table.column("bucket"), "values": pa.array(values, pa.binary())})
+        return _in_portions(pa.table({"chunk": table.column("chunk"), "bucket": table.column("bucket"), "values": pa.array(values, pa.binary())}))
 
     return strings.where(F.col("bucket") < buckets).groupBy("bucket").applyInArrow(run, "chunk int, bucket int, values binary")
 
@@ -444,11 +449,11 @@ def _counted(strings: DataFrame, buckets: int) -> DataFrame:
         keys, counts = distinct(np.concatenate([p[0] for p in parts]), np.concatenate([p[1] for p in parts]))
         values = [squeeze(np.cumsum(counts[np.searchsorted(keys, p[0])])) for p in parts]
         rest = [0] * len(parts)
-        return pa.table({
+        return _in_portions(pa.table({
             "chunk": pa.array([*table.column("chunk").to_pylist(), -1], pa.int32()), "bucket": pa.array([key[0].as_py()] * (len(parts) + 1), pa.int32()),
             "values": pa.array([*values, None], pa.binary()),
             "n": pa.array([*rest, int(counts.sum())], pa.int64()), "v": pa.array([*rest, int((counts > 0).sum())], pa.int64()),
-        })
+        }))
 
     return strings.where(F.col("bucket") >= buckets).groupBy("bucket").applyInArrow(run, "chunk int, bucket int, values binary, n long, v long")
 
@@ -536,12 +541,12 @@ def _score(df: DataFrame, train: Column, order: int, escape: str, chunk_bytes: i
     chunks = chunk_count(spark, size, chunk_bytes)
     buckets = max(int(spark.conf.get("spark.sql.shuffle.partitions")), size // (16 << 20))
     docs = _packed(df, chunks, train, id_col, text)
-    strings = materialise(_chunk_rows(docs, order, buckets), "strings")
+    strings = materialise(_chunk_rows(docs, order, buckets), "strings", options=LARGE_ROWS)
     three = _near_root(strings, buckets)
-    words = materialise(_counted(strings, buckets), "tokens")
+    words = materialise(_counted(strings, buckets), "tokens", options=LARGE_ROWS)
     known = words.where("values is null").agg(F.sum("n").alias("n"), F.sum("v").alias("v")).first()
     total, vocabulary = known.n or 0, known.v or 0
-    coded = materialise(_coded(strings, buckets, order, escape, three), "coded")
+    coded = materialise(_coded(strings, buckets, order, escape, three), "coded", options=LARGE_ROWS)
     discard(strings)
     values = coded.unionAll(words.where("values is not null").select("chunk", "bucket", "values"))
     doc_type = dict(df.dtypes)[id_col]
