@@ -288,6 +288,14 @@ def _own_tokens(texts: list[bytes], flags: list[bool]) -> tuple[np.ndarray, np.n
     return np.r_[END_KEY, keys], np.r_[sum(flags), counts]
 
 
+def _own_token_keys(texts: list[bytes]) -> np.ndarray:
+    """The keys of ``_own_tokens``, without counts."""
+    tokens: set[bytes] = set()
+    for t in texts:
+        tokens.update(t.translate(LOWER_TABLE).split())
+    return np.r_[END_KEY, distinct(np.fromiter(map(token_key, tokens), np.int64, len(tokens)))[0]]
+
+
 def _own_strings(texts: list[bytes], flags: list[bool], order: int) -> tuple[np.ndarray, np.ndarray]:
     """Sorted distinct strings of some texts, with their training counts."""
     grams = Tally()
@@ -319,7 +327,8 @@ def _release() -> None:
 
 def _shares(place: np.ndarray, buckets: int):
     """(bucket, positions in order) of the buckets that hold anything."""
-    by_place = np.argsort(place, kind="stable")
+    # a stable sort of shorts is by digits, several times as fast as that of longs
+    by_place = np.argsort(place.astype(np.uint16) if buckets <= 1 << 16 else place, kind="stable")
     edge = np.searchsorted(place[by_place], np.arange(buckets + 1))
     for q in range(buckets):
         if edge[q] < edge[q + 1]:
@@ -561,7 +570,7 @@ def _score(df: DataFrame, train: Column, order: int, escape: str, chunk_bytes: i
         if texts:
             sent = dict(zip(right.column("bucket").to_pylist(), right.column("values").to_pylist()))
             del left, right
-            keys, _ = _own_tokens(texts, flags)
+            keys = _own_token_keys(texts)
             lengths = np.empty(len(keys))
             for q, i in _shares(_token_bucket(keys, buckets), buckets):
                 lengths[i] = np.log10((_counts(sent[buckets + q]) + 0.5) / scale)
